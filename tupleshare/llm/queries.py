@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import license_scan, url_filter
+from . import license_scan, simhash, url_filter
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -21,6 +21,10 @@ def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge_urls(table(spark, sf_dir, "pages"), url_filter.HOST_RULES + url_filter.PATTERN_RULES)
 
 
+def op4_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def sql_text(s: str) -> str:
     return "'" + s.replace("'", "''") + "'"
 
@@ -74,7 +78,7 @@ FROM u LEFT JOIN a ON u.page_id = a.page_id LEFT JOIN m ON u.page_id = m.page_id
 
 
 def queries() -> dict[str, Query]:
-    return {"op2_license_scan": op2_license_scan, "op3_url_filter": op3_url_filter}
+    return {"op2_license_scan": op2_license_scan, "op3_url_filter": op3_url_filter, "op4_simhash_near_dedup": op4_simhash_near_dedup}
 
 
 def oracle_sql() -> dict[str, str]:
