@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import license_scan, simhash, url_filter
+from . import ann, license_scan, simhash, url_filter
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -25,6 +26,10 @@ def op4_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op10_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann.nearest(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
+
+
 def sql_text(s: str) -> str:
     return "'" + s.replace("'", "''") + "'"
 
@@ -77,9 +82,19 @@ SELECT u.page_id, host, path, a.b.rule AS rule, coalesce(a.b.verdict, m.b.verdic
 FROM u LEFT JOIN a ON u.page_id = a.page_id LEFT JOIN m ON u.page_id = m.page_id"""
 
 
+OP10_SQL = """
+WITH v AS (SELECT vec_id, embedding::DOUBLE[] AS x FROM embeddings
+  WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda e: e IS NULL OR NOT isfinite(e))) = 0
+    AND len(list_filter(embedding, lambda e: e <> 0)) > 0),
+p AS (SELECT q.vec_id AS query_id, c.vec_id, list_dot_product(q.x, c.x) AS score
+  FROM v q JOIN v c ON q.vec_id <> c.vec_id WHERE q.vec_id % 20 = 0),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM p)
+SELECT query_id, CAST(rank AS INTEGER) AS rank, vec_id, score FROM r WHERE rank <= 20"""
+
+
 def queries() -> dict[str, Query]:
-    return {"op2_license_scan": op2_license_scan, "op3_url_filter": op3_url_filter, "op4_simhash_near_dedup": op4_simhash_near_dedup}
+    return {"op2_license_scan": op2_license_scan, "op3_url_filter": op3_url_filter, "op4_simhash_near_dedup": op4_simhash_near_dedup, "op10_nearest_neighbours": op10_nearest_neighbours}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_license_scan": _op2_sql(), "op3_url_filter": _op3_sql()}
+    return {"op2_license_scan": _op2_sql(), "op3_url_filter": _op3_sql(), "op10_nearest_neighbours": OP10_SQL}
