@@ -4,12 +4,19 @@ from pyspark.sql import functions as F
 from tupleshare.llm import ann
 
 
+def dot(v, w):
+    total = 0.0
+    for a, b in zip(v, w, strict=True):
+        total += float(a) * float(b)
+    return total
+
+
 def brute(rows, k, asks):
     clean = [(i, v) for i, v in rows if v is not None and i is not None and len(v) == 8 and all(x is not None and np.isfinite(x) for x in v) and any(v)]
     out = {}
     for i, v in clean:
         if asks(i):
-            out[i] = sorted(((-sum(float(a) * float(b) for a, b in zip(v, w, strict=True)), j) for j, w in clean if j != i))[:k]
+            out[i] = sorted(((-dot(v, w), j) for j, w in clean if j != i))[:k]
     return {i: [(j, -s) for s, j in best] for i, best in out.items()}
 
 
