@@ -84,7 +84,7 @@ def _scanning(shared, dim: int, s: Search):
         units = ((queries / q_norm[:, None]) @ rotation(dim, s.seed).T).astype(np.float32)
         floor = floor.copy()
         held = [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]  # query, id, score
-        step = max(64, 4_000_000 // max(1, n))
+        step, pairs = max(64, 2_000_000 // max(1, n)), max(1024, 2_000_000 // dim)  # bound the largest arrays to some 16 MB
         for b in batches:
             ids = b["id"].to_numpy()
             x = np.stack(b["vector"].to_numpy()) if len(b) else np.zeros((0, dim))
@@ -101,8 +101,8 @@ def _scanning(shared, dim: int, s: Search):
                 c += at
                 other = ids[c] != query_ids[q]
                 c, q = c[other], q[other]
-                for lo in range(0, len(c), 1_000_000):
-                    cc, qq = c[lo : lo + 1_000_000], q[lo : lo + 1_000_000]
+                for lo in range(0, len(c), pairs):
+                    cc, qq = c[lo : lo + pairs], q[lo : lo + pairs]
                     score = products(queries[qq], x[cc])
                     ok = score >= floor[qq]
                     held = [np.concatenate([h, v]) for h, v in zip(held, (qq[ok], ids[cc][ok], score[ok]), strict=True)]
