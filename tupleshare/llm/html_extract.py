@@ -150,10 +150,9 @@ def main_text(page: str | None) -> str:
     return "\n".join(b for b in (" ".join(b.split()) for b in blocks) if b)
 
 
-def _extracting(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    for b in batches:
-        texts = [main_text(p) for p in b["html"]]
-        yield pd.DataFrame({"id": b["id"], "url": b["url"], "text": texts, "n_chars": [len(t) for t in texts]})
+@F.pandas_udf("string")
+def _main_texts(pages: pd.Series) -> pd.Series:
+    return pages.map(main_text)
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
@@ -162,7 +161,5 @@ def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", htm
     Null, empty and tag-only pages have an empty text; repeated rows come back as often; no page is cut. Other columns
     are not read; an empty table gives an empty result. Each row is worked on alone, without a shuffle.
     """
-    picked = pages.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), F.col(html_col).cast("string").alias("html"))
-    kinds = {f.name: f.dataType.simpleString() for f in picked.schema}
-    done = picked.mapInPandas(_extracting, f"id {kinds['id']}, url {kinds['url']}, text string, n_chars long")
-    return done.select(F.col("id").alias(id_col), F.col("url").alias(url_col), "text", "n_chars")
+    done = pages.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), _main_texts(F.col(html_col).cast("string")).alias("text"))
+    return done.select(F.col("id").alias(id_col), F.col("url").alias(url_col), "text", F.length("text").cast("long").alias("n_chars"))

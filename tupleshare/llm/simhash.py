@@ -9,7 +9,7 @@ from itertools import combinations
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import materialize
@@ -35,13 +35,12 @@ def fingerprint(text: bytes | None, size: int = SHINGLE) -> int:
     return int.from_bytes(np.packbits((2 * counts > len(hashes)).ravel(), bitorder="little").tobytes(), "little")
 
 
-def _fingerprints(size: int):
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            fp = np.array([fingerprint(t, size) for t in b["text"]], dtype=np.uint64)
-            yield pd.DataFrame({"id": b["id"], "fp": fp.view(np.int64)})
+def fingerprint_column(text: Column, size: int = SHINGLE) -> Column:
+    @F.pandas_udf("long")
+    def fp(texts: pd.Series) -> pd.Series:
+        return pd.Series(np.array([fingerprint(t, size) for t in texts], dtype=np.uint64).view(np.int64))
 
-    return run
+    return fp(text.cast("string").cast("binary"))
 
 
 @dataclass(frozen=True)
@@ -209,9 +208,7 @@ def near_duplicates(docs: DataFrame, pivots: PivotTables | None = None, size: in
     like any other. Rows without an id take part, but give no component its id; a component of only such rows has a
     null one. Repeated rows come back as often. Other columns are not read; an empty table gives an empty result.
     """
-    picked = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("binary").alias("text"))
-    id_type = picked.schema["id"].dataType.simpleString()
-    marked = materialize(picked.mapInPandas(_fingerprints(size), f"id {id_type}, fp long"), "fingerprints")
+    marked = materialize(docs.select(F.col(id_col).alias("id"), fingerprint_column(F.col(text_col), size).alias("fp")), "fingerprints")
     fps = marked.groupBy("fp").agg(F.min("id").alias("first"))
     labels = components(fingerprint_links(fps, pivots))
     rooted = fps.join(labels, fps["fp"] == labels["node"], "left").select("fp", "first", F.coalesce("label", "fp").alias("label"))
