@@ -76,42 +76,65 @@ def _best(q: np.ndarray, ids: np.ndarray, score: np.ndarray, k: int) -> np.ndarr
     return order[np.arange(len(q)) - first < k]
 
 
+class _Held:
+    """The best so far of each query within a task, and the floor under which nothing can enter."""
+
+    def __init__(self, ids: np.ndarray, x: np.ndarray, floor: np.ndarray, k: int):
+        self.ids, self.x, self.floor, self.k = ids, x, floor.copy(), k
+        self.q, self.id, self.score = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+        self.waiting: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        self.n_waiting = 0
+
+    def offer(self, q: np.ndarray, ids: np.ndarray, vectors: np.ndarray) -> None:
+        if len(q):
+            score = products(self.x[q], vectors)
+            ok = score >= self.floor[q]
+            self.waiting.append((q[ok], ids[ok], score[ok]))
+            self.n_waiting += int(ok.sum())
+        if self.n_waiting > 4 * len(self.ids) + 50_000:
+            self.merge()
+
+    def merge(self) -> None:
+        self.q, self.id, self.score = (np.concatenate([old, *new]) for old, *new in zip((self.q, self.id, self.score), *self.waiting, strict=True))
+        self.waiting, self.n_waiting = [], 0
+        keep = _best(self.q, self.id, self.score, self.k)
+        self.q, self.id, self.score = self.q[keep], self.id[keep], self.score[keep]
+        heads = np.searchsorted(self.q, np.arange(len(self.ids) + 1))
+        full = np.flatnonzero(np.diff(heads) >= self.k)
+        self.floor[full] = np.maximum(self.floor[full], self.score[heads[full] + self.k - 1])
+
+
 def _scanning(shared, dim: int, s: Search):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         query_ids, queries, floor = shared.value
-        n = len(query_ids)
+        n, held = len(query_ids), _Held(query_ids, queries, floor, s.k)
         q_norm = np.sqrt((queries**2).sum(axis=1))
-        units = ((queries / q_norm[:, None]) @ rotation(dim, s.seed).T).astype(np.float32)
-        floor = floor.copy()
-        held = [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]  # query, id, score
+        turned = ((queries / q_norm[:, None]) @ rotation(dim, s.seed).T).astype(np.float32) / np.float32(np.sqrt(dim))
+        single = queries.astype(np.float32)
         step, pairs = max(64, 2_000_000 // max(1, n)), max(1024, 2_000_000 // dim)  # bound the largest arrays to some 16 MB
         for b in batches:
-            ids = b["id"].to_numpy()
+            ids, norm, gain = b["id"].to_numpy(), b["norm"].to_numpy(), b["gain"].to_numpy()
             x = np.stack(b["vector"].to_numpy()) if len(b) else np.zeros((0, dim))
-            norm, gain = b["norm"].to_numpy(), b["gain"].to_numpy()
             packed = np.frombuffer(b"".join(b["code"]), np.uint8).reshape(len(b), -1)
+            error = s.width * np.sqrt(np.maximum(0, 1 - gain * gain) / max(1, dim - 1)) / gain
+            short = x.astype(np.float32)
             for at in range(0, len(b), step):
                 part = slice(at, at + step)
-                signs = (np.unpackbits(packed[part], axis=1, count=dim).astype(np.float32) * 2 - 1) / np.float32(np.sqrt(dim))
-                g = gain[part]
-                error = s.width * np.sqrt(np.maximum(0, 1 - g * g) / max(1, dim - 1)) / g
-                upper = (units @ signs.T) / g.astype(np.float32) + error.astype(np.float32)
-                bar = floor / q_norm
-                c, q = np.nonzero(((upper * norm[part].astype(np.float32)).T >= (bar - 1e-5 * np.abs(bar)).astype(np.float32)))
-                c += at
-                other = ids[c] != query_ids[q]
-                c, q = c[other], q[other]
-                for lo in range(0, len(c), pairs):
-                    cc, qq = c[lo : lo + pairs], q[lo : lo + pairs]
-                    score = products(queries[qq], x[cc])
-                    ok = score >= floor[qq]
-                    held = [np.concatenate([h, v]) for h, v in zip(held, (qq[ok], ids[cc][ok], score[ok]), strict=True)]
-                    keep = _best(*held, s.k)
-                    held = [h[keep] for h in held]
-                    heads = np.searchsorted(held[0], np.arange(n + 1))
-                    full = np.flatnonzero(np.diff(heads) >= s.k)
-                    floor[full] = np.maximum(floor[full], held[2][heads[full] + s.k - 1])
-        yield pd.DataFrame({"query_id": query_ids[held[0]], "id": held[1], "score": held[2]})
+                signs = np.unpackbits(packed[part], axis=1, count=dim).astype(np.float32) * 2 - 1
+                # product <= |query| |vector| (estimate + error); compared as estimate * gain, for each row of the index
+                scaled = signs @ turned.T
+                ratio = held.floor / q_norm
+                bar = (ratio - 1e-5 * np.abs(ratio)).astype(np.float32) * (gain[part] / norm[part]).astype(np.float32)[:, None] - (error[part] * gain[part]).astype(np.float32)[:, None]
+                near = np.flatnonzero(scaled >= bar)
+                for lo in range(0, len(near), pairs):
+                    c, q = np.divmod(near[lo : lo + pairs], n)
+                    c += at
+                    rough = np.einsum("ij,ij->i", single[q], short[c])  # in single precision, far cheaper than the exact one
+                    ok = (rough >= held.floor[q] - 1e-4 * q_norm[q] * norm[c]) & (ids[c] != query_ids[q])
+                    c, q = c[ok], q[ok]
+                    held.offer(q, ids[c], x[c])
+        held.merge()
+        yield pd.DataFrame({"query_id": query_ids[held.q], "id": held.id, "score": held.score})
 
     return run
 
