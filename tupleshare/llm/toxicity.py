@@ -109,6 +109,25 @@ def _counting(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         yield pd.DataFrame({"term": part, "toxic": [counts[1][k] for k in part], "other": [counts[0][k] for k in part]})
 
 
+def _crediting(support: dict[str, int]):
+    """Counts each toxic text for one term it has, that with most support: how often a term is needed."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        automaton = ahocorasick.Automaton()
+        for t, n in support.items():
+            automaton.add_word(t, (n, t))
+        automaton.make_automaton()
+        counts: Counter = Counter()
+        for b in batches:
+            for text in b["text"]:
+                hits = [hit for _, hit in automaton.iter(fold(text))] if support else []
+                if hits:
+                    counts[max(hits)[1]] += 1
+        yield pd.DataFrame({"term": list(counts), "n": list(counts.values())})
+
+    return run
+
+
 def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.05) -> tuple[float, float]:
     """Slope and offset by Newton's method, the slope held to 0 or more."""
     beta = np.array([0.0, float(np.log((y.sum() + 0.5) / (len(y) - y.sum() + 0.5)))])
@@ -155,6 +174,16 @@ def fit_lexicon(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", ro
         if any(terms[w][1] >= 0.95 * terms[t][1] for w in whole):
             del chosen[t]
             chosen.update({w: terms[w][0] for w in whole})
+    # Of stems that speak for much the same texts the longest is the most exact.
+    for t in [t for t in chosen if not t.endswith(" ")]:
+        longest = max((s for s in terms if not s.endswith(" ") and s.startswith(t) and terms[s][1] >= 0.95 * terms[t][1]), key=len)
+        if longest != t:
+            del chosen[t]
+            chosen[longest] = terms[longest][0]
+    # Rare words of texts that a stronger term marks already are but company; else a cluster of near copies would fill the lexicon.
+    needed = sample.where("label > 0").select("text").mapInPandas(_crediting({t: terms[t][1] for t in chosen}), "term string, n long")
+    alone = {r["term"] for r in needed.groupBy("term").agg(F.sum("n").alias("n")).where(F.col("n") >= least).collect()}
+    chosen = {t: w for t, w in chosen.items() if t in alone or terms[t][1] >= 0.03 * n_toxic}
     chosen = dict(sorted(chosen.items(), key=lambda kv: (-kv[1], kv[0]))[:MAX_TERMS])
     stems = [t for t in chosen if not t.endswith(" ")]
     clean: list[str] = []
