@@ -123,7 +123,8 @@ def _crediting(support: dict[str, int]):
                 hits = [hit for _, hit in automaton.iter(fold(text))] if support else []
                 if hits:
                     counts[max(hits)[1]] += 1
-        yield pd.DataFrame({"term": list(counts), "n": list(counts.values())})
+        if counts:  # a frame without rows has no type that Arrow could read from its strings
+            yield pd.DataFrame({"term": list(counts), "n": list(counts.values())})
 
     return run
 
