@@ -12,6 +12,7 @@ from functools import lru_cache
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StringType
 
 from .html_labels import LABELLED
 
@@ -150,7 +151,7 @@ def main_text(page: str | None) -> str:
     return "\n".join(b for b in (" ".join(b.split()) for b in blocks) if b)
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(StringType())
 def _main_texts(pages: pd.Series) -> pd.Series:
     return pages.map(main_text)
 

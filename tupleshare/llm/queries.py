@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import ann, html_extract, license_scan, line_dedup, quality, simhash, toxicity, url_filter
+from . import ann, decontam, html_extract, license_scan, line_dedup, mixing, quality, simhash, toxicity, url_filter
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -40,11 +40,21 @@ def op6_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_extract.extract(table(spark, sf_dir, "pages"))
 
 
+def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A row for each benchmark item found in a document."""
+    return decontam.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, text without repeated lines, how many went."""
     return line_dedup.dedup_lines(table(spark, sf_dir, "documents")).select("doc_id", "deduped.text", "deduped.n_removed")
 
 
+def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The sampled documents, with their cell and its probability."""
+    return mixing.sample(table(spark, sf_dir, "documents")).select("doc_id", "source", "lang", "mix.*")
+
+
 def op10_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ann.nearest(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
 
@@ -111,7 +121,7 @@ r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, ve
 SELECT query_id, CAST(rank AS INTEGER) AS rank, vec_id, score FROM r WHERE rank <= 20"""
 
 
-QUERIES = [op1_toxicity, op2_license_scan, op3_url_filter, op4_simhash_near_dedup, op5_quality, op6_html_extraction, op8_line_dedup, op10_nearest_neighbours]
+QUERIES = [op1_toxicity, op2_license_scan, op3_url_filter, op4_simhash_near_dedup, op5_quality, op6_html_extraction, op7_decontamination, op8_line_dedup, op9_mixing, op10_nearest_neighbours]
 
 
 def queries() -> dict[str, Query]:

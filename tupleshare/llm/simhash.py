@@ -208,11 +208,29 @@ def near_duplicates(docs: DataFrame, pivots: PivotTables | None = None, size: in
     like any other. Rows without an id take part, but give no component its id; a component of only such rows has a
     null one. Repeated rows come back as often. Other columns are not read; an empty table gives an empty result.
     """
+    marked, by_fp = _classes(docs, pivots, size, id_col, text_col)
+    named = marked.join(by_fp, "fp")
+    return named.select(F.col("id").alias(id_col), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def _classes(docs: DataFrame, pivots: PivotTables | None, size: int, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
+    """(id, fp) of the rows and (fp, component_id) of the fingerprints."""
     marked = materialize(docs.select(F.col(id_col).alias("id"), fingerprint_column(F.col(text_col), size).alias("fp")), "fingerprints")
     fps = marked.groupBy("fp").agg(F.min("id").alias("first"))
     labels = components(fingerprint_links(fps, pivots))
     rooted = fps.join(labels, fps["fp"] == labels["node"], "left").select("fp", "first", F.coalesce("label", "fp").alias("label"))
     classes = rooted.groupBy("label").agg(F.min("first").alias("component_id"))
-    by_fp = rooted.join(classes, "label").select("fp", "component_id")
-    named = marked.join(by_fp, "fp")
-    return named.select(F.col("id").alias(id_col), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    return marked, rooted.join(classes, "label").select("fp", "component_id")
+
+
+#: Ids that may be broadcast to the scan of the documents; more are joined by shuffle.
+BROADCAST_IDS = 1_000_000
+
+
+def keep_first(docs: DataFrame, pivots: PivotTables | None = None, size: int = SHINGLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows, with all their columns, whose id is the least of their component, and rows without an id. Rows that share
+    an id stay or go together."""
+    marked, by_fp = _classes(docs, pivots, size, id_col, text_col)
+    gone = marked.join(by_fp, "fp").where(F.col("id").isNotNull() & (F.col("id") != F.col("component_id"))).select(F.col("id").alias(id_col)).distinct()
+    gone = materialize(gone, "near-copies")
+    return docs.join(F.broadcast(gone) if gone.count() <= BROADCAST_IDS else gone, id_col, "left_anti")
