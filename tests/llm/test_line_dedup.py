@@ -50,14 +50,11 @@ def random_docs(rng, n, vocabulary=400, copies=0.3):
     return docs
 
 
-@pytest.mark.parametrize("seed, alone, paired, first", [(1, 400, 20000, 16), (2, 3, 10, 16), (3, 2, 4, 1), (4, 0, 1, 2)])
-def test_equals_brute_force(spark, monkeypatch, seed, alone, paired, first):
-    monkeypatch.setattr(ld, "ALONE", alone)
-    monkeypatch.setattr(ld, "PAIRED", paired)
-    monkeypatch.setattr(ld, "FIRST", first)
+@pytest.mark.parametrize("seed, alone, paired, first", [(1, 400, 20000, 16), (2, 3, 10, 16), (3, 2, 4, 1), (4, 1, 2, 2)])
+def test_equals_brute_force(spark, seed, alone, paired, first):
     rows = random_docs(np.random.default_rng(seed), 150, 60 if seed == 4 else 400)
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
-    got = {(r.doc, r.line) for r in ld.later_matches(df).collect()}
+    got = {(r.doc, r.line) for r in ld.later_matches(df, ld.LineRule(alone=alone, paired=paired, first=first, first_of_part=first)).collect()}
     assert got == plain_removed(rows)
 
 

@@ -13,13 +13,11 @@ Rows between the steps are packed into binary blobs, one for each part of the li
 from __future__ import annotations
 
 import math
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -27,73 +25,147 @@ from .common import materialize
 
 #: Counters of word frequency: slices of 2^16. Words that share a counter share its count; the order stays total.
 SLICES = 64
-#: Words up to the first count are met alone, up to the second in pairs, others in triples.
-ALONE, PAIRED = 400, 20_000
-#: Earlier candidates of a line that are verified at once; lines whose first ones all fail and that have more go the exact way for the rest.
-FIRST = 16
 #: Rows of a side that may be broadcast (some 100 bytes each); a larger one is joined by shuffle.
 BROADCAST_ROWS = 300_000
-_LINES = 1 << 16  # of one block; their number within it takes 16 bits
+#: Lines and bytes of the blocks that arrays are made of; a line's number within its block takes 14 bits.
+BLOCK_LINES, BLOCK_BYTES = 1 << 14, 4_000_000
 POSTING = np.dtype([("sig", "<u8"), ("key", "<u8"), ("doc", "<i8"), ("line", "<i4"), ("n", "<u4"), ("at", "<u4"), ("low", "<u8"), ("high", "<u8")])
+HOME = np.uint32(1 << 31)  # in `at`: the first posting of its line
+_SPACE = np.zeros(256, bool)
+_SPACE[[9, 10, 11, 12, 13, 32]] = True
+_BASE = 0x9E3779B97F4A7C15
+_BASE_BACK = pow(_BASE, -1, 1 << 64)
 
 
 @dataclass(frozen=True)
 class LineRule:
-    """Lines of fewer than `least` distinct words are never compared."""
+    """Lines of fewer than `least` distinct words are never compared. The rest has no effect on the result: words up to
+    the count `alone` are met alone, up to `paired` in pairs, others in triples; of a line's earlier candidates
+    `first_of_part` from each part and `first` in all are verified at once, and lines whose first ones all fail and that
+    have more go the exact way for the rest."""
 
     threshold: float = 0.8
     least: int = 5
-
-
-class _Hashes(dict):
-    def __missing__(self, word: bytes) -> int:
-        if len(self) > 400_000:
-            self.clear()
-        h = self[word] = xxhash.xxh64_intdigest(word)
-        return h
-
-
-def line_sets(text: bytes | None, least: int) -> Iterator[tuple[int, set[bytes]]]:
-    """Number and set of words of each line that is compared: A-Z lower-cased, split at ASCII white space."""
-    for k, line in enumerate((text or b"").lower().split(b"\n")):
-        if line:
-            words = set(line.split())
-            if len(words) >= least:
-                yield k, words
+    alone: int = 3000
+    paired: int = 30_000
+    first_of_part: int = 4
+    first: int = 16
+
+
+def words_of(line: bytes) -> set[bytes]:
+    """A-Z lower-cased, split at ASCII white space."""
+    return set(line.lower().split())
+
+
+class _Powers:
+    """1, b, b^2, ... modulo 2^64, made once for a task."""
+
+    def __init__(self, base: int):
+        self.base, self.values = base, np.ones(1, np.uint64)
+
+    def upto(self, n: int) -> np.ndarray:
+        while len(self.values) < n:
+            self.values = np.concatenate([self.values, self.values * np.uint64(pow(self.base, len(self.values), 1 << 64))])
+        return self.values[:n]
+
+
+class Hasher:
+    """Hashes of all words of a buffer at once: polynomials in the bytes, modulo 2^64, mixed."""
+
+    def __init__(self):
+        self.up, self.down = _Powers(_BASE), _Powers(_BASE_BACK)
+
+    def words(self, buffer: bytes) -> tuple[np.ndarray, np.ndarray]:
+        """Starts and 50-bit hashes, in order. The buffer is lower-cased and ends in white space."""
+        data = np.frombuffer(buffer, np.uint8)
+        space = _SPACE[data]
+        edge = np.flatnonzero(space[1:] != space[:-1]) + 1
+        if len(data) and not space[0]:
+            edge = np.r_[0, edge]
+        starts, ends = edge[::2], edge[1::2]
+        sums = np.cumsum(data * self.up.upto(len(data)), dtype=np.uint64)
+        before = np.where(starts > 0, sums[starts - 1], np.uint64(0))
+        h = (sums[ends - 1] - before) * self.down.upto(len(data))[starts] + (ends - starts).astype(np.uint64)
+        h = (h ^ h >> np.uint64(31)) * np.uint64(0xBF58476D1CE4E5B9)
+        h = (h ^ h >> np.uint64(29)) * np.uint64(0x94D049BB133111EB)
+        return starts, (h ^ h >> np.uint64(32)) >> np.uint64(14)
+
+
+def blocks(batches: Iterator[pd.DataFrame], least: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Blocks of the lines that are compared: (document, line number) of each, then line and hash of each of their
+    distinct words, sorted by line and hash."""
+    hasher = Hasher()
+
+    def close(ids: list[int], texts: list[bytes]) -> Iterator:
+        buffer = b"\n".join(texts) + b"\n"
+        ends = np.flatnonzero(np.frombuffer(buffer, np.uint8) == 10)  # of lines
+        starts, h = hasher.words(buffer.lower())
+        doc_starts = np.cumsum([0] + [len(t) + 1 for t in texts])[:-1]
+        first_line = np.searchsorted(ends, doc_starts)  # of each document
+        owner = np.searchsorted(first_line, np.arange(len(ends)), "right") - 1
+        line = np.searchsorted(ends, starts)
+        for lo in range(0, len(ends), BLOCK_LINES):
+            a, b = np.searchsorted(line, [lo, lo + BLOCK_LINES])
+            packed = np.sort((line[a:b] - lo).astype(np.uint64) << np.uint64(50) | h[a:b])
+            if len(packed):
+                packed = packed[np.r_[True, packed[1:] != packed[:-1]]]
+            of = (packed >> np.uint64(50)).astype(np.int64)
+            n = np.bincount(of, minlength=min(BLOCK_LINES, len(ends) - lo))
+            fit = n >= least
+            if not fit.any():
+                continue
+            keep = fit[of]
+            renumber = np.cumsum(fit) - 1
+            chosen = np.flatnonzero(fit) + lo
+            yield np.array(ids, np.int64)[owner[chosen]], (chosen - first_line[owner[chosen]]).astype(np.int64), renumber[of[keep]], packed[keep] & np.uint64((1 << 50) - 1)
+
+    for batch in batches:
+        ids, texts, size = [], [], 0
+        for i, t in zip(batch["id"].tolist(), batch["text"], strict=True):
+            ids.append(i)
+            texts.append(t)
+            size += len(t)
+            if size > BLOCK_BYTES:
+                yield from close(ids, texts)
+                ids, texts, size = [], [], 0
+        if texts:
+            yield from close(ids, texts)
 
 
 def set_key(hashes: np.ndarray, starts: np.ndarray) -> np.ndarray:
     """Of each run of word hashes, in any order."""
-    with np.errstate(over="ignore"):
-        total = np.add.reduceat(hashes * np.uint64(0x9E3779B97F4A7C15), starts)
-        return total ^ (np.bitwise_xor.reduceat(hashes, starts) * np.uint64(0xC2B2AE3D27D4EB4F))
-
-
-def key_of(words: set[bytes]) -> int:
-    h = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
-    return int(set_key(h, np.zeros(1, int)).view(np.int64)[0])
+    mixed = hashes * np.uint64(0x9E3779B97F4A7C15)
+    mixed ^= mixed >> np.uint64(29)
+    return np.add.reduceat(mixed * np.uint64(0xC2B2AE3D27D4EB4F), starts) ^ np.bitwise_xor.reduceat(mixed, starts)
+
+
+_HASHER = Hasher()
+
+
+def keys_of(lines: list[bytes]) -> np.ndarray:
+    """Keys of the lines' sets, as signed numbers; 0 for lines without words."""
+    out = np.zeros(len(lines), np.int64)
+    for lo in range(0, len(lines), BLOCK_LINES):
+        part = lines[lo : lo + BLOCK_LINES]
+        starts, h = _HASHER.words(b"\n".join(part).lower() + b"\n")
+        if len(h):
+            line = np.searchsorted(np.cumsum([len(x) + 1 for x in part]), starts, "right").astype(np.uint64)
+            packed = np.sort(line << np.uint64(50) | h)
+            packed = packed[np.r_[True, packed[1:] != packed[:-1]]]
+            of = (packed >> np.uint64(50)).astype(np.int64)
+            heads = np.flatnonzero(np.r_[True, of[1:] != of[:-1]])
+            out[lo + of[heads]] = set_key(packed & np.uint64((1 << 50) - 1), heads).view(np.int64)
+    return out
 
 
 def _counting(rule: LineRule):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        counts, words = np.zeros(SLICES << 16, np.uint32), Counter()
-
-        def flush() -> None:
-            if words:
-                h = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words))
-                np.add.at(counts, (h >> np.uint64(42)).astype(np.int64), np.fromiter(words.values(), np.uint32, len(words)))
-                words.clear()
-
-        for b in batches:
-            for text in b["text"]:
-                for _, s in line_sets(text, rule.least):
-                    words.update(s)
-                if len(words) > 300_000:
-                    flush()
-        flush()
+        counts = np.zeros(SLICES << 16, np.uint32)
+        for _, _, _, h in blocks(batches, rule.least):
+            np.add.at(counts, (h >> np.uint64(28)).astype(np.int64), np.uint32(1))
         parts = counts.reshape(SLICES, -1)
         at = [np.flatnonzero(p) for p in parts]
-        yield pd.DataFrame({"slice": range(SLICES), "at": [a.astype("<u2").tobytes() for a in at], "n": [p[a].astype("<u4").tobytes() for p, a in zip(parts, at, strict=True)]})
+        yield pd.DataFrame({"slice": range(SLICES), "at": [a.astype("<u2").tobytes() for a in at], "n": [np.minimum(p[a], 65535).astype("<u2").tobytes() for p, a in zip(parts, at, strict=True)]})
 
     return run
 
@@ -101,54 +173,57 @@ def _counting(rule: LineRule):
 def _adding(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
     total = np.zeros(1 << 16, np.uint64)
     for at, n in zip(rows["at"], rows["n"], strict=True):
-        total[np.frombuffer(at, "<u2")] += np.frombuffer(n, "<u4")
+        total[np.frombuffer(at, "<u2")] += np.frombuffer(n, "<u2")
     return pd.DataFrame({"slice": [key[0]], "n": [np.minimum(total, 65535).astype("<u2").tobytes()]})
 
 
 def word_counts(docs: DataFrame, rule: LineRule) -> np.ndarray:
-    """How many lines have a word of each counter, over all documents; 8 MB, whatever the input."""
-    parts = docs.select("text").mapInPandas(_counting(rule), "slice int, at binary, n binary").groupBy("slice").applyInPandas(_adding, "slice int, n binary").toPandas()
+    """How many lines have a word of each counter, over all documents, up to 65535; 8 MB, whatever the input."""
+    parts = docs.select("id", "text").mapInPandas(_counting(rule), "slice int, at binary, n binary").groupBy("slice").applyInPandas(_adding, "slice int, n binary").toPandas()
     out = np.zeros((SLICES, 1 << 16), np.uint16)
     for k, n in zip(parts["slice"], parts["n"], strict=True):
         out[k] = np.frombuffer(n, "<u2")
     return out.reshape(-1)
 
 
+def _code(count: np.ndarray) -> np.ndarray:
+    """10 bits that rise with the count; exact up to 512, then in steps."""
+    big = np.maximum(count.astype(np.int64), 1)
+    return np.where(big <= 512, big, np.minimum(1023, 512 + (np.log2(big / 512) * 72).astype(np.int64))).astype(np.uint64)
+
+
 def _mix(*words: np.ndarray) -> np.ndarray:
-    with np.errstate(over="ignore"):
-        out = np.full(len(words[0]), len(words), np.uint64)
-        for w in words:
-            out = (out ^ w) * np.uint64(0x9E3779B97F4A7C15)
-            out ^= out >> np.uint64(31)
+    out = np.full(len(words[0]), len(words), np.uint64)
+    for w in words:
+        out = (out ^ w) * np.uint64(0x9E3779B97F4A7C15)
+        out ^= out >> np.uint64(31)
     return out
 
 
-def signatures(tokens: np.ndarray, count: np.ndarray, n: np.ndarray, starts: np.ndarray, threshold: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def signatures(tokens: np.ndarray, code: np.ndarray, n: np.ndarray, starts: np.ndarray, rule: LineRule) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(line, signature, position of its first word), lines being runs of `n` tokens in order of rarity from `starts`.
 
     If k words are wanted from a frequent first word, the others are later ones of the longer prefix: the rarest common
     word of two matching sets decides, and all their common words are as frequent or more."""
-    first = n - np.ceil(threshold * n - 1e-9).astype(np.int64) + 1  # words of the prefix
-    place = np.arange(len(tokens)) - np.repeat(starts, n)
+    first = n - np.ceil(rule.threshold * n - 1e-9).astype(np.int64) + 1  # words of the prefix
     line = np.repeat(np.arange(len(n)), n)
-    within = place < first[line]
-    lines, sigs, at = [], [], []
-    lone = np.flatnonzero(within & (count > 1) & (count <= ALONE))  # a word of one line meets no other
-    lines.append(line[lone])
-    sigs.append(_mix(tokens[lone]))
-    at.append(place[lone])
-    head = np.flatnonzero(within & (count > ALONE) & (count <= PAIRED))
-    last = np.minimum(first + 1, n)[line[head]]
-    more = np.maximum(0, last - place[head] - 1)
+    place = np.arange(len(tokens)) - starts[line]
+    within = np.flatnonzero((place < first[line]) & (code > 1))  # a word of one line meets no other
+    alone, paired = (int(_code(np.array([c]))[0]) for c in (rule.alone, rule.paired))
+    kind = np.searchsorted([alone, paired], code[within])
+    lone = within[kind == 0]
+    lines, sigs, at = [line[lone]], [_mix(tokens[lone])], [place[lone]]
+    head = within[kind == 1]
+    more = np.maximum(0, np.minimum(first + 1, n)[line[head]] - place[head] - 1)
     a = np.repeat(head, more)
     b = a + 1 + np.arange(len(a)) - np.repeat(np.cumsum(more) - more, more)
     lines.append(line[a])
     sigs.append(_mix(tokens[a], tokens[b]))
     at.append(place[a])
-    head = np.flatnonzero(within & (count > PAIRED))
+    head = within[kind == 2]
     if len(head):
-        last = np.minimum(first + 2, n)[line[head]] - place[head]
-        triples = [(h, h + i, h + j) for h, m in zip(head.tolist(), last.tolist(), strict=True) for i in range(1, m - 1) for j in range(i + 1, m)]
+        left = np.minimum(first + 2, n)[line[head]] - place[head]
+        triples = [(h, h + i, h + j) for h, m in zip(head.tolist(), left.tolist(), strict=True) for i in range(1, m - 1) for j in range(i + 1, m)]
         if triples:
             a, b, c = np.array(triples).T
             lines.append(line[a])
@@ -157,63 +232,51 @@ def signatures(tokens: np.ndarray, count: np.ndarray, n: np.ndarray, starts: np.
     return np.concatenate(lines), np.concatenate(sigs), np.concatenate(at)
 
 
+def _block_postings(doc: np.ndarray, number: np.ndarray, line: np.ndarray, h: np.ndarray, counts: np.ndarray, rule: LineRule) -> tuple[np.ndarray, np.ndarray]:
+    """Postings of the sets of a block, each at its first place, and the places where the block itself repeats one."""
+    n = np.bincount(line)
+    starts = np.cumsum(n) - n
+    key = set_key(h, starts)
+    order = np.lexsort((number, doc, key))
+    new = np.r_[True, key[order][1:] != key[order][:-1]]
+    origin = order[new][np.cumsum(new) - 1]
+    later = order[(doc[order] != doc[origin]) | (number[order] != number[origin])]
+    keep = np.zeros(len(n), bool)
+    keep[order[new]] = True
+
+    bit = h & np.uint64(127)
+    flip = np.uint64(1) << (bit & np.uint64(63))
+    low = np.bitwise_xor.reduceat(np.where(bit < 64, flip, np.uint64(0)), starts)
+    high = np.bitwise_xor.reduceat(np.where(bit < 64, np.uint64(0), flip), starts)
+    code = _code(counts[(h >> np.uint64(28)).astype(np.int64)])
+    packed = np.sort(line.astype(np.uint64) << np.uint64(50) | code << np.uint64(40) | (h & np.uint64((1 << 40) - 1)))
+    token = packed & np.uint64((1 << 50) - 1)
+    of, sig, at = signatures(token, (token >> np.uint64(40)).astype(np.int64), n, starts, rule)
+    ok = keep[of]
+    of, sig, at = of[ok], sig[ok], at[ok].astype(np.uint32)
+    home = np.lexsort((sig, at, of))
+    home = home[np.r_[True, of[home][1:] != of[home][:-1]]] if len(of) else home
+    at[home] |= HOME
+    out = np.empty(len(of), POSTING)
+    for name, values in (("sig", sig), ("key", key[of]), ("doc", doc[of]), ("line", number[of]), ("n", n[of]), ("at", at), ("low", low[of]), ("high", high[of])):
+        out[name] = values
+    gone = np.zeros(len(later), POSTING)
+    gone["doc"], gone["line"], gone["key"] = doc[later], number[later], key[later]
+    return out, gone
+
+
 def _posting(shared, rule: LineRule, parts: int):
-    """Blobs of postings by part, and the places that a batch itself shows to repeat an earlier line (part -1)."""
-
-    def block(docs: list[int], numbers: list[int], words: list[bytes], sizes: list[int], hashes: _Hashes) -> tuple[np.ndarray, np.ndarray]:
-        n = np.array(sizes)
-        h = np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words))
-        starts = np.cumsum(n) - n
-        key, doc, number = set_key(h, starts), np.array(docs), np.array(numbers)
-        order = np.lexsort((number, doc, key))
-        new = np.r_[True, key[order][1:] != key[order][:-1]]
-        origin = order[new][np.cumsum(new) - 1]
-        later = order[(doc[order] != doc[origin]) | (number[order] != number[origin])]
-        keep = np.zeros(len(n), bool)
-        keep[order[new]] = True
-
-        line = np.repeat(np.arange(len(n)), n)
-        bit = h & np.uint64(127)
-        flip = np.uint64(1) << (bit & np.uint64(63))
-        low = np.bitwise_xor.reduceat(np.where(bit < 64, flip, np.uint64(0)), starts)
-        high = np.bitwise_xor.reduceat(np.where(bit < 64, np.uint64(0), flip), starts)
-        count = shared.value[(h >> np.uint64(42)).astype(np.int64)]
-        packed = np.sort(line.astype(np.uint64) << np.uint64(48) | count.astype(np.uint64) << np.uint64(32) | (h & np.uint64(0xFFFFFFFF)))
-        of, sig, at = signatures(packed & np.uint64(0xFFFFFFFFFFFF), (packed >> np.uint64(32) & np.uint64(0xFFFF)).astype(np.int64), n, starts, rule.threshold)
-        ok = keep[of]
-        of, sig, at = of[ok], sig[ok], at[ok]
-        out = np.empty(len(of), POSTING)
-        for name, values in (("sig", sig), ("key", key[of]), ("doc", doc[of]), ("line", number[of]), ("n", n[of]), ("at", at), ("low", low[of]), ("high", high[of])):
-            out[name] = values
-        gone = np.zeros(len(later), POSTING)
-        gone["doc"], gone["line"], gone["key"] = doc[later], number[later], key[later]
-        return out, gone
+    """Blobs of postings by part, and of the places of repeats within a block (part -1)."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        hashes = _Hashes()
-        for b in batches:
-            docs, numbers, words, sizes = [], [], [], []
-
-            def ship():
-                out, gone = block(docs, numbers, words, sizes, hashes)
-                part = (out["sig"] % np.uint64(parts)).astype(np.int64)
-                order = np.argsort(part, kind="stable")
-                out, part = out[order], part[order]
-                heads = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(part) else np.zeros(0, int)
-                blobs = [out[s:e].tobytes() for s, e in zip(heads, np.r_[heads[1:], len(out)], strict=True)] if len(part) else []
-                yield pd.DataFrame({"part": [*part[heads].tolist(), -1], "blob": [*blobs, gone.tobytes()]})
-
-            for doc, text in zip(b["id"].to_numpy(), b["text"], strict=True):
-                for k, s in line_sets(text, rule.least):
-                    docs.append(doc)
-                    numbers.append(k)
-                    words.extend(s)
-                    sizes.append(len(s))
-                    if len(sizes) == _LINES or len(words) > 2_000_000:
-                        yield from ship()
-                        docs, numbers, words, sizes = [], [], [], []
-            if sizes:
-                yield from ship()
+        for doc, number, line, h in blocks(batches, rule.least):
+            out, gone = _block_postings(doc, number, line, h, shared.value, rule)
+            part = (out["sig"] % np.uint64(parts)).astype(np.int64)
+            order = np.argsort(part, kind="stable")
+            out, part = out[order], part[order]
+            heads = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(part) else np.zeros(0, int)
+            blobs = [out[s:e].tobytes() for s, e in zip(heads, np.r_[heads[1:], len(out)], strict=True)] if len(part) else []
+            yield pd.DataFrame({"part": [*part[heads].tolist(), -1], "blob": [*blobs, gone.tobytes()]})
 
     return run
 
@@ -230,60 +293,59 @@ def _links(doc, line, key, other_doc=None, other_line=None, other_key=None, more
     )
 
 
-def join_postings(p: np.ndarray, threshold: float, first: int = FIRST) -> tuple[np.ndarray, pd.DataFrame]:
+def _earliest(pairs: np.ndarray, first: int) -> tuple[np.ndarray, np.ndarray]:
+    """Of distinct (later, earlier) pairs, packed and sorted, the `first` of each later one, and which have more."""
+    later = pairs >> np.uint64(32)
+    start = np.flatnonzero(np.r_[True, later[1:] != later[:-1]]) if len(pairs) else np.zeros(0, int)
+    size = np.diff(np.r_[start, len(pairs)])
+    nth = np.arange(len(pairs)) - np.repeat(start, size)
+    return pairs[nth < first], later[start[size > first]]
+
+
+def join_postings(p: np.ndarray, threshold: float, first: int) -> tuple[np.ndarray, pd.DataFrame]:
     """Of a part's postings: those of repeated sets that aren't the first, and candidate links from a line to the
     `first` earliest others that pass the filters; `more` tells that there are others."""
-    order = np.lexsort((p["line"], p["doc"], p["key"], p["n"], p["sig"]))
-    p = p[order]
+    p = p[np.lexsort((p["line"], p["doc"], p["key"], p["n"], p["sig"]))]
     new = np.r_[True, (p["sig"][1:] != p["sig"][:-1]) | (p["key"][1:] != p["key"][:-1]) | (p["n"][1:] != p["n"][:-1])]
     origin = p[np.flatnonzero(new)][np.cumsum(new) - 1]
-    repeats = p[(p["at"] == 0) & ((p["doc"] != origin["doc"]) | (p["line"] != origin["line"]))]  # equal sets share all lists; one tells
+    repeats = p[(p["at"] & HOME > 0) & ((p["doc"] != origin["doc"]) | (p["line"] != origin["line"]))]  # equal sets share all lists; one tells
     p = p[new]
-    n, sig = p["n"].astype(np.int64), p["sig"]
-    heads = np.flatnonzero(np.r_[True, sig[1:] != sig[:-1]])
-    head = heads[np.cumsum(np.r_[False, sig[1:] != sig[:-1]])]
+    sig = np.ascontiguousarray(p["sig"])
+    near = np.r_[sig[1:] == sig[:-1], False] | np.r_[False, sig[1:] == sig[:-1]]
+    p, sig = p[near], sig[near]
+    n, at, low, high = p["n"].astype(np.int32), (p["at"] & ~HOME).astype(np.int32), np.ascontiguousarray(p["low"]), np.ascontiguousarray(p["high"])
+    group = np.cumsum(np.r_[False, sig[1:] != sig[:-1]]) if len(p) else np.zeros(0, int)
     # Sizes rise within a list, so the partners of i that are not longer are those from the first long enough one.
-    group = np.searchsorted(heads, head)
-    lo = np.searchsorted(group * (1 << 32) + n, group * (1 << 32) + np.ceil(threshold * n - 1e-9).astype(np.int64))
+    line_at = group * (1 << 32) + n
+    lo = np.searchsorted(line_at, group * (1 << 32) + np.ceil(threshold * n - 1e-9).astype(np.int64))
     width = np.arange(len(p)) - lo
     place = np.lexsort((p["line"], p["doc"]))
-    rank = np.empty(len(p), np.int64)
-    rank[place] = np.arange(len(p))
-    later_all, earlier_all = [], []
-    ends = np.cumsum(width)
-    at = 0
-    while at < len(p):
-        stop = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + 3_000_000, side="right")))
-        w = width[at:stop]
-        i = np.repeat(np.arange(at, stop), w)
-        j = lo[i] + np.arange(len(i)) - np.repeat(np.cumsum(w) - w, w)
-        need = np.ceil((n[i] + n[j]) * (threshold / (1 + threshold)) - 1e-9).astype(np.int64)
-        ok = np.minimum(n[i] - p["at"][i], n[j] - p["at"][j]) >= need
-        i, j, need = i[ok], j[ok], need[ok]
-        ok = np.bitwise_count(p["low"][i] ^ p["low"][j]).astype(np.int64) + np.bitwise_count(p["high"][i] ^ p["high"][j]) <= n[i] + n[j] - 2 * need
+    fresh = np.r_[True, (p["doc"][place][1:] != p["doc"][place][:-1]) | (p["line"][place][1:] != p["line"][place][:-1])] if len(p) else np.zeros(0, bool)
+    rank = np.empty(len(p), np.uint64)  # of the line, whichever of its lists
+    rank[place] = np.cumsum(fresh) - 1
+    example = place[fresh]
+    ratio, ends, done = threshold / (1 + threshold), np.cumsum(width), 0
+    found, crowded = np.zeros(0, np.uint64), [np.zeros(0, np.uint64)]
+    while done < len(p):
+        stop = max(done + 1, int(np.searchsorted(ends, (ends[done - 1] if done else 0) + 1_000_000, side="right")))
+        w = width[done:stop]
+        i = np.repeat(np.arange(done, stop), w)
+        j = np.repeat(lo[done:stop] - np.cumsum(w) + w, w) + np.arange(len(i))
+        done = stop
+        both = n[i] + n[j]
+        slack = both - 2 * np.ceil(both * ratio - 1e-9).astype(np.int32)  # words that the sets may differ in
+        ok = np.flatnonzero(np.bitwise_count(low[i] ^ low[j]) + np.bitwise_count(high[i] ^ high[j]) <= slack)
         i, j = i[ok], j[ok]
-        swap = rank[i] < rank[j]
-        later, earlier = np.where(swap, j, i), np.where(swap, i, j)
-        ok = (p["doc"][later] != p["doc"][earlier]) | (p["line"][later] != p["line"][earlier])
-        later_all.append(later[ok])
-        earlier_all.append(earlier[ok])
-        at = stop
-    later, earlier = np.concatenate([*later_all, np.zeros(0, int)]), np.concatenate([*earlier_all, np.zeros(0, int)])
-    # A line is in several lists of the part; its candidates are ranked together, by key once each.
-    line_key, other = rank[later], rank[earlier]
-    pair = np.unique(np.stack([line_key, other], axis=1), axis=0) if len(later) else np.zeros((0, 2), np.int64)
-    later, earlier = place[pair[:, 0]], place[pair[:, 1]]
-    who = np.stack([p["doc"][later], p["line"][later].astype(np.int64)], axis=1) if len(later) else np.zeros((0, 2), np.int64)
-    whom = np.stack([p["doc"][earlier], p["line"][earlier].astype(np.int64)], axis=1) if len(later) else np.zeros((0, 2), np.int64)
-    fresh = np.r_[True, (who[1:] != who[:-1]).any(axis=1) | (whom[1:] != whom[:-1]).any(axis=1)] if len(later) else np.zeros(0, bool)
-    later, earlier, who = later[fresh], earlier[fresh], who[fresh]
-    start = np.r_[True, (who[1:] != who[:-1]).any(axis=1)] if len(later) else np.zeros(0, bool)
-    run = np.cumsum(start) - 1
-    nth = np.arange(len(later)) - np.flatnonzero(start)[run] if len(later) else np.zeros(0, int)
-    size = np.bincount(run, minlength=1)[run] if len(later) else np.zeros(0, int)
-    keep = nth < first
-    a, b = p[later[keep]], p[earlier[keep]]
-    return repeats, _links(a["doc"], a["line"], a["key"], b["doc"], b["line"], b["key"], (size > first)[keep])
+        ok = np.minimum(n[i] - at[i], n[j] - at[j]) * 2 >= both[ok] - slack[ok]
+        i, j = rank[i[ok]], rank[j[ok]]
+        i, j = i[i != j], j[i != j]
+        if len(i):
+            found = np.unique(np.concatenate([found, np.maximum(i, j) << np.uint64(32) | np.minimum(i, j)]))
+            found, more = _earliest(found, first)
+            crowded.append(more)
+    later, earlier = example[(found >> np.uint64(32)).astype(np.int64)], example[(found & np.uint64(0xFFFFFFFF)).astype(np.int64)]
+    a, b = p[later], p[earlier]
+    return repeats, _links(a["doc"], a["line"], a["key"], b["doc"], b["line"], b["key"], np.isin(found >> np.uint64(32), np.concatenate(crowded)))
 
 
 def _joining(rule: LineRule):
@@ -291,27 +353,24 @@ def _joining(rule: LineRule):
         p = np.frombuffer(b"".join(rows["blob"]), POSTING)
         if key[0] < 0:
             return _links(p["doc"], p["line"], p["key"])
-        repeats, links = join_postings(p, rule.threshold)
+        repeats, links = join_postings(p, rule.threshold, rule.first_of_part)
         return pd.concat([_links(repeats["doc"], repeats["line"], repeats["key"]), links])
 
     return run
 
 
-def _fetching(rule: LineRule):
+def _fetching(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     """The words of the asked lines of each document."""
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            out = []
-            for doc, text, asked in zip(b["id"], b["text"], b["lines"], strict=True):
-                wanted = set(asked)
-                for k, s in line_sets(text, rule.least):
-                    if k in wanted:
-                        out.append((doc, k, key_of(s), b" ".join(sorted(s))))
-            if out:
-                yield pd.DataFrame(out, columns=["doc", "line", "key", "words"])
-
-    return run
+    for b in batches:
+        places, lines = [], []
+        for doc, text, asked in zip(b["id"], b["text"], b["lines"], strict=True):
+            own = text.split(b"\n")
+            some = [k for k in asked if k < len(own)]  # rows may share an id
+            places += [(doc, k) for k in some]
+            lines += [own[k] for k in some]
+        if lines:
+            docs, numbers = zip(*places, strict=True)
+            yield pd.DataFrame({"doc": docs, "line": numbers, "key": keys_of(lines), "words": [b" ".join(sorted(words_of(x))) for x in lines]})
 
 
 def _similar(threshold: float):
@@ -332,28 +391,28 @@ def _sided(left: DataFrame, right: DataFrame, on: list[str], rows: int, how: str
     return left.join(F.broadcast(right) if rows <= BROADCAST_ROWS else right, on, how)
 
 
-def _against_all(shared, rule: LineRule):
+def _against_all(shared, counts, rule: LineRule):
     """Hard lines, a block of bounded size, with every line of the corpus: those that have an earlier match."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        hard = [(d, k, key, set(words.split())) for d, k, key, words in shared.value]
-        index: dict[bytes, list[int]] = {}
-        for m, (_, _, _, words) in enumerate(hard):  # in any one order of words a prefix is enough
-            for w in sorted(words, key=lambda w: (-len(w), w))[: len(words) - math.ceil(rule.threshold * len(words) - 1e-9) + 1]:
+        hard = [(d, k, key, np.unique(_HASHER.words(bytes(words) + b"\n")[1])) for d, k, key, words in shared.value]
+        index: dict[int, list[int]] = {}
+        for m, (_, _, _, words) in enumerate(hard):
+            rare = words[np.lexsort((words, counts.value[(words >> np.uint64(28)).astype(np.int64)]))]
+            for w in rare[: len(words) - math.ceil(rule.threshold * len(words) - 1e-9) + 1].tolist():
                 index.setdefault(w, []).append(m)
-        probe, hit = frozenset(index), set()
-        for b in batches:
-            for doc, text in zip(b["id"], b["text"], strict=True):
-                for k, s in line_sets(text, rule.least):
-                    if probe.isdisjoint(s):
-                        continue
-                    for m in {m for w in probe & s for m in index[w]} - hit:
-                        d, number, _, words = hard[m]
-                        common = len(s & words)
-                        if (doc, k) < (d, number) and common >= rule.threshold * (len(s) + len(words) - common) - 1e-9:
-                            hit.add(m)
-        rows = [hard[m][:3] for m in sorted(hit)]
-        yield pd.DataFrame(rows, columns=["doc", "line", "key"], dtype="int64")
+        probe, hit = np.array(sorted(index), np.uint64), set()
+        for doc, number, line, h in blocks(batches, rule.least):
+            at = np.minimum(np.searchsorted(probe, h), len(probe) - 1)
+            starts = np.searchsorted(line, np.arange(len(doc) + 1))
+            tokens = np.flatnonzero(probe[at] == h)
+            for k, m in {(k, m) for k, w in zip(line[tokens].tolist(), h[tokens].tolist(), strict=True) for m in index[w]}:
+                own, (d, no, _, words) = h[starts[k] : starts[k + 1]], hard[m]
+                if m not in hit and min(len(own), len(words)) >= rule.threshold * max(len(own), len(words)) and (doc[k], number[k]) < (d, no):
+                    common = len(np.intersect1d(own, words, assume_unique=True))
+                    if common >= rule.threshold * (len(own) + len(words) - common) - 1e-9:
+                        hit.add(m)
+        yield pd.DataFrame([hard[m][:3] for m in sorted(hit)], columns=["doc", "line", "key"], dtype="int64")
 
     return run
 
@@ -376,15 +435,14 @@ def later_matches(docs: DataFrame, rule: LineRule = LineRule(), id_col: str = "d
     place = F.struct("other_doc", "other_line", "other_key")
     links = (
         found.where(~same).groupBy("doc", "line", "key")
-        .agg(F.slice(F.sort_array(F.collect_set(place)), 1, FIRST).alias("others"), (F.max("more") | (F.size(F.collect_set(place)) > FIRST)).alias("more"))
+        .agg(F.slice(F.sort_array(F.collect_set(place)), 1, rule.first).alias("others"), (F.max("more") | (F.size(F.collect_set(place)) > rule.first)).alias("more"))
     )
     links = materialize(links, "line-candidates")
     pairs = links.select("doc", "line", "key", "more", F.explode("others").alias("o")).select("doc", "line", "key", "more", "o.*")
     asked = pairs.select("doc", "line").union(pairs.select(F.col("other_doc").alias("doc"), F.col("other_line").alias("line")))
-    asked = asked.groupBy(F.col("doc").alias("id")).agg(F.collect_set("line").alias("lines"))
-    n_asked = links.count()
-    texts = _sided(rows, asked, ["id"], n_asked * (FIRST + 1))
-    words = materialize(texts.select("id", "text", "lines").mapInPandas(_fetching(rule), "doc long, line int, key long, words binary").dropDuplicates(["doc", "line", "key"]), "line-words")
+    asked = materialize(asked.groupBy(F.col("doc").alias("id")).agg(F.collect_set("line").alias("lines")), "lines-asked")
+    texts = _sided(rows, asked, ["id"], asked.count())
+    words = materialize(texts.select("id", "text", "lines").mapInPandas(_fetching, "doc long, line int, key long, words binary").dropDuplicates(["doc", "line", "key"]), "line-words")
     others = words.select(F.col("doc").alias("other_doc"), F.col("line").alias("other_line"), F.col("key").alias("other_key"), F.col("words").alias("other_words"))
     both = pairs.join(words, ["doc", "line", "key"]).join(others, ["other_doc", "other_line", "other_key"])
     judged = both.withColumn("match", _similar(rule.threshold)("words", "other_words")).groupBy("doc", "line", "key").agg(F.max("match").alias("match"), F.max("more").alias("more"))
@@ -398,27 +456,25 @@ def later_matches(docs: DataFrame, rule: LineRule = LineRule(), id_col: str = "d
         block = hard.where(F.pmod(F.xxhash64("doc", "line"), F.lit(blocks)) == b).collect()
         if block:
             shared = spark.sparkContext.broadcast([(r["doc"], r["line"], r["key"], bytes(r["words"])) for r in block])
-            out = out.unionAll(rows.mapInPandas(_against_all(shared, rule), "doc long, line int, key long"))
+            out = out.unionAll(rows.mapInPandas(_against_all(shared, counts, rule), "doc long, line int, key long"))
     return out
 
 
-def _keep_lines(least: int):
+def _keep_lines():
     @F.pandas_udf("text string, n_removed int")
     def keep(texts: pd.Series, lines: pd.Series, keys: pd.Series) -> pd.DataFrame:
-        out, removed = [], []
-        for text, gone, named in zip(texts, lines, keys, strict=True):
-            if text is None or gone is None:
-                out.append(text)
-                removed.append(0)
-                continue
-            pairs, drop = set(zip(gone.tolist(), named.tolist(), strict=True)), set()
-            numbers = set(gone.tolist())
-            for k, s in line_sets(text.encode("utf-8", "surrogatepass"), least):
-                if k in numbers:
-                    if (k, key_of(s)) in pairs:
-                        drop.add(k)
-            out.append("\n".join(x for k, x in enumerate(text.split("\n")) if k not in drop))
-            removed.append(len(drop))
+        out, removed, asked = list(texts), [0] * len(texts), []
+        for i, (text, gone, named) in enumerate(zip(texts, lines, keys, strict=True)):
+            if text is not None and gone is not None:
+                own = text.split("\n")
+                asked += [(i, k, key, own[k].encode("utf-8", "surrogatepass")) for k, key in zip(gone.tolist(), named.tolist(), strict=True) if k < len(own)]
+        drop: dict[int, set[int]] = {}
+        for (i, k, key, _), now in zip(asked, keys_of([a[3] for a in asked]).tolist(), strict=True):
+            if key == now:  # rows may share an id; a line that isn't the one that was found stays
+                drop.setdefault(i, set()).add(k)
+        for i, gone in drop.items():
+            out[i] = "\n".join(x for k, x in enumerate(out[i].split("\n")) if k not in gone)
+            removed[i] = len(gone)
         return pd.DataFrame({"text": out, "n_removed": removed})
 
     return keep
@@ -437,6 +493,6 @@ def dedup_lines(docs: DataFrame, rule: LineRule = LineRule(), id_col: str = "doc
     gone = materialize(gone.select("__id", F.col("__gone.line").alias("__lines"), F.col("__gone.key").alias("__keys")), "lines-gone")
     joined = _sided(docs.withColumn("__id", F.col(id_col).cast("long")), gone, ["__id"], gone.count(), "left")
     text, some = F.col(text_col).cast("string"), F.col("__lines").isNotNull()
-    kept = _keep_lines(rule.least)(F.when(some, text), F.col("__lines"), F.col("__keys"))  # other texts stay in the JVM
+    kept = _keep_lines()(F.when(some, text), F.col("__lines"), F.col("__keys"))  # other texts stay in the JVM
     deduped = F.when(some, F.col("__kept")).otherwise(F.struct(text.alias("text"), F.lit(0).alias("n_removed")))
     return joined.withColumn("__kept", kept).select(*(docs[c] for c in docs.columns), deduped.alias("deduped"))
