@@ -28,7 +28,7 @@ SLICES = 64
 #: Rows of a side that may be broadcast (some 100 bytes each); a larger one is joined by shuffle.
 BROADCAST_ROWS = 300_000
 #: Lines and bytes of the blocks that arrays are made of; a line's number within its block takes 14 bits.
-BLOCK_LINES, BLOCK_BYTES = 1 << 14, 4_000_000
+BLOCK_LINES, BLOCK_BYTES = 1 << 14, 1_500_000
 POSTING = np.dtype([("sig", "<u8"), ("key", "<u8"), ("doc", "<i8"), ("line", "<i4"), ("n", "<u4"), ("at", "<u4"), ("low", "<u8"), ("high", "<u8")])
 HOME = np.uint32(1 << 31)  # in `at`: the first posting of its line
 _SPACE = np.zeros(256, bool)
@@ -96,11 +96,21 @@ def blocks(batches: Iterator[pd.DataFrame], least: int) -> Iterator[tuple[np.nda
     distinct words, sorted by line and hash."""
     hasher = Hasher()
 
-    def close(ids: list[int], texts: list[bytes]) -> Iterator:
+    def pieces(text: bytes) -> Iterator[tuple[int, bytes]]:
+        """Number of the first line and text of the parts of a long text, cut at line ends."""
+        number = at = 0
+        while len(text) - at > BLOCK_BYTES and (end := text.rfind(b"\n", at, at + BLOCK_BYTES)) >= at or (at < len(text) - BLOCK_BYTES and (end := text.find(b"\n", at)) >= 0):
+            part = text[at:end]
+            yield number, part
+            number += part.count(b"\n") + 1
+            at = end + 1
+        yield number, text[at:] if at else text
+
+    def close(ids: list[int], texts: list[bytes], bases: list[int]) -> Iterator:
         buffer = b"\n".join(texts) + b"\n"
         ends = np.flatnonzero(np.frombuffer(buffer, np.uint8) == 10)  # of lines
         starts, h = hasher.words(buffer.lower())
-        doc_starts = np.cumsum([0] + [len(t) + 1 for t in texts])[:-1]
+        doc_starts, base = np.cumsum([0] + [len(t) + 1 for t in texts])[:-1], np.array(bases)
         first_line = np.searchsorted(ends, doc_starts)  # of each document
         owner = np.searchsorted(first_line, np.arange(len(ends)), "right") - 1
         line = np.searchsorted(ends, starts)
@@ -117,19 +127,21 @@ def blocks(batches: Iterator[pd.DataFrame], least: int) -> Iterator[tuple[np.nda
             keep = fit[of]
             renumber = np.cumsum(fit) - 1
             chosen = np.flatnonzero(fit) + lo
-            yield np.array(ids, np.int64)[owner[chosen]], (chosen - first_line[owner[chosen]]).astype(np.int64), renumber[of[keep]], packed[keep] & np.uint64((1 << 50) - 1)
+            yield np.array(ids, np.int64)[owner[chosen]], (chosen - first_line[owner[chosen]] + base[owner[chosen]]).astype(np.int64), renumber[of[keep]], packed[keep] & np.uint64((1 << 50) - 1)
 
     for batch in batches:
-        ids, texts, size = [], [], 0
+        ids, texts, bases, size = [], [], [], 0
         for i, t in zip(batch["id"].tolist(), batch["text"], strict=True):
-            ids.append(i)
-            texts.append(t)
-            size += len(t)
-            if size > BLOCK_BYTES:
-                yield from close(ids, texts)
-                ids, texts, size = [], [], 0
+            for base_line, piece in pieces(t):
+                ids.append(i)
+                texts.append(piece)
+                bases.append(base_line)
+                size += len(piece)
+                if size > BLOCK_BYTES:
+                    yield from close(ids, texts, bases)
+                    ids, texts, bases, size = [], [], [], 0
         if texts:
-            yield from close(ids, texts)
+            yield from close(ids, texts, bases)
 
 
 def set_key(hashes: np.ndarray, starts: np.ndarray) -> np.ndarray:
@@ -144,17 +156,20 @@ _HASHER = Hasher()
 
 def keys_of(lines: list[bytes]) -> np.ndarray:
     """Keys of the lines' sets, as signed numbers; 0 for lines without words."""
-    out = np.zeros(len(lines), np.int64)
-    for lo in range(0, len(lines), BLOCK_LINES):
-        part = lines[lo : lo + BLOCK_LINES]
+    out, lo = np.zeros(len(lines), np.int64), 0
+    ends = np.cumsum([len(x) + 1 for x in lines])
+    while lo < len(lines):
+        hi = min(lo + BLOCK_LINES, max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + BLOCK_BYTES, "right"))))
+        part = lines[lo:hi]
         starts, h = _HASHER.words(b"\n".join(part).lower() + b"\n")
         if len(h):
-            line = np.searchsorted(np.cumsum([len(x) + 1 for x in part]), starts, "right").astype(np.uint64)
+            line = np.searchsorted(ends[lo:hi] - (ends[lo - 1] if lo else 0), starts, "right").astype(np.uint64)
             packed = np.sort(line << np.uint64(50) | h)
             packed = packed[np.r_[True, packed[1:] != packed[:-1]]]
             of = (packed >> np.uint64(50)).astype(np.int64)
             heads = np.flatnonzero(np.r_[True, of[1:] != of[:-1]])
             out[lo + of[heads]] = set_key(packed & np.uint64((1 << 50) - 1), heads).view(np.int64)
+        lo = hi
     return out
 
 
@@ -327,7 +342,7 @@ def join_postings(p: np.ndarray, threshold: float, first: int) -> tuple[np.ndarr
     ratio, ends, done = threshold / (1 + threshold), np.cumsum(width), 0
     found, crowded = np.zeros(0, np.uint64), [np.zeros(0, np.uint64)]
     while done < len(p):
-        stop = max(done + 1, int(np.searchsorted(ends, (ends[done - 1] if done else 0) + 1_000_000, side="right")))
+        stop = max(done + 1, int(np.searchsorted(ends, (ends[done - 1] if done else 0) + 400_000, side="right")))
         w = width[done:stop]
         i = np.repeat(np.arange(done, stop), w)
         j = np.repeat(lo[done:stop] - np.cumsum(w) + w, w) + np.arange(len(i))
