@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-import json
 import math
 from collections.abc import Callable
 from dataclasses import dataclass
 from fractions import Fraction
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: Players of one answer that fit a 64-bit mask with its sign bit clear.
@@ -61,14 +60,20 @@ class Semivalue:
         return [[0.0]] + [[float(self.weight(n, k)) for k in range(n)] for n in range(1, largest + 1)]
 
 
-def lookup(table: list[list[float]], i: Column, j: Column) -> Column:
-    """table[i][j] as an expression; null outside. The table is one constant, parsed when the plan is optimised."""
-    rows = F.from_json(F.lit(json.dumps(table)), "array<array<double>>")
-    return F.get(F.get(rows, i), j)
+def with_weights(settings: DataFrame, semivalue: Semivalue) -> DataFrame:
+    """Adds `omega`, the weights by coalition size, from a table of at most 62 rows."""
+    table = settings.sparkSession.createDataFrame(list(enumerate(semivalue.table())), "n int, omega array<double>")
+    return settings.join(F.broadcast(table), "n")
 
 
 def choose(n: Column, k: Column) -> Column:
-    return lookup([[float(math.comb(a, b)) for b in range(a + 1)] for a in range(MAX_PLAYERS + 1)], n, k)
+    """Binomial coefficient as a double; exact while it fits."""
+    product = F.aggregate(F.sequence(F.lit(1), k), F.lit(1.0), lambda a, i: F.round(a * (n - k + i) / i))
+    return F.when(k <= 0, F.when(k == 0, 1.0).otherwise(0.0)).when(k > n, 0.0).otherwise(product)
+
+
+def shapley_weight(n: Column, k: Column) -> Column:
+    return 1.0 / (n * choose(n - 1, k))
 
 
 def shl(x: Column, by: Column | int) -> Column:

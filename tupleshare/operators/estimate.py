@@ -9,8 +9,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import key, uniform
-from ..functions.semivalue import MAX_PLAYERS, Semivalue, lookup
+from ..functions.semivalue import Semivalue, with_weights
 from ..plans.workloads import Workload
+from ..sources.scratch import write_and_read
 from .evaluate import marginal, marginals
 from .strata import SETTING, allocate, attribute_pools, pools, share_of, vectors
 
@@ -134,18 +135,22 @@ def _draw_cells(allocated: DataFrame, pooled: DataFrame, plan: Plan, cycle: int,
     return some.withColumn("mask", mask)
 
 
-def stratified(settings: DataFrame, workload: Workload, plan: Plan, runs: int = 1, semivalue: Semivalue | None = None, cut: Callable[[DataFrame], DataFrame] = lambda df: df, progress: list | None = None) -> DataFrame:
+def stratified(settings: DataFrame, workload: Workload, plan: Plan, runs: int = 1, semivalue: Semivalue | None = None, cut: Callable[[DataFrame], DataFrame] = write_and_read, progress: list | None = None) -> DataFrame:
     """(answer, tid, run, estimate, se, starved_weight, draws) of the stratified methods, static or adaptive.
 
     All settings and runs go through the cycles in lockstep: one plan with a few shuffles for each cycle, whatever the
-    number of targets. `cut` is applied to the statistics after every cycle; pass a checkpoint for many cycles.
-    progress: gets (cycle, estimates so far) for the anytime reading."""
+    number of targets. `cut` ends the lineage of the statistics after every cycle. If a cycle could not draw twice from
+    every stratum there are fewer cycles, but two. progress: gets (cycle, estimates so far) for the anytime reading."""
     semivalue = semivalue or Semivalue.shapley()
     pooled, fine, width = prepare(settings, plan, semivalue)
     strata = with_runs(cells(fine) if plan.bins else fine, runs)
-    stats, means = None, []
-    for cycle in range(plan.cycles):
-        budget = plan.budget // plan.cycles + (cycle < plan.budget % plan.cycles)
+    stats, means, cycles = None, [], plan.cycles
+    if cycles > 1:
+        most = fine.groupBy(*SETTING).count().agg(F.max("count")).first()[0] or 1
+        cycles = min(cycles, max(2, plan.budget // (2 * most)))
+        strata = cut(strata)
+    for cycle in range(cycles):
+        budget = plan.budget // cycles + (cycle < plan.budget % cycles)
         if cycle and stats is not None:
             ready = _sigma(strata, stats)
             allocated = allocate(ready, share_of(plan.later, F.col("sigma")), budget, plan.floor, by=RUN)
@@ -155,7 +160,7 @@ def stratified(settings: DataFrame, workload: Workload, plan: Plan, runs: int =
         if plan.pooling == "cycle_mean":
             means.append(combine(strata, new, workload.unit))
         stats = new if stats is None else stats.unionByName(new).groupBy(*RUN, "stratum").agg(*(F.sum(c).alias(c) for c in ("k", "s1", "s2")))
-        if plan.cycles > 1:
+        if cycles > 1:
             stats = cut(stats)
         if progress is not None:
             progress.append((cycle, combine(strata, stats, workload.unit)))
@@ -201,8 +206,8 @@ def monte_carlo(settings: DataFrame, workload: Workload, budget: int, runs: int
     semivalue = semivalue or Semivalue.shapley()
     place = [seed, "mc", F.col("answer"), F.col("tid"), F.col("run"), F.col("draw")]
     mask = _members(lambda p: F.substring(key(*place, p["tid"]), 1, 1) < "8")
-    draws = _plain_draws(settings, budget, runs).withColumn("mask", mask)
-    weight = lookup(semivalue.table(MAX_PLAYERS), F.col("n"), F.bit_count("mask")) * F.pow(F.lit(2.0), F.col("n") - 1)
+    draws = _plain_draws(with_weights(settings, semivalue), budget, runs).withColumn("mask", mask)
+    weight = F.get("omega", F.bit_count("mask")) * F.pow(F.lit(2.0), F.col("n") - 1)
     return _mean_of(draws, weight, workload, budget)
 
 

@@ -7,7 +7,7 @@ from itertools import permutations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.semivalue import MAX_PLAYERS, Semivalue, lookup, of_relation, shl
+from ..functions.semivalue import Semivalue, of_relation, shapley_weight, shl, with_weights
 from ..plans.workloads import Workload
 from .evaluate import marginal, value
 from .lineage import relation
@@ -26,10 +26,11 @@ def closed_form(rows: DataFrame, semivalue: Semivalue, unit: float = 1.0) -> Dat
 
 
 def coalitions(settings: DataFrame) -> DataFrame:
-    """Every coalition of the others, as `mask`, for each setting; in blocks of 1024 so that no array is long."""
+    """Every coalition of the others, as `mask`, for each setting. Blocks of 1024 are dealt to the tasks before they are
+    spelled out, so that a setting with many coalitions is shared by all."""
     others = F.col("n") - 1
     small = settings.where(others <= MAX_OTHERS)
-    high = small.select("*", F.explode(F.sequence(F.lit(0).cast("long"), shl(F.lit(1).cast("long"), F.greatest(others - 10, F.lit(0))) - 1)).alias("hi"))
+    high = small.select("*", F.explode(F.sequence(F.lit(0).cast("long"), shl(F.lit(1).cast("long"), F.greatest(others - 10, F.lit(0))) - 1)).alias("hi")).repartition("answer", "tid", "hi")
     low = high.select("*", F.explode(F.sequence(F.lit(0).cast("long"), shl(F.lit(1).cast("long"), F.least(others, F.lit(10))) - 1)).alias("lo"))
     dense = shl(F.col("hi"), 10) + F.col("lo")
     below = F.col("bit") - 1  # bits of players before the target stay, those behind move up by one
@@ -38,8 +39,8 @@ def coalitions(settings: DataFrame) -> DataFrame:
 
 def by_subset(settings: DataFrame, workload: Workload, semivalue: Semivalue) -> DataFrame:
     """(answer, rel, tid, value) by all coalitions: the ground truth, 2^(n-1) evaluations."""
-    weight = lookup(semivalue.table(MAX_OTHERS + 1), F.col("n"), F.bit_count("mask"))
-    deltas = coalitions(settings).select("answer", "rel", "tid", F.bit_count("mask").alias("k"), weight.alias("w"), marginal(F.col("view"), F.col("mask"), F.col("bit"), workload).alias("d"))
+    weight = F.get("omega", F.bit_count("mask"))
+    deltas = coalitions(with_weights(settings, semivalue)).select("answer", "rel", "tid", F.bit_count("mask").alias("k"), weight.alias("w"), marginal(F.col("view"), F.col("mask"), F.col("bit"), workload).alias("d"))
     by_size = deltas.groupBy("answer", "rel", "tid", "k", "w").agg(F.sum("d").alias("d"))
     return by_size.groupBy("answer", "rel", "tid").agg((F.sum(F.col("w") * F.col("d")) / F.lit(workload.unit)).alias("value"))
 
@@ -47,8 +48,8 @@ def by_subset(settings: DataFrame, workload: Workload, semivalue: Semivalue) ->
 def stratum_table(settings: DataFrame, workload: Workload, semivalue: Semivalue, letters: str) -> DataFrame:
     """By relation vector of the others: coalitions, value weight, mean and deviation of the marginals, share of zeros."""
     counted = [F.bit_count(F.col("mask").bitwiseAND(F.aggregate(F.filter("others", of_relation(r)), F.lit(0).cast("long"), lambda a, p: a.bitwiseOR(p["bit"])))) for r in letters]
-    weight = lookup(semivalue.table(MAX_OTHERS + 1), F.col("n"), F.bit_count("mask"))
-    deltas = coalitions(settings).select("answer", "tid", F.array(*counted).alias("vec"), weight.alias("w"), marginal(F.col("view"), F.col("mask"), F.col("bit"), workload).cast("double").alias("d"))
+    weight = F.get("omega", F.bit_count("mask"))
+    deltas = coalitions(with_weights(settings, semivalue)).select("answer", "tid", F.array(*counted).alias("vec"), weight.alias("w"), marginal(F.col("view"), F.col("mask"), F.col("bit"), workload).cast("double").alias("d"))
     return deltas.groupBy("answer", "tid", "vec", "w").agg(
         F.count("*").alias("n_coal"), F.avg("d").alias("mean"), F.stddev_pop("d").alias("sigma"), F.min("d").alias("least"), F.max("d").alias("most"), F.avg((F.col("d") == 0).cast("int")).alias("zeros")
     ).withColumn("w_value", F.col("w") * F.col("n_coal")).drop("w")
@@ -70,7 +71,6 @@ def owen(settings: DataFrame, workload: Workload, letters: str) -> DataFrame:
     group = {r: F.aggregate(F.filter("others", of_relation(r)), F.lit(0).cast("long"), lambda a, p: a.bitwiseOR(p["bit"])) for r in letters}
     foreign = F.filter(F.array(*(F.when(F.col("rel") != r, group[r]).otherwise(F.lit(0).cast("long")) for r in letters)), lambda m: m != 0)
     own = F.transform(F.filter("others", lambda p: p["rel"] == F.col("rel")), lambda p: p["bit"])
-    table = Semivalue.shapley().table(MAX_PLAYERS)
     one = F.lit(1).cast("long")
 
     def chosen(masks: str, pick: str):
@@ -80,7 +80,7 @@ def owen(settings: DataFrame, workload: Workload, letters: str) -> DataFrame:
     picks = base.select("*", F.explode(F.sequence(F.lit(0).cast("long"), shl(one, F.size("foreign")) - 1)).alias("g")).select(
         "*", F.explode(F.sequence(F.lit(0).cast("long"), shl(one, F.size("own")) - 1)).alias("m")
     )
-    weight = lookup(table, F.size("foreign") + 1, F.bit_count("g")) * lookup(table, F.size("own") + 1, F.bit_count("m"))
+    weight = shapley_weight(F.size("foreign") + 1, F.bit_count("g")) * shapley_weight(F.size("own") + 1, F.bit_count("m"))
     mask = chosen("foreign", "g").bitwiseOR(chosen("own", "m"))
     return picks.withColumns({"w": weight, "mask": mask}).groupBy("answer", "rel", "tid").agg(
         (F.sum(F.col("w") * marginal(F.col("view"), F.col("mask"), F.col("bit"), workload)) / F.lit(workload.unit)).alias("value")

@@ -36,7 +36,7 @@ def size_vectors(lin: DataFrame) -> DataFrame:
     """Tuples of each relation by answer, in columns, and their sum."""
     wide = lin.groupBy("answer").pivot("rel", sorted("clnopqrseudk")).count().na.fill(0)
     kept = [c for c in wide.columns if c != "answer"]
-    return wide.select("answer", *(F.col(c).cast("long").alias(c) for c in kept), sum((F.col(c) for c in kept), F.lit(0)).cast("long").alias("n"))
+    return wide.select("answer", *(F.col(c).cast("long").alias(c) for c in kept), sum((F.col(c) for c in kept), F.lit(0)).cast("long").alias("players"))
 
 
 def split(table: DataFrame, tid: Column, lin: DataFrame) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.semivalue import MAX_PLAYERS, Semivalue, choose, lookup, of_relation
+from ..functions.semivalue import Semivalue, choose, of_relation, with_weights
 
 SETTING = ("answer", "tid")
 ONE_POOL = "*"
@@ -27,7 +27,7 @@ def vectors(pooled: DataFrame, semivalue: Semivalue, width: int, bins: int | Non
     w_value is the stratum's share of the value, w_count that of all coalitions. A stratum is dead if no row of the view
     with the target (in what it needs, its witnesses or its blockers) can find what it needs; it keeps its weight, and
     its mean is 0. With `bins` counts are cut into quantile bins of each pool, a cell being a product of bins."""
-    df = pooled.select(*SETTING, "n", "c", "pools", "bit", "view")
+    df = with_weights(pooled, semivalue).select(*SETTING, "n", "c", "pools", "bit", "view", "omega")
     for k in range(width):
         df = df.withColumn(f"s{k}", F.explode(F.sequence(F.lit(0), F.get("c", k))))
     vec = F.array(*(F.col(f"s{k}") for k in range(width)))
@@ -38,7 +38,7 @@ def vectors(pooled: DataFrame, semivalue: Semivalue, width: int, bins: int | Non
         stratum = stratum * (F.get("c", k) + 1) + F.col(f"s{k}")
     df = df.withColumns({"vec": vec, "n_coal": count, "stratum": stratum})
     df = df.withColumn("size", F.aggregate("vec", F.lit(0), lambda a, x: a + x))
-    weight = lookup(semivalue.table(MAX_PLAYERS), F.col("n"), F.col("size"))
+    weight = F.get("omega", F.col("size"))
     df = df.withColumns({"w_value": weight * F.col("n_coal"), "w_count": F.col("n_coal") / F.pow(F.lit(2.0), F.col("n") - 1)})
     if prune:
         mask = F.transform("pools", lambda g: F.aggregate(g, F.lit(0).cast("long"), lambda a, p: a.bitwiseOR(p["bit"])))
