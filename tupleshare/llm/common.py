@@ -5,7 +5,10 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
 
+import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -59,3 +62,34 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     df.write.parquet(path)
     atexit.register(delete_path, spark, path)
     return spark.read.schema(schema).parquet(path)
+
+
+#: Rows of an Arrow batch that become Python objects at once; the batch itself is bounded by Spark.
+SLICE = 256
+
+
+def text_function(fn: Callable[[list], list], spark_type: str, arrow_type: pa.DataType) -> Callable[[Column], Column]:
+    """A column function of texts as UTF-8 bytes; only a slice of a batch becomes Python objects at a time."""
+
+    @F.arrow_udf(spark_type)
+    def run(texts: pa.Array) -> pa.Array:
+        parts = [pa.array(fn(texts.slice(at, SLICE).to_pylist()), type=arrow_type) for at in range(0, len(texts), SLICE)]
+        return pa.concat_arrays(parts) if parts else pa.array([], type=arrow_type)
+
+    return lambda text: run(text.cast("string").cast("binary"))
+
+
+def over_slices(run: Callable[[Iterator[tuple[list, list]]], Iterator[pd.DataFrame]], schema: pa.Schema):
+    """For mapInArrow over (id, text): hands `run` small lists of ids and texts, and types the frames it yields."""
+
+    def adapted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def lists() -> Iterator[tuple[list, list]]:
+            for b in batches:
+                for at in range(0, b.num_rows, SLICE):
+                    part = b.slice(at, SLICE)
+                    yield part.column(0).to_pylist(), part.column(1).to_pylist()
+
+        for frame in run(lists()):
+            yield pa.RecordBatch.from_pandas(frame, schema=schema, preserve_index=False)
+
+    return adapted

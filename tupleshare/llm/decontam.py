@@ -6,10 +6,12 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import text_function
+
 #: The masks; 1 keeps a position of the window, 0 ignores it.
 MASKS = ("1101100101", "110010111", "1011011", "11101001")
 #: Bytes of benchmark text that are broadcast at once.
@@ -121,22 +123,19 @@ def seed_blocks(items: DataFrame, rule: Rule, id_col: str = "item_id", text_col:
 def _leaks(shared, rule: Rule):
     cached: list[Seeds] = []
 
-    @F.pandas_udf(HITS)
-    def leaks(texts: pd.Series) -> pd.Series:
+    def leaks(texts: list) -> list:
         if not cached:
             cached.append(Seeds(shared.value, rule))
-        found = []
-        for at in range(0, len(texts), 500):
-            found += cached[0].hits(list(texts.iloc[at : at + 500]))
-        return pd.Series([[dict(zip(("item_id", "at", "matched", "words"), h, strict=True)) for h in x] for x in found])
+        return [[dict(zip(("item_id", "at", "matched", "words"), h, strict=True)) for h in x] for x in cached[0].hits(texts)]
 
-    return leaks
+    fields = [("item_id", pa.int64()), ("at", pa.int32()), ("matched", pa.int32()), ("words", pa.int32())]
+    return text_function(leaks, HITS, pa.list_(pa.struct(fields)))
 
 
 def leak_columns(docs: DataFrame, items: DataFrame, rule: Rule = Rule(), text_col: str = "text") -> list[Column]:
     """For each block of items the leaks of the text: an array of item, first word of the run in the text, words equal, words of the run."""
     context = docs.sparkSession.sparkContext
-    return [_leaks(context.broadcast(block), rule)(F.col(text_col).cast("string").cast("binary")) for block in seed_blocks(items, rule)]
+    return [_leaks(context.broadcast(block), rule)(F.col(text_col)) for block in seed_blocks(items, rule)]
 
 
 def find_leaks(docs: DataFrame, items: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -18,10 +18,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import materialize, over_slices
 
 #: Counters of word frequency: slices of 2^16. Words that share a counter share its count; the order stays total.
 SLICES = 64
@@ -30,6 +31,9 @@ BROADCAST_ROWS = 300_000
 #: Lines and bytes of the blocks that arrays are made of; a line's number within its block takes 14 bits.
 BLOCK_LINES, BLOCK_BYTES = 1 << 14, 1_500_000
 POSTING = np.dtype([("sig", "<u8"), ("key", "<u8"), ("doc", "<i8"), ("line", "<i4"), ("n", "<u4"), ("at", "<u4"), ("low", "<u8"), ("high", "<u8")])
+COUNTED = pa.schema([("slice", pa.int32()), ("at", pa.binary()), ("n", pa.binary())])
+POSTED = pa.schema([("part", pa.int32()), ("blob", pa.binary())])
+MATCHED = pa.schema([("doc", pa.int64()), ("line", pa.int32()), ("key", pa.int64())])
 HOME = np.uint32(1 << 31)  # in `at`: the first posting of its line
 _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
@@ -91,7 +95,7 @@ class Hasher:
         return starts, (h ^ h >> np.uint64(32)) >> np.uint64(14)
 
 
-def blocks(batches: Iterator[pd.DataFrame], least: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+def blocks(batches: Iterator[tuple[list, list]], least: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
     """Blocks of the lines that are compared: (document, line number) of each, then line and hash of each of their
     distinct words, sorted by line and hash."""
     hasher = Hasher()
@@ -129,9 +133,9 @@ def blocks(batches: Iterator[pd.DataFrame], least: int) -> Iterator[tuple[np.nda
             chosen = np.flatnonzero(fit) + lo
             yield np.array(ids, np.int64)[owner[chosen]], (chosen - first_line[owner[chosen]] + base[owner[chosen]]).astype(np.int64), renumber[of[keep]], packed[keep] & np.uint64((1 << 50) - 1)
 
-    for batch in batches:
-        ids, texts, bases, size = [], [], [], 0
-        for i, t in zip(batch["id"].tolist(), batch["text"], strict=True):
+    ids, texts, bases, size = [], [], [], 0
+    for some_ids, some_texts in batches:
+        for i, t in zip(some_ids, some_texts, strict=True):
             for base_line, piece in pieces(t):
                 ids.append(i)
                 texts.append(piece)
@@ -140,8 +144,8 @@ def blocks(batches: Iterator[pd.DataFrame], least: int) -> Iterator[tuple[np.nda
                 if size > BLOCK_BYTES:
                     yield from close(ids, texts, bases)
                     ids, texts, bases, size = [], [], [], 0
-        if texts:
-            yield from close(ids, texts, bases)
+    if texts:
+        yield from close(ids, texts, bases)
 
 
 def set_key(hashes: np.ndarray, starts: np.ndarray) -> np.ndarray:
@@ -174,7 +178,7 @@ def keys_of(lines: list[bytes]) -> np.ndarray:
 
 
 def _counting(rule: LineRule):
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[tuple[list, list]]) -> Iterator[pd.DataFrame]:
         counts = np.zeros(SLICES << 16, np.uint32)
         for _, _, _, h in blocks(batches, rule.least):
             np.add.at(counts, (h >> np.uint64(28)).astype(np.int64), np.uint32(1))
@@ -194,7 +198,7 @@ def _adding(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
 
 def word_counts(docs: DataFrame, rule: LineRule) -> np.ndarray:
     """How many lines have a word of each counter, over all documents, up to 65535; 8 MB, whatever the input."""
-    parts = docs.select("id", "text").mapInPandas(_counting(rule), "slice int, at binary, n binary").groupBy("slice").applyInPandas(_adding, "slice int, n binary").toPandas()
+    parts = docs.select("id", "text").mapInArrow(over_slices(_counting(rule), COUNTED), "slice int, at binary, n binary").groupBy("slice").applyInPandas(_adding, "slice int, n binary").toPandas()
     out = np.zeros((SLICES, 1 << 16), np.uint16)
     for k, n in zip(parts["slice"], parts["n"], strict=True):
         out[k] = np.frombuffer(n, "<u2")
@@ -283,7 +287,7 @@ def _block_postings(doc: np.ndarray, number: np.ndarray, line: np.ndarray, h: np
 def _posting(shared, rule: LineRule, parts: int):
     """Blobs of postings by part, and of the places of repeats within a block (part -1)."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[tuple[list, list]]) -> Iterator[pd.DataFrame]:
         for doc, number, line, h in blocks(batches, rule.least):
             out, gone = _block_postings(doc, number, line, h, shared.value, rule)
             part = (out["sig"] % np.uint64(parts)).astype(np.int64)
@@ -409,7 +413,7 @@ def _sided(left: DataFrame, right: DataFrame, on: list[str], rows: int, how: str
 def _against_all(shared, counts, rule: LineRule):
     """Hard lines, a block of bounded size, with every line of the corpus: those that have an earlier match."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[tuple[list, list]]) -> Iterator[pd.DataFrame]:
         hard = [(d, k, key, np.unique(_HASHER.words(bytes(words) + b"\n")[1])) for d, k, key, words in shared.value]
         index: dict[int, list[int]] = {}
         for m, (_, _, _, words) in enumerate(hard):
@@ -440,7 +444,7 @@ def later_matches(docs: DataFrame, rule: LineRule = LineRule(), id_col: str = "d
     total = rows.select("id").count()
     parts = min(20_000, max(16, -(-total // 1500)))
     counts = spark.sparkContext.broadcast(word_counts(rows, rule))
-    blobs = rows.mapInPandas(_posting(counts, rule, parts), "part int, blob binary")
+    blobs = rows.mapInArrow(over_slices(_posting(counts, rule, parts), POSTED), "part int, blob binary")
     spread = F.when(F.col("part") < 0, (-1 - F.pmod(F.xxhash64("blob"), F.lit(parts))).cast("int")).otherwise(F.col("part"))
     found = materialize(blobs.withColumn("part", spread).groupBy("part").applyInPandas(_joining(rule), LINKS), "line-links")
 
@@ -471,7 +475,7 @@ def later_matches(docs: DataFrame, rule: LineRule = LineRule(), id_col: str = "d
         block = hard.where(F.pmod(F.xxhash64("doc", "line"), F.lit(blocks)) == b).collect()
         if block:
             shared = spark.sparkContext.broadcast([(r["doc"], r["line"], r["key"], bytes(r["words"])) for r in block])
-            out = out.unionAll(rows.mapInPandas(_against_all(shared, counts, rule), "doc long, line int, key long"))
+            out = out.unionAll(rows.mapInArrow(over_slices(_against_all(shared, counts, rule), MATCHED), "doc long, line int, key long"))
     return out
 
 

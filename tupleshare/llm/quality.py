@@ -7,11 +7,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import boosting
-from .common import held_out
+from .common import held_out, text_function
 from .labelled import FIT_ROWS, labelled_sample
 
 STATISTICS = (
@@ -60,14 +61,12 @@ def fit_quality(docs: DataFrame, labels: DataFrame, label_col: str = "quality",
 
 
 def quality_score(text: Column, forest: boosting.Forest) -> Column:
-    """The score as a column; the text goes to Python alone, in batches of bounded bytes."""
+    """The score as a column; only the text goes to Python."""
 
-    @F.pandas_udf("double")
-    def score(texts: pd.Series) -> pd.Series:
-        x = np.array([statistics(t) for t in texts]).reshape(-1, len(STATISTICS))
-        return pd.Series(forest.score(x))
+    def score(texts: list) -> list:
+        return forest.score(np.array([statistics(t) for t in texts]).reshape(-1, len(STATISTICS))).tolist()
 
-    return score(text.cast("string").cast("binary"))
+    return text_function(score, "double", pa.float64())(text)
 
 
 def score_quality(docs: DataFrame, forest: boosting.Forest, threshold: float = 0.7, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -8,11 +8,12 @@ from itertools import combinations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import materialize, text_function
 from .components import components
 
 SEED = 42
@@ -36,11 +37,10 @@ def fingerprint(text: bytes | None, size: int = SHINGLE) -> int:
 
 
 def fingerprint_column(text: Column, size: int = SHINGLE) -> Column:
-    @F.pandas_udf("long")
-    def fp(texts: pd.Series) -> pd.Series:
-        return pd.Series(np.array([fingerprint(t, size) for t in texts], dtype=np.uint64).view(np.int64))
+    def fp(texts: list) -> list:
+        return np.array([fingerprint(t, size) for t in texts], dtype=np.uint64).view(np.int64).tolist()
 
-    return fp(text.cast("string").cast("binary"))
+    return text_function(fp, "long", pa.int64())(text)
 
 
 @dataclass(frozen=True)
