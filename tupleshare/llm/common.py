@@ -64,12 +64,23 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(schema).parquet(path)
 
 
-#: Rows of an Arrow batch that become Python objects at once; the batch itself is bounded by Spark.
-SLICE = 256
+#: Rows of an Arrow batch that become Python objects at once, and rows and bytes of a batch of texts.
+SLICE, BATCH_ROWS, BATCH_BYTES = 256, 2000, 16 << 20
+
+
+def bound_batches() -> None:
+    """Lowers the session's Arrow batch size: a batch of texts is held by the JVM and by Python, in each running task."""
+    spark = SparkSession.getActiveSession()
+    if spark is not None:
+        if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
+            spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
+        if spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch", "67108864b") in ("67108864b", "64m", "64MB"):  # the default
+            spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", f"{BATCH_BYTES}b")
 
 
 def text_function(fn: Callable[[list], list], spark_type: str, arrow_type: pa.DataType) -> Callable[[Column], Column]:
     """A column function of texts as UTF-8 bytes; only a slice of a batch becomes Python objects at a time."""
+    bound_batches()
 
     @F.arrow_udf(spark_type)
     def run(texts: pa.Array) -> pa.Array:
@@ -81,6 +92,7 @@ def text_function(fn: Callable[[list], list], spark_type: str, arrow_type: pa.Da
 
 def over_slices(run: Callable[[Iterator[tuple[list, list]]], Iterator[pd.DataFrame]], schema: pa.Schema):
     """For mapInArrow over (id, text): hands `run` small lists of ids and texts, and types the frames it yields."""
+    bound_batches()
 
     def adapted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def lists() -> Iterator[tuple[list, list]]:
