@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 def contribution_rollup(values: DataFrame) -> DataFrame:
     """Values summed by answer and relation, by answer, and in all."""
-    return values.rollup("answer", "rel").agg(F.round(F.sum("value"), 4).alias("value"), F.count("*").alias("n"))
+    return values.rollup("answer", "rel").agg(F.round(F.sum("value"), 6).alias("value"), F.count("*").alias("n"))
 
 
 def contribution_cube(values: DataFrame) -> DataFrame:

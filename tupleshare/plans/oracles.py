@@ -51,7 +51,7 @@ c AS (SELECT answer, n, unnest(range(0, 1::BIGINT << n)) AS s FROM n),
 a AS (SELECT c.answer, c.s, m.x FROM c JOIN m ON c.answer = m.answer AND (c.s & m.need) = m.need
   WHERE (NOT EXISTS (SELECT 1 FROM am WHERE am.id = m.id) OR EXISTS (SELECT 1 FROM am WHERE am.id = m.id AND (c.s & am.mask) = am.mask))
   AND NOT EXISTS (SELECT 1 FROM nm WHERE nm.id = m.id AND (c.s & nm.mask) = nm.mask)),
-v AS (SELECT c.answer, c.n, c.s, {total} AS v FROM c LEFT JOIN a ON a.answer = c.answer AND a.s = c.s GROUP BY c.answer, c.n, c.s)"""
+v AS MATERIALIZED (SELECT c.answer, c.n, c.s, c.answer || '/' || CAST(c.s AS VARCHAR) AS k, {total} AS v FROM c LEFT JOIN a ON a.answer = c.answer AND a.s = c.s GROUP BY c.answer, c.n, c.s)"""
 
 
 OMEGA = {"shapley": "factorial(bit_count(v0.s)::INTEGER)::DOUBLE * factorial((v0.n - 1 - bit_count(v0.s))::INTEGER)::DOUBLE / factorial(v0.n::INTEGER)::DOUBLE", "banzhaf": "1.0::DOUBLE / (1::BIGINT << (v0.n - 1))"}
@@ -60,7 +60,7 @@ OMEGA = {"shapley": "factorial(bit_count(v0.s)::INTEGER)::DOUBLE * factorial((v0
 def by_subset(w: Workload, where: str, semivalue: str = "shapley", digits: int = 6) -> str:
     return f"""{values_of_all(w, where)}
 SELECT b.answer, substr(b.tid, 1, 1) AS rel, b.tid, round(sum({OMEGA[semivalue]} * (v1.v - v0.v)) / {w.unit}, {digits}) AS value
-FROM b JOIN v v0 ON v0.answer = b.answer AND (v0.s & b.bit) = 0 JOIN v v1 ON v1.answer = b.answer AND v1.s = (v0.s | b.bit) GROUP BY b.answer, b.tid"""
+FROM b JOIN v v0 ON v0.answer = b.answer AND (v0.s & b.bit) = 0 JOIN v v1 ON v1.k = b.answer || '/' || CAST(v0.s | b.bit AS VARCHAR) GROUP BY b.answer, b.tid"""
 
 
 def strata(w: Workload, where: str, letters: str | None) -> str:
@@ -72,7 +72,7 @@ def strata(w: Workload, where: str, letters: str | None) -> str:
     groups = ", ".join(f"CAST(coalesce(sum(bit) FILTER (WHERE substr(tid, 1, 1) = '{c}'), 0) AS BIGINT) AS {c}" for c in (letters or "clno"))
     return f"""{values_of_all(w, where)}, g AS (SELECT answer, {groups} FROM b GROUP BY answer)
 SELECT b.answer, b.tid, array_to_string({vec}, ',') AS vec, CAST(count(*) AS DOUBLE) AS n_coal, round(sum({OMEGA['shapley']}), 9) AS w_value,
-round(avg(v1.v - v0.v) / {w.unit}, 9) AS mean FROM b JOIN g ON g.answer = b.answer JOIN v v0 ON v0.answer = b.answer AND (v0.s & b.bit) = 0 JOIN v v1 ON v1.answer = b.answer AND v1.s = (v0.s | b.bit)
+round(avg(v1.v - v0.v) / {w.unit}, 9) AS mean FROM b JOIN g ON g.answer = b.answer JOIN v v0 ON v0.answer = b.answer AND (v0.s & b.bit) = 0 JOIN v v1 ON v1.k = b.answer || '/' || CAST(v0.s | b.bit AS VARCHAR)
 GROUP BY b.answer, b.tid, {vec}"""
 
 
@@ -97,4 +97,4 @@ def sampled(w: Workload, where: str, method: str, budget: int, runs: int, seed:
 d AS (SELECT b.answer, b.tid, b.bit, run, draw, CAST(coalesce(sum(o.bit) FILTER (WHERE {test}), 0) AS BIGINT) AS s
   FROM b CROSS JOIN range(0, {runs}) x(run) CROSS JOIN range(0, {budget}) y(draw) JOIN b o ON o.answer = b.answer AND o.tid <> b.tid GROUP BY b.answer, b.tid, b.bit, run, draw)
 SELECT d.answer, d.tid, CAST(d.run AS INTEGER) AS run, round(avg({weight} * (v1.v - v0.v)) / {w.unit}, {digits}) AS estimate
-FROM d JOIN v v0 ON v0.answer = d.answer AND v0.s = d.s JOIN v v1 ON v1.answer = d.answer AND v1.s = (d.s | d.bit) GROUP BY d.answer, d.tid, d.run"""
+FROM d JOIN v v0 ON v0.k = d.answer || '/' || CAST(d.s AS VARCHAR) JOIN v v1 ON v1.k = d.answer || '/' || CAST(d.s | d.bit AS VARCHAR) GROUP BY d.answer, d.tid, d.run"""

@@ -72,8 +72,8 @@ def _closed(spark, sf, name, semivalue=SHAPLEY):
     return rounded(exact.closed_form(rows(spark, sf, name), semivalue, w.unit), 7, "value")
 
 
-def _subset(spark, sf, name, semivalue=SHAPLEY):
-    return rounded(exact.by_subset(small_settings(spark, sf, name), WORKLOADS[name], semivalue), 6, "value")
+def _subset(spark, sf, name, semivalue=SHAPLEY, where="TRUE"):
+    return rounded(exact.by_subset(small_settings(spark, sf, name).where(where), WORKLOADS[name], semivalue), 6, "value")
 
 
 def _permutation(spark, sf):
@@ -273,7 +273,7 @@ def _cube(spark, sf):
 
 def _top(spark, sf):
     top = measures.top_k(exact.closed_form(rows(spark, sf, "w10"), SHAPLEY, 1e4), 3)
-    return rounded(top.select("answer", "tid", "value", "place"), 4, "value")
+    return rounded(top.select("answer", "tid", "value", "place"), 7, "value")
 
 
 WINDOWS = {"tumbling": ("1 day", None), "sliding": ("2 days", "1 day")}
@@ -304,7 +304,8 @@ def queries() -> dict[str, Query]:
     out |= {f"shapley_closed_{w.name}": partial(_closed, name=w.name) for w in CLOSED}
     out |= {f"banzhaf_closed_{n}": partial(_closed, name=n, semivalue=BANZHAF) for n in ("w3", "w10")}
     out |= {"beta_closed_w10": partial(_closed, name="w10", semivalue=Semivalue.beta(4, 1)), "shapley_permutation_w3": _permutation}
-    out |= {f"shapley_subset_{n}": partial(_subset, name=n) for n in ("w2", "w2_second", "w3_late", "w10", "w18", "w21")}
+    out |= {f"shapley_subset_{n}": partial(_subset, name=n) for n in ("w2", "w2_second", "w3_late", "w10", "w18")}
+    out |= {"shapley_subset_w21": partial(_subset, name="w21", where="answer = '17'"), "shapley_subset_wide_w21": partial(_subset, name="w21", where="answer = '70'")}
     out |= {f"banzhaf_subset_{n}": partial(_subset, name=n, semivalue=BANZHAF) for n in ("w2_second", "w18")}
     out |= {f"owen_{n}": partial(_owen, name=n) for n in ("w3_late", "w18", "w2")}
     out |= {f"stratum_table_vector_{n}": partial(_stratum_table, name=n) for n in ("w10", "w18")} | {"stratum_table_size_w18": partial(_stratum_table, name="w18", by_vector=False)}
@@ -337,7 +338,7 @@ def oracle_sql() -> dict[str, str]:
     out["beta_closed_w10"] = oracles.closed_form(w["w10"], Semivalue.beta(4, 1))
     out["shapley_permutation_w3"] = f"WITH a AS ({oracles.closed_form(w['w3'], SHAPLEY)}) SELECT a.* FROM a WHERE (SELECT count(*) FROM a b WHERE b.answer = a.answer) <= 5"
     out |= {f"shapley_subset_{n}": oracles.by_subset(w[n], SMALL[n]) for n in ("w2", "w2_second", "w3_late", "w10", "w18")}
-    out["shapley_subset_w21"] = oracles.by_subset(w["w21"], SMALL["w21"])
+    out["shapley_subset_w21"] = oracles.by_subset(w["w21"], "answer = '17'")
     out |= {f"banzhaf_subset_{n}": oracles.by_subset(w[n], SMALL[n], "banzhaf") for n in ("w2_second", "w18")}
     out |= {f"stratum_table_vector_{n}": oracles.strata(w[n], SMALL[n], LETTERS[n]) for n in ("w10", "w18")}
     out["stratum_table_size_w18"] = oracles.strata(w["w18"], SMALL["w18"], None)
@@ -346,8 +347,8 @@ def oracle_sql() -> dict[str, str]:
     out |= {f"{m}_w18": oracles.sampled(w["w18"], SMALL["w18"], m, 200, 2) for m in ("mc", "mc_permutation", "mc_multilinear")}
     out["axioms_w10"] = f"WITH {oracles.rows(w['w10'])} SELECT answer, round(sum(x) / 1e4, 4) AS total, round(sum(x) / 1e4, 4) AS whole FROM r GROUP BY answer"
     closed = oracles.closed_form(w["w10"], SHAPLEY, 12)
-    out["rollup_contrib"] = f"WITH c AS ({closed}) SELECT answer, rel, round(sum(value), 4) AS value, count(*) AS n FROM c GROUP BY ROLLUP (answer, rel)"
+    out["rollup_contrib"] = f"WITH c AS ({closed}) SELECT answer, rel, round(sum(value), 6) AS value, count(*) AS n FROM c GROUP BY ROLLUP (answer, rel)"
     out["cube_report"] = f"WITH c AS ({closed}) SELECT rel, positive, round(sum(value), 2) AS value, count(*) AS n FROM (SELECT rel, value > 10000 AS positive, value FROM c) GROUP BY CUBE (rel, positive)"
-    out["top_contributors"] = f"WITH c AS ({closed}), p AS (SELECT answer, tid, value, row_number() OVER (PARTITION BY answer ORDER BY round(value, 6) DESC, tid) AS place FROM c) SELECT answer, tid, round(value, 4) AS value, CAST(place AS INTEGER) AS place FROM p WHERE place <= 3"
+    out["top_contributors"] = f"WITH c AS ({closed}), p AS (SELECT answer, tid, value, row_number() OVER (PARTITION BY answer ORDER BY round(value, 6) DESC, tid) AS place FROM c) SELECT answer, tid, round(value, 7) AS value, CAST(place AS INTEGER) AS place FROM p WHERE place <= 3"
     out |= windows.ORACLES | relational.ORACLES
     return out
