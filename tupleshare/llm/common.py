@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -78,6 +80,13 @@ def bound_batches() -> None:
             spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", f"{BATCH_BYTES}b")
 
 
+def release() -> None:
+    """Gives freed memory back to the system: workers are used again, and what one stage held would count in the next."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # not every C library can trim
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def text_function(fn: Callable[[list], list], spark_type: str, arrow_type: pa.DataType) -> Callable[[Column], Column]:
     """A column function of texts as UTF-8 bytes; only a slice of a batch becomes Python objects at a time."""
     bound_batches()
@@ -85,6 +94,7 @@ def text_function(fn: Callable[[list], list], spark_type: str, arrow_type: pa.Da
     @F.arrow_udf(spark_type)
     def run(texts: pa.Array) -> pa.Array:
         parts = [pa.array(fn(texts.slice(at, SLICE).to_pylist()), type=arrow_type) for at in range(0, len(texts), SLICE)]
+        release()
         return pa.concat_arrays(parts) if parts else pa.array([], type=arrow_type)
 
     return lambda text: run(text.cast("string").cast("binary"))
@@ -103,5 +113,6 @@ def over_slices(run: Callable[[Iterator[tuple[list, list]]], Iterator[pd.DataFra
 
         for frame in run(lists()):
             yield pa.RecordBatch.from_pandas(frame, schema=schema, preserve_index=False)
+        release()
 
     return adapted

@@ -22,14 +22,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, over_slices
+from .common import materialize, over_slices, release
 
 #: Counters of word frequency: slices of 2^16. Words that share a counter share its count; the order stays total.
 SLICES = 64
 #: Rows of a side that may be broadcast (some 100 bytes each); a larger one is joined by shuffle.
 BROADCAST_ROWS = 300_000
 #: Lines and bytes of the blocks that arrays are made of; a line's number within its block takes 14 bits.
-BLOCK_LINES, BLOCK_BYTES = 1 << 14, 1_500_000
+BLOCK_LINES, BLOCK_BYTES = 1 << 14, 1_000_000
 POSTING = np.dtype([("sig", "<u8"), ("key", "<u8"), ("doc", "<i8"), ("line", "<i4"), ("n", "<u4"), ("at", "<u4"), ("low", "<u8"), ("high", "<u8")])
 COUNTED = pa.schema([("slice", pa.int32()), ("at", pa.binary()), ("n", pa.binary())])
 POSTED = pa.schema([("part", pa.int32()), ("blob", pa.binary())])
@@ -373,6 +373,7 @@ def _joining(rule: LineRule):
         if key[0] < 0:
             return _links(p["doc"], p["line"], p["key"])
         repeats, links = join_postings(p, rule.threshold, rule.first_of_part)
+        release()
         return pd.concat([_links(repeats["doc"], repeats["line"], repeats["key"]), links])
 
     return run
