@@ -24,9 +24,9 @@ class Forest:
             part = x[at : at + rows]
             node = np.zeros((len(part), trees), dtype=np.int64)
             line = np.arange(len(part))[:, None]
-            while inner and node[0, 0] < inner:
+            for _ in range(inner.bit_length() if trees else 0):
                 node = 2 * node + 1 + (part[line, self.feature[tree, node]] > self.bound[tree, node])
-            out[at : at + rows] += self.leaf[tree, node - inner].sum(axis=1) if trees else 0
+            out[at : at + rows] += self.leaf[tree, node - inner].sum(axis=1) if trees else 0.0
         return out
 
     def score(self, x: np.ndarray) -> np.ndarray:
