@@ -22,7 +22,7 @@ def purchase_values(events: DataFrame, length: str, slide: str | None = None, la
     """(day, user_id, value, n): each user's share of the window's revenue, half of what the user bought."""
     some = events.where("event_type = 'purchase'")
     if late:
-        some = some.withWatermark("ts", late)
+        some = some.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late)  # a watermark needs a zoned time
     w = F.window("ts", length, slide) if slide else F.window("ts", length)
     grouped = some.groupBy(w.alias("w"), "user_id").agg(F.sum(_cents()).alias("cents"), F.count("*").alias("n"))
     return grouped.select(F.date_format("w.start", "yyyy-MM-dd").alias("day"), "user_id", F.round(F.col("cents") / 200.0, 4).alias("value"), "n")
@@ -30,7 +30,7 @@ def purchase_values(events: DataFrame, length: str, slide: str | None = None, la
 
 def sessions(events: DataFrame, gap: str, late: str | None = None) -> DataFrame:
     """(user_id, start, n, value) of runs of events that are at most the gap apart."""
-    some = events.withWatermark("ts", late) if late else events
+    some = events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late) if late else events
     grouped = some.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n"), F.sum(_cents()).alias("cents"))
     return grouped.select("user_id", F.date_format("w.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n", F.round(F.col("cents") / 100.0, 2).alias("value"))
 
