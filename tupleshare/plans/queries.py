@@ -246,6 +246,17 @@ def _ranking(spark, sf):
     return measures.ranking_quality(est.estimate(settings, w, "relvec", BUDGET, LETTERS["w18"]), exact.by_subset(settings, w, SHAPLEY), 3)
 
 
+def _progress(spark, sf):
+    """The anytime reading: estimate, error and draws after every cycle."""
+    steps: list = []
+    est.stratified(small_settings(spark, sf, "w21").where(_one("w21")), WORKLOADS["w21"], est.Plan(4000, LETTERS["w21"], cycles=4), 1, progress=steps)
+    out = None
+    for cycle, df in steps:
+        df = df.withColumn("cycle", F.lit(cycle))
+        out = df if out is None else out.unionByName(df)
+    return rounded(out, 6, "estimate", "se")
+
+
 def _huge(spark, sf):
     """Sampling without masks, for an answer with hundreds of tuples."""
     data = rows(spark, sf, "w14")
@@ -319,7 +330,7 @@ def queries() -> dict[str, Query]:
     out |= {f"tagged_equals_bitset_{n}": partial(_tagged, name=n) for n in ("w2", "w10", "w18", "w21")} | {"cache_hits_w10": partial(_cache_hits, name="w10"), "naive_w3": _naive}
     out |= {f"compiled_view_{n}": partial(_compiled, name=n) for n in ("w2", "w3", "w10", "w18", "w21")} | {"axioms_w10": partial(_axioms, name="w10")}
     out |= {"mre_w21": partial(_errors, name="w21"), "mre_w10": partial(_errors, name="w10", methods=("mc_permutation", "size", "relvec")), "mre_count_profile_w21": partial(_errors, name="w21", methods=("size", "size_adaptive", "relvec", "relvec_adaptive"), profile="count")}
-    out |= {"ablation_w21": _ablation, "rank_methods_w21": _rank, "convergence_w21": _convergence, "predicted_variance_w21": _predicted, "ranking_w18": _ranking}
+    out |= {"ablation_w21": _ablation, "rank_methods_w21": _rank, "convergence_w21": _convergence, "progress_w21": _progress, "predicted_variance_w21": _predicted, "ranking_w18": _ranking}
     out |= {"rollup_contrib": _with_totals, "cube_report": _cube, "top_contributors": _top, "asof_events": _asof, "json_props": _json, "window_events_session": _session}
     out |= {f"window_events_{k}": partial(_window, kind=k) for k in WINDOWS}
     return out
