@@ -43,7 +43,7 @@ _BASE_BACK = pow(_BASE, -1, 1 << 64)
 
 @dataclass(frozen=True)
 class LineRule:
-    """Lines of fewer than `least` distinct words are never compared. The rest has no effect on the result: words up to
+    """Lines of fewer than `least` distinct words are never compared; EVERY_LINE has no such floor. The rest has no effect on the result: words up to
     the count `alone` are met alone, up to `paired` in pairs, others in triples; of a line's earlier candidates
     `first_of_part` from each part and `first` in all are verified at once, and lines whose first ones all fail and that
     have more go the exact way for the rest."""
@@ -56,6 +56,10 @@ class LineRule:
     first: int = 16
 
 
+#: Compares all lines that have words.
+EVERY_LINE = LineRule(least=1)
+
+
 def words_of(line: bytes) -> set[bytes]:
     """A-Z lower-cased, split at ASCII white space."""
     return set(line.lower().split())
@@ -223,11 +227,14 @@ def signatures(tokens: np.ndarray, code: np.ndarray, n: np.ndarray, starts: np.n
     """(line, signature, position of its first word), lines being runs of `n` tokens in order of rarity from `starts`.
 
     If k words are wanted from a frequent first word, the others are later ones of the longer prefix: the rarest common
-    word of two matching sets decides, and all their common words are as frequent or more."""
-    first = n - np.ceil(rule.threshold * n - 1e-9).astype(np.int64) + 1  # words of the prefix
+    word of two matching sets decides, and all their common words are as frequent or more. That takes k common words;
+    sets that are too small to match any but an equal one have all their words as one signature."""
+    least = np.ceil(rule.threshold * n - 1e-9).astype(np.int64)
+    whole = (least == n) & (np.floor(n / rule.threshold + 1e-9).astype(np.int64) == n) & (n <= 3)
+    first = n - least + 1  # words of the prefix
     line = np.repeat(np.arange(len(n)), n)
     place = np.arange(len(tokens)) - starts[line]
-    within = np.flatnonzero((place < first[line]) & (code > 1))  # a word of one line meets no other
+    within = np.flatnonzero((place < first[line]) & (code > 1) & ~whole[line])  # a word of one line meets no other
     alone, paired = (int(_code(np.array([c]))[0]) for c in (rule.alone, rule.paired))
     kind = np.searchsorted([alone, paired], code[within])
     lone = within[kind == 0]
@@ -248,6 +255,12 @@ def signatures(tokens: np.ndarray, code: np.ndarray, n: np.ndarray, starts: np.n
             lines.append(line[a])
             sigs.append(_mix(tokens[a], tokens[b], tokens[c]))
             at.append(place[a])
+    for k in (1, 2, 3):
+        of = np.flatnonzero(whole & (n == k))
+        of = of[code[starts[of]] > 1] if len(of) else of
+        lines.append(of)
+        sigs.append(_mix(*(tokens[starts[of] + i] for i in range(k)), np.full(len(of), k, np.uint64)))
+        at.append(np.zeros(len(of), np.int64))
     return np.concatenate(lines), np.concatenate(sigs), np.concatenate(at)
 
 

@@ -47,7 +47,7 @@ def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, text without repeated lines, how many went."""
-    return line_dedup.dedup_lines(table(spark, sf_dir, "documents")).select("doc_id", "deduped.text", "deduped.n_removed")
+    return line_dedup.dedup_lines(table(spark, sf_dir, "documents"), line_dedup.EVERY_LINE).select("doc_id", "deduped.text", "deduped.n_removed")
 
 
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
