@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .functions.semivalue import Semivalue
+from .functions.semivalue import MAX_PLAYERS, Semivalue
 from .operators import estimate, exact, lineage
 from .plans.workloads import WORKLOADS, Workload
 
@@ -16,22 +16,37 @@ def attribute(
 ) -> DataFrame:
     """(answer, tid, estimate, se, ...) of the targets (answer, tid), or of all tuples.
 
-    method: closed_form (sums over joins, any number of players), exact, or one of estimate.METHODS. A target that no
-    answer depends on has the value 0. `where` selects answers; `more` goes to the method."""
+    method: closed_form (sums over joins, any number of players), exact, or one of estimate.METHODS. Answers with more
+    players than the method can take get the closed form, which is exact, with nulls in the columns of the sampling; a
+    ValueError tells where there is none. A target that no answer depends on has the value 0. `where` selects answers;
+    `more` goes to the method."""
     w = WORKLOADS[workload] if isinstance(workload, str) else workload
     semivalue = semivalue or Semivalue.shapley()
     rows = lineage.rows_of(spark, sf_dir, w).where(where)
+    closed = w.agg == "sum" and "any_of" not in w.rows and "none_of" not in w.rows
     if method == "closed_form":
-        if w.agg != "sum" or "any_of" in w.rows or "none_of" in w.rows:
+        if not closed:
             raise ValueError("the closed form is for sums over joins")
         out = exact.closed_form(rows, semivalue, w.unit).select("answer", "tid", F.col("value").alias("estimate"))
     else:
-        settings = lineage.settings(lineage.compile_view(rows), targets)
+        lin = lineage.lineage(rows)
+        most = exact.MAX_OTHERS + 1 if method == "exact" else MAX_PLAYERS
+        large = lin.groupBy("answer").count().where(F.col("count") > most).select("answer")
+        if targets is not None:
+            large = large.join(targets.select("answer").distinct(), "answer", "left_semi")
+        any_large = not large.isEmpty()
+        if any_large and not closed:
+            raise ValueError(f"{w.name} has answers of more than {most} tuples, which {method} can't take")
+        settings = lineage.settings(lineage.compile_view(rows.join(large, "answer", "left_anti") if any_large else rows), targets)
         if method == "exact":
             out = exact.by_subset(settings, w, semivalue).select("answer", "tid", F.col("value").alias("estimate"))
         else:
-            letters = "".join(sorted(r["rel"] for r in lineage.lineage(rows).select("rel").distinct().collect()))
+            letters = "".join(sorted(r["rel"] for r in lin.select("rel").distinct().collect()))
             out = estimate.estimate(settings, w, method, budget, letters, runs, seed=seed, semivalue=semivalue, **more)
+        if any_large:
+            whole = exact.closed_form(rows.join(large, "answer", "left_semi"), semivalue, w.unit).select("answer", "tid", F.col("value").alias("estimate"))
+            whole = whole if targets is None else whole.join(targets, ["answer", "tid"], "left_semi")
+            out = out.unionByName(whole, allowMissingColumns=True)
     if targets is None:
         return out
     return targets.join(out, ["answer", "tid"], "left").withColumn("estimate", F.coalesce("estimate", F.lit(0.0)))
