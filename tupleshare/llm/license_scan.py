@@ -28,6 +28,10 @@ TEMPLATES = [
     ("proprietary", "unauthorized copying of this file via any medium is strictly prohibited proprietary and confidential"),
     ("public-domain", "this is free and unencumbered software released into the public domain"),
 ]
+#: Words without which a block does not meet the templates of a label: they alone tell it from a longer known license.
+TELLING = {"agpl": "affero", "lgpl": "lesser"}
+#: Neighbouring lines over which a notice may be wrapped.
+SPAN = 4
 NO_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 NO_WORD_IN_LINE = r"[\x00-\x09\x0B-\x2F\x3A-\x60\x7B-\x7F]+"
 #: The template index is broadcast; more words than this in all templates together are refused.
@@ -56,8 +60,9 @@ def _places(words: Column, phrase: str) -> Column:
 def scan_licenses(docs: DataFrame, threshold: float = 0.8, templates: list[tuple[str, str]] | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per input row: id, n_words, n_base, first_word, last_word, base_labels, labels, score.
 
-    A block is a line of the text. It meets a template if it holds at least `threshold` of the template's distinct
-    words. Words are ordered by how many blocks have them, rarest first. A template's prefix is its rarest words, of
+    A block is a window of SPAN neighbouring lines of one paragraph (all of a shorter one), so wrapped notices are whole
+    in some block. It meets a template if it holds at least `threshold` of the template's distinct words, and the word
+    that tells the license where TELLING has one. Words are ordered by how many blocks have them, rarest first. A template's prefix is its rarest words, of
     which a block that meets it must hold one; the index has the prefixes, and a block's words probe it. The length
     filter asks for enough template words in the block, the positional filter for enough left behind the common word
     in both orders; survivors are verified. The score is the best containment met, 1 where a phrase stands.
@@ -78,9 +83,22 @@ def scan_licenses(docs: DataFrame, threshold: float = 0.8, templates: list[tuple
     lines = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text")).select("id", F.transform(F.split(plain, "\n"), _words).alias("lines"))
 
     # Of the blocks' words only those of a template can meet one, and fewer than `least` of them are too few for any.
+    cut = F.transform("lines", lambda ws: F.struct((F.size(ws) > 0).alias("some"), F.array_intersect(array(vocabulary), ws).alias("words")))
+    lines = lines.withColumn("cut", cut)
+
+    def window(i: Column) -> Column:
+        """Template words of the lines from i on, up to SPAN of them and to the end of the paragraph."""
+
+        def add(have: Column, x: Column) -> Column:
+            going = have["some"] & x["some"]
+            return F.struct(going.alias("some"), F.when(going, F.array_union(have["words"], x["words"])).otherwise(have["words"]).alias("words"))
+
+        start = F.struct(F.lit(True).alias("some"), F.array().cast("array<string>").alias("words"))
+        return F.aggregate(F.slice("cut", i + 1, F.lit(SPAN)), start, add, lambda have: have["words"])
+
     def in_order(order: list[str]) -> Column:
-        blocks = F.transform(F.col("lines"), lambda ws: F.array_intersect(array(order), ws))
-        return F.filter(blocks, lambda ws: F.size(ws) >= least)
+        blocks = F.filter(F.transform("cut", lambda x, i: F.when(x["some"], window(i))), lambda ws: F.size(ws) >= least)
+        return F.array_distinct(F.transform(blocks, lambda ws: F.array_intersect(array(order), ws)))
 
     met = lines.select(F.explode(in_order(vocabulary)).alias("block")).select(F.explode("block").alias("word"))
     counts = dict(met.groupBy("word").count().collect()) if vocabulary else {}  # as many rows as the templates have words
@@ -89,9 +107,10 @@ def scan_licenses(docs: DataFrame, threshold: float = 0.8, templates: list[tuple
     index_rows = []
     for (label, words), k in zip(kept, need, strict=True):
         words = sorted(words, key=rank.get)
-        index_rows += [(w, i, label, len(words), k, words) for i, w in enumerate(words[: len(words) - k + 1])]
+        telling = TELLING.get(label) if TELLING.get(label) in words else None
+        index_rows += [(w, i, label, len(words), k, words, telling) for i, w in enumerate(words[: len(words) - k + 1])]
     schema = T.StructType(
-        [T.StructField("word", T.StringType()), T.StructField("place", T.IntegerType()), T.StructField("label", T.StringType()), T.StructField("size", T.IntegerType()), T.StructField("need", T.IntegerType()), T.StructField("words", T.ArrayType(T.StringType()))]
+        [T.StructField("word", T.StringType()), T.StructField("place", T.IntegerType()), T.StructField("label", T.StringType()), T.StructField("size", T.IntegerType()), T.StructField("need", T.IntegerType()), T.StructField("words", T.ArrayType(T.StringType())), T.StructField("telling", T.StringType())]
     )
     index = spark.createDataFrame(index_rows, schema)
     prefix_words = sorted({r[0] for r in index_rows})
@@ -112,7 +131,8 @@ def scan_licenses(docs: DataFrame, threshold: float = 0.8, templates: list[tuple
     enough = F.size("block") >= F.col("need")
     reach = 1 + F.least(F.col("size") - F.col("place") - 1, F.size("block") - F.col("at") - 1) >= F.col("need")
     common = F.size(F.array_intersect("block", "words"))
-    meets = F.when(enough & reach, common >= F.col("need"))
+    told = F.col("telling").isNull() | F.array_contains("block", F.col("telling"))
+    meets = F.when(enough & reach & told, common >= F.col("need"))
     joined = probes.join(F.broadcast(index), "word", "left")
     one = joined.groupBy("row").agg(
         *(F.first(c).alias(c) for c in ("id", "n_words", "n_base", "first_word", "last_word", "base")),
