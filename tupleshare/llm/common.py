@@ -7,6 +7,7 @@ import contextlib
 import ctypes
 import tempfile
 import uuid
+import weakref
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -63,7 +64,20 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     schema = df.schema
     df.write.parquet(path)
     atexit.register(delete_path, spark, path)
-    return spark.read.schema(schema).parquet(path)
+    out = spark.read.schema(schema).parquet(path)
+    _WRITTEN[id(out)] = (weakref.ref(out), path)
+    return out
+
+
+_WRITTEN: dict[int, tuple[weakref.ref, str]] = {}
+
+
+def discard(*tables: DataFrame) -> None:
+    """Deletes what materialize() wrote for these; only for tables that nothing reads any more."""
+    for df in tables:
+        ref, path = _WRITTEN.pop(id(df), (lambda: None, ""))
+        if ref() is df:
+            delete_path(df.sparkSession, path)
 
 
 #: Rows of an Arrow batch that become Python objects at once, and rows and bytes of a batch of texts.

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import discard, materialize
 
 
 def _large_star(edges: DataFrame) -> DataFrame:
@@ -34,7 +34,8 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     edges = materialize(edges.where("a <> b").select("a", "b").distinct(), "links")
     mark = None
     for _ in range(max_rounds):
-        edges = materialize(_small_star(_large_star(edges)), "links")
+        before, edges = edges, materialize(_small_star(_large_star(edges)), "links")
+        discard(before)
         now = edges.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if now == mark:
             nodes = edges.select(F.col("a").alias("node"), F.col("b").alias("label"))
