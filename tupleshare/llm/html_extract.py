@@ -1,4 +1,9 @@
-"""Main text of web pages: the contiguous region of tokens with the greatest total score."""
+"""Main text of web pages: the contiguous region of tokens with the greatest total score.
+
+Words score positive, those in links less, and tags negative, with weights learnt from labelled pages. What stands in
+marked boilerplate (menus, adverts, notices, ...) scores nothing: it is no evidence for the ends of the region, and it
+is left out of the text wherever it stands.
+"""
 
 from __future__ import annotations
 
@@ -8,6 +13,7 @@ import re
 from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import accumulate
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -16,18 +22,18 @@ from pyspark.sql.types import StringType
 
 from .html_labels import LABELLED
 
-#: Elements whose inside is never text.
-OPAQUE = "script|style|title|noscript|template|svg|math|iframe|textarea|select|button|object|audio|video|canvas"
-TOKEN = re.compile(
-    rf"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<(?P<opaque>{OPAQUE})\b(?:[^>\"']|\"[^\"]*\"|'[^']*')*+>.*?(?:</(?P=opaque)\s*>|\Z)|<(?P<close>/?)(?P<name>[a-z][a-z0-9:-]*)(?P<attrs>(?:[^>\"']|\"[^\"]*\"|'[^']*')*+)>|<[!?][^>]*>",
-    re.S | re.I,
-)
+#: Elements whose inside is never text; of the raw ones an unclosed one takes the rest of the page, as in browsers.
+RAW = frozenset("script style textarea iframe".split())
+OPAQUE = RAW | frozenset("title noscript template svg math select button object audio video canvas".split())
+#: The inside of a tag. A quoted value may hold `>`; a quote that is never closed is a character like others.
+_INSIDE = r"(?:=\s*\"[^\"<>]*+\"|=\s*'[^'<>]*+'|=\s*\"[^\"]*+\"(?=[\s/>])|=\s*'[^']*+'(?=[\s/>])|[^>])*+"
+TOKEN = re.compile(rf"<!--(?:-?>|.*?(?:--!?>|\Z))|<!\[CDATA\[.*?(?:\]\]>|\Z)|<(?P<close>/?)(?P<name>[a-z][a-z0-9:-]*)(?P<attrs>{_INSIDE})(?:>|\Z)|<[!?/][^>]*(?:>|\Z)", re.S | re.I)
 MARKS = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 #: Elements that end one block and begin another.
 BLOCK = frozenset(
     "address article aside blockquote body caption center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hr html legend li main nav ol option p pre section summary table tbody tfoot thead tr ul".split()
 )
-BREAK = frozenset("br td th wbr img input label".split())
+BREAK = frozenset("br td th".split())
 #: Elements that hold others; these are followed from their start to their end. Others only if they bear a mark.
 HOLDER = frozenset("article aside body center details dialog div dl fieldset figure footer form header main nav ol section table tbody td tr ul".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -51,9 +57,16 @@ BY_MARK = {
 OF_CONTENT = frozenset("article content entry main post story title".split())
 
 
+#: Marks that begin so tell of the layout, not of the element.
+OF_LAYOUT = ("has-", "with-", "no-", "without-", "layout-", "col-")
+
+
 def kind_of(name: str, attrs: str) -> str | None:
     if attrs:
-        words = {w for m in MARKS.finditer(attrs) for w in re.split(r"[^a-z0-9]+", (m[1] or m[2] or m[3] or "").lower())}
+        marks = [t for m in MARKS.finditer(attrs) for t in (m[1] or m[2] or m[3] or "").lower().split() if not t.startswith(OF_LAYOUT)]
+        words = {w for t in marks for w in re.split(r"[^a-z0-9]+", t)}
+        if name in ("article", "main") and words & OF_CONTENT:
+            return None
         for w in sorted(words):
             kind = BY_MARK.get(w)
             if kind and not (kind in ("header", "footer") and words & OF_CONTENT) and name not in ("body", "html"):
@@ -62,84 +75,134 @@ def kind_of(name: str, attrs: str) -> str | None:
 
 
 def runs(page: str) -> Iterator[tuple[str, str | None, str, int]]:
-    """In page order ("text", kind of the place or None, text, offset) and ("open" | "close" | "opaque", kind of the
-    place, name, offset)."""
+    """In page order ("text", kind of the place or None, text, offset), with ("link", ...) for text of links, and
+    ("open" | "close" | "opaque", kind of the place, name, offset). A tag that opens or closes boilerplate is of its kind."""
     stack: list[tuple[str, str | None]] = []
-    at, kind = 0, None
-    for m in TOKEN.finditer(page):
+    unclosed: set[str] = set()
+    at, kind, link = 0, None, False
+    while m := TOKEN.search(page, at):
         if m.start() > at:
-            yield "text", kind, page[at : m.start()], at
-        at = m.end()
-        if m["opaque"]:
-            yield "opaque", kind, m["opaque"].lower(), m.start()
-        elif m["name"]:
-            name = m["name"].lower()
-            if m["close"]:
-                if any(n == name for n, _ in stack):
-                    while stack.pop()[0] != name:
-                        pass
-                    kind = stack[-1][1] if stack else None
-                yield "close", kind, name, m.start()
+            yield "link" if link else "text", kind, page[at : m.start()], at
+        at, name = m.end(), (m["name"] or "").lower()
+        if not name:
+            continue
+        if name in OPAQUE and not m["close"] and not m["attrs"].endswith("/") and name not in unclosed:
+            end = re.compile(rf"</{name}(?=[\s/>])[^>]*>", re.I).search(page, at)
+            if end or name in RAW:
+                at = end.end() if end else len(page)
+                yield "opaque", kind, name, m.start()
                 continue
-            if name in BLOCK and stack and stack[-1][0] in ("p", "li", "dt", "dd") and (name == stack[-1][0] or stack[-1][0] == "p"):
-                stack.pop()
+            unclosed.add(name)
+        if name == "a" or name in BLOCK:
+            link = name == "a" and not m["close"]
+        if m["close"]:
+            before = kind
+            if any(n == name for n, _ in stack):
+                while stack.pop()[0] != name:
+                    pass
                 kind = stack[-1][1] if stack else None
-            own = kind_of(name, m["attrs"])
-            if own == "header" and name == "header" and any(n in ("article", "main") for n, _ in stack):
-                own = None  # the article's own
-            if name in ("article", "main") and own is None and kind in ("ad", "notice", "menu", "header"):
-                inner = None  # what was never closed ends here
-            else:
-                inner = kind or own
-            if (name in HOLDER or own) and name not in VOID and not m["attrs"].endswith("/"):
-                stack.append((name, inner))
-                kind = inner
-            yield "open", kind, name, m.start()
+            yield "close", before, name, m.start()
+            continue
+        if name in BLOCK and stack and stack[-1][0] in ("p", "li", "dt", "dd") and (name == stack[-1][0] or stack[-1][0] == "p"):
+            stack.pop()
+            kind = stack[-1][1] if stack else None
+        own = kind_of(name, m["attrs"])
+        if own == "header" and name == "header" and any(n in ("article", "main") for n, _ in stack):
+            own = None  # the article's own
+        if name in ("article", "main") and own is None and kind in ("ad", "notice", "menu", "header"):
+            inner = None  # what was never closed ends here
+        else:
+            inner = kind or own
+        if (name in HOLDER or own) and name not in VOID and not m["attrs"].endswith("/"):
+            stack.append((name, inner))
+            kind = inner
+        yield "open", inner, name, m.start()
     if at < len(page):
-        yield "text", kind, page[at:], at
+        yield "link" if link else "text", kind, page[at:], at
+
+
+def _ratios(inside: Counter, outside: Counter) -> dict[str, float]:
+    n_in, n_out = sum(inside.values()) + 1, sum(outside.values()) + 1
+    return {k: math.log((inside[k] + 0.5) / n_in) - math.log((outside[k] + 0.5) / n_out) for k in inside | outside}
 
 
-@lru_cache(maxsize=1)
-def learnt_weights() -> tuple[dict[str, float], dict[str | None, float]]:
-    """Of tags by name, always negative, and of words by the kind of their place: log ratios of the shares that the
-    labelled content and the rest of the labelled pages have of them."""
-    tags, words = {True: Counter(), False: Counter()}, {True: Counter(), False: Counter()}
-    for before, content, after in LABELLED:
+def learn(pages: list[tuple[str, str, str]]) -> tuple[dict[str, float], dict[str, float]]:
+    """Of pages as (before, content, after): weights of tags by name, always negative, and of words ("text", "link"),
+    always positive: log ratios of the shares that the content and the unmarked rest of the pages have of them."""
+    tags, words = (Counter(), Counter()), (Counter(), Counter())
+    for before, content, after in pages:
         for what, kind, value, at in runs(before + content + after):
-            inside = len(before) <= at < len(before) + len(content)
-            if what == "text":
-                words[inside][kind] += len(value.split())
-            else:
-                tags[inside][value] += 1
-    n_in, n_out = sum(tags[True].values()) + 1, sum(tags[False].values()) + 1
-    tag_weights = {t: max(-2.0, min(-0.1, math.log((tags[True][t] + 0.5) / n_in) - math.log((tags[False][t] + 0.5) / n_out))) for t in tags[True] | tags[False]}
-    w_in, w_out = sum(words[True].values()) + 1, sum(words[False].values()) + 1
-    word_weights = {k: math.log((words[True][k] + 0.5) / w_in) - math.log((words[False][k] + 0.5) / w_out) for k in words[True] | words[False]}
-    return tag_weights, {k: max(0.3, min(1.0, v)) if k is None else max(-0.25, min(-0.05, v)) for k, v in word_weights.items()}
+            outside = not len(before) <= at < len(before) + len(content)
+            if what in ("text", "link"):
+                if kind is None:
+                    words[outside][what] += len(value.split())
+            elif kind is None:
+                tags[outside][value] += 1
+    weights = {t: max(-2.0, min(-0.1, w)) for t, w in _ratios(*tags).items()}
+    return weights, {k: max(0.05, min(1.0, w)) for k, w in _ratios(*words).items()}
 
 
-#: Of a tag or a kind of place that the labelled pages lack.
-OTHER_TAG, OTHER_KIND = -0.5, -0.2
+learnt_weights = lru_cache(maxsize=1)(lambda: learn(LABELLED))
+#: Of a tag that the labelled pages lack.
+OTHER_TAG = -0.5
 
 
-def main_text(page: str | None) -> str:
-    """Words of the page score by the kind of their place, tags are negative; one scan finds the region with the
-    greatest sum, the first and shortest of several. Of the region the text outside menus, headers, footers, sidebars,
-    notices, adverts, forms and comments is returned: references decoded, white space made one space, blocks joined by
-    line ends."""
-    tag_weights, word_weights = learnt_weights()
-    seen = list(runs(page or ""))
+def best_region(gains: list[float]) -> tuple[int, int]:
+    """The run (start, end) of the greatest sum, the first and shortest of several; empty if no sum is above 0. Kadane's scan."""
     best, best_at, total, start = 0.0, (0, 0), 0.0, 0
-    for i, (what, kind, value, _) in enumerate(seen):
-        gain = len(value.split()) * word_weights.get(kind, OTHER_KIND) if what == "text" else tag_weights.get(value, OTHER_TAG)
+    for i, gain in enumerate(gains):
         if total <= 0:
             total, start = 0.0, i
         total += gain
         if total > best:
             best, best_at = total, (start, i + 1)
+    return best_at
+
+
+#: Share of the region's words that an article element must hold for the region to be taken to its ends.
+HELD = 0.8
+
+
+def _to_block_ends(seen: list, region: tuple[int, int]) -> tuple[int, int]:
+    """No block is cut: the region goes on to the next tag that ends a block."""
+    a, b = region
+    while a and (seen[a - 1][0] in ("text", "link") or seen[a - 1][2] not in BLOCK):
+        a -= 1
+    while b < len(seen) and (seen[b][0] in ("text", "link") or seen[b][2] not in BLOCK):
+        b += 1
+    return a, b
+
+
+def _to_article(seen: list, region: tuple[int, int]) -> tuple[int, int]:
+    """The least article element that holds nearly all words of the region, else the region."""
+    count = list(accumulate((len(v.split()) if w in ("text", "link") and k is None else 0 for w, k, v, _ in seen), initial=0))
+    begun, spans = [], []
+    for i, (what, kind, value, _) in enumerate(seen):
+        if value == "article" and kind is None:
+            if what == "open":
+                begun.append(i)
+            elif what == "close" and begun:
+                spans.append((begun.pop(), i))
+    spans += [(i, len(seen)) for i in begun]
+    a, b = region
+    held = [(s, e) for s, e in spans if count[max(a, min(b, e))] - count[min(b, max(a, s))] >= HELD * (count[b] - count[a])]
+    return min(held, key=lambda x: x[1] - x[0], default=region)
+
+
+def main_text(page: str | None) -> str:
+    """Words outside marked boilerplate score positive, tags there negative; one scan finds the region with the greatest
+    sum, which is taken to the ends of its blocks, and of an article element that holds nearly all of its words. Of that
+    the text outside menus, headers, footers, sidebars, notices, adverts, forms and comments is returned: references
+    decoded, white space made one space, blocks joined by two line ends."""
+    tag_weights, word_weights = learnt_weights()
+    seen = list(runs(page or ""))
+    gains = [0.0 if kind else len(value.split()) * word_weights[what] if what in word_weights else tag_weights.get(value, OTHER_TAG) for what, kind, value, _ in seen]
+    region = best_region(gains)
+    if region[1]:
+        region = _to_article(seen, _to_block_ends(seen, region))
     blocks, parts = [], []
-    for what, kind, value, _ in seen[best_at[0] : best_at[1]]:
-        if what == "text":
+    for what, kind, value, _ in seen[slice(*region)]:
+        if what in ("text", "link"):
             if kind is None:
                 parts.append(entities.unescape(value) if "&" in value else value)
         elif value in BLOCK:
@@ -148,7 +211,7 @@ def main_text(page: str | None) -> str:
         elif value in BREAK:
             parts.append(" ")
     blocks.append("".join(parts))
-    return "\n".join(b for b in (" ".join(b.split()) for b in blocks) if b)
+    return "\n\n".join(b for b in (" ".join(b.split()) for b in blocks) if b)
 
 
 @F.pandas_udf(StringType())

@@ -21,4 +21,24 @@ LABELLED = [
         "<p>The library keeps its old catalogue on cards, and a clerk still adds a card for each book that comes in.</p><p>Readers may look at the cards, but must not take them out of the drawers, since a lost card is a lost book.</p><p>In the cellar there are two more rooms with maps and papers of the town.</p>",
         '</div><div><a href="/m">More</a><a href="/n">Next page</a></div><ul><li><a href="/5">Five</a></li><li><a href="/6">Six</a></li></ul><div class="social">Share this</div></body>',
     ),
+    (
+        '<html><body><div id="top"><a href="/">Forum</a> &gt; <a href="/g">Garden</a></div><div><a href="/r">Register</a> <a href="/i">Sign in</a> <a href="/q">Help</a></div><div>',
+        "<h2>My apple tree drops its leaves</h2><p>It stands in the sun and gets water twice a week, yet since July it loses leaves, and those that stay have brown edges.</p><p>A neighbour says the <a href=\"/soil\">soil</a> is too wet. Should I dig a trench, or wait until autumn?</p>",
+        '</div><div><a href="/p1">1</a> <a href="/p2">2</a> <a href="/p3">3</a> <a href="/p4">Next</a></div><div class="replies"><p>Wait until autumn, and water less.</p></div><p><a href="/imprint">Imprint</a> <a href="/rules">Rules</a></p></body></html>',
+    ),
+    (
+        '<html><body><table width="100%"><tr><td colspan="2"><img src="/l.gif"></td></tr><tr><td><a href="/1">Tides</a><br><a href="/2">Winds</a><br><a href="/3">Charts</a><br><a href="/4">Links</a></td><td>',
+        "<h1>Sailing round the cape</h1><p>The current runs north for six hours and south for six, and only near the turn can a small boat pass.<br>Leave the harbour two hours before.<table><tr><th>Wind</th><th>Wait</th></tr><tr><td>west</td><td>one day</td></tr><tr><td>east</td><td>none</td></tr></table><p>Keep the light to your left until the second buoy, then turn and follow the coast.",
+        '</td></tr><tr><td colspan="2"><a href="/5">Guest book</a> | <a href="/6">Mail</a> | <a href="/7">Map</a></td></tr></table></body></html>',
+    ),
+    (
+        '<html><body><div class="layout"><ul><li><a href="#a">Install</a></li><li><a href="#b">First steps</a></li><li><a href="#c">Options</a></li><li><a href="#d">Errors</a></li><li><a href="#e">Index</a></li></ul><section>',
+        '<h1>Options</h1><p>Every option may stand in the file or on the command line, and the command line wins.</p><dl><dt>depth</dt><dd>How many levels of folders are read.</dd><dt>quiet</dt><dd>Nothing is written but errors.</dd></dl><pre>scan --depth 3 notes</pre><p>Options that are not known end the program with an error.</p>',
+        '</section><div><a href="/prev">Previous</a> <a href="/next">Next</a></div><ul><li><a href="/x1">Version 1</a></li><li><a href="/x2">Version 2</a></li></ul></div></body></html>',
+    ),
+    (
+        '<html><body><div><a href="/"><img src="/logo.png"></a> <a href="/soups">Soups</a> <a href="/cakes">Cakes</a></div><main>',
+        "<h1>Plum cake</h1><p>This cake keeps for a week and is best on the second day.</p><h2>You need</h2><ul><li>1 kg of plums</li><li>300 g of flour</li><li>150 g of butter</li><li>2 eggs</li></ul><h2>Steps</h2><ol><li>Rub the butter into the flour and add the eggs.</li><li>Lay the plums on the dough, close to each other.</li><li>Bake for fifty minutes.</li></ol>",
+        '</main><div><h4>More cakes</h4><a href="/c1"><img src="/1.jpg">Apple cake</a><a href="/c2"><img src="/2.jpg">Pear cake</a><a href="/c3"><img src="/3.jpg">Nut cake</a></div><div><a href="/about">About</a><a href="/contact">Contact</a></div></body></html>',
+    ),
 ]
