@@ -158,3 +158,83 @@ def test_sample_by_hash(spark):
     rows = mixing.sample(odd, mixing.Mix(1.0)).collect()
     assert sorted(r.mix.tokens for r in rows if r.doc_id == 2) in ([], [2, 2])
     assert mixing.sample(odd.limit(0)).count() == 0
+
+
+def plain_leaks(docs, items, window=20, similarity=0.8):
+    """All alignments of all items with all texts."""
+    out = set()
+    for d, text in docs:
+        own = decontam.tokens((text or "").encode())
+        for k, item in items:
+            words = decontam.tokens((item or "").encode())
+            run = min(window, len(words))
+            if run and any(
+                sum(words[i + x] == own[j + x] for x in range(run)) >= similarity * run - 1e-9 for i in range(len(words) - run + 1) for j in range(len(own) - run + 1)
+            ):
+                out.add((d, k))
+    return out
+
+
+def test_decontamination_against_all_alignments(spark, monkeypatch):
+    rng = np.random.default_rng(11)
+    words = [f"w{i}" for i in range(200)]
+    items = [(k, " ".join(rng.choice(words, n))) for k, n in enumerate([*range(1, 26), 40, 60])] + [(90, "the the the the the the the"), (91, "what is the capital of france")]
+    docs = []
+    for d in range(400):
+        item = items[rng.integers(len(items))][1].split()
+        for at in rng.choice(len(item), rng.integers(0, 1 + max(1, len(item) // 4)), replace=False):
+            item[at] = "zz"
+        lo = rng.integers(0, 3)
+        docs.append((d, " ".join([*rng.choice(words, rng.integers(0, 9)), *item[lo if len(item) > 20 else 0 :], *rng.choice(words, rng.integers(0, 9))])))
+    docs += [(900, "the " * 50), (901, "And what is the capital of France?"), (902, None), (903, "")]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    table = spark.createDataFrame([*items, (95, None), (96, "")], "item_id long, text string")
+    expected = plain_leaks(docs, items)
+    assert {(r.doc_id, r.item_id) for r in decontam.find_leaks(df, table).collect()} == expected
+    monkeypatch.setattr(decontam, "BLOCK_BYTES", 700)  # several blocks of items
+    assert {(r.doc_id, r.item_id) for r in decontam.find_leaks(df, table).collect()} == expected
+    assert {r.doc_id for r in decontam.without_leaks(df, table).collect()} == {d for d, _ in docs} - {d for d, _ in expected}
+
+
+def test_one_word_repeated_many_times():
+    found = decontam.Seeds([(1, b"buy " * 30), (2, b"buy " * 6)], decontam.Rule()).hits([b"buy " * 200_000])
+    assert found == [[(1, 0, 20, 20), (2, 0, 6, 6)]]
+
+
+def test_raking_by_joins_is_the_same(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    cells = docs.groupBy("source", "lang").agg(F.sum("n_chars").alias("tokens")).selectExpr("source", "lang", "substr(source, 1, 1) AS topic", "tokens")
+    mix = mixing.Mix(rounds=6)
+    one, few = mixing.probabilities(cells, mix)
+    other, some = mixing.probabilities(cells, mix, most=1)
+    assert few and not some
+    a, b = ({(r.source, r.lang, r.topic): r.probability for r in x.collect()} for x in (one, other))
+    assert a.keys() == b.keys() and all(abs(a[k] - b[k]) < 1e-9 for k in a)
+
+
+def test_columns_that_clash_are_replaced(spark):
+    from tupleshare.llm import line_dedup
+
+    docs = spark.createDataFrame([(1, "a b\na b", "s", "en", 5, 6)], "doc_id long, text string, source string, lang string, mix int, Deduped int")
+    assert mixing.sample(docs, mixing.Mix(share=1.0)).select("mix.topic").count() <= 1
+    assert line_dedup.dedup_lines(docs, line_dedup.EVERY_LINE).select("deduped.text").first()[0] == "a b"
+
+
+def plain_weight(folded, lexicon):
+    """Every term at every place, and every phrase (the blank that ends it begins the next word), without an automaton."""
+    excused = [(i, i + len(e) - 1) for e in lexicon.exceptions for i in range(len(folded)) if folded.startswith(e, i)]
+    total = 0.0
+    for i in range(len(folded)):
+        here = [w for t, w in lexicon.terms.items() if t not in lexicon.exceptions and folded.startswith(t, i)]
+        if here and not any(a <= i < b for a, b in excused):
+            total += max(max(here), 0.0)
+    return total / (1 + len(folded) / 1000) ** 0.5
+
+
+def test_weights_against_a_plain_matcher():
+    rng = np.random.default_rng(4)
+    parts = ["bad", "badly", "ba", "trash", "trash can", "clown", "class clown", "good", "b4d", "fine", "sand"]
+    lexicon = toxicity.Lexicon({" bad": 2.0, " bad ": 2.5, " trash": 1.5, " clown ": 1.0, " ba": 0.4}, tuple(map(toxicity.fold, ("trash can", "class clown"))), 1.0, 0.0)
+    for _ in range(300):
+        folded = toxicity.fold(" ".join(rng.choice(parts, rng.integers(0, 12))))
+        assert toxicity.weigh(folded, lexicon.automaton()) == pytest.approx(plain_weight(folded, lexicon))

@@ -69,3 +69,9 @@ def test_urls_equal_plain(spark):
     got = sorted((tuple(r) for r in url_filter.judge_urls(df, rules).collect()), key=repr)
     assert got == sorted(((i, *plain_judge(u)) for i, u in rows), key=repr)
     assert url_filter.judge_urls(df.limit(0), rules).count() == 0
+
+
+def test_rules_without_literals_are_always_checked(spark):
+    urls = spark.createDataFrame([(1, "http://a.example.net/xyz"), (2, "http://a.example.net/abc"), (3, None)], "page_id long, url string")
+    judged = url_filter.judge_urls(urls, [*url_filter.HOST_RULES, url_filter.pattern_rule("block", "xyz")])
+    assert {r.page_id: r.verdict for r in judged.collect()} == {1: "block", 2: "allow", 3: "allow"}

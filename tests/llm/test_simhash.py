@@ -61,7 +61,7 @@ def test_large_cell_by_flips_equals_pairs(monkeypatch):
     fps = clusters(np.random.default_rng(5), 3, 60)
     pivots = simhash.PivotTables()
     pairs = simhash.cell_links(fps, pivots)
-    monkeypatch.setattr(simhash, "PAIRWISE", 1)
+    monkeypatch.setattr(simhash, "TOGETHER", 4)
     flips = simhash.cell_links(fps, pivots)
     assert sorted(zip(*pairs, strict=True)) == sorted(zip(*flips, strict=True))
 

@@ -195,7 +195,11 @@ def nearest(vectors: DataFrame, is_query: Column, search: Search = Search(), id_
                 kth = np.partition(score, -s.k, axis=1)[:, -s.k]
                 floor[at : at + 512] = np.where(np.isfinite(kth), kth - 1e-9 * np.abs(kth), -np.inf)
         shared = spark.sparkContext.broadcast((ids, x, floor))
-        found.append(index.mapInPandas(_scanning(shared, dim, s), "query_id long, id long, score double"))
+        best = index.mapInPandas(_scanning(shared, dim, s), "query_id long, id long, score double")
+        if blocks > 1:  # one block is in the driver and the executors at a time
+            best = materialize(best, "nearest")
+            shared.destroy()
+        found.append(best)
     if not found:
         return empty
     best = found[0]

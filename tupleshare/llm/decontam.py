@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import lru_cache
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_function
+from .common import discard, materialize, text_function
 
 #: The masks; 1 keeps a position of the window, 0 ignores it.
 MASKS = ("1101100101", "110010111", "1011011", "11101001")
@@ -35,6 +38,25 @@ def tokens(text: bytes | None) -> list[bytes]:
     return (text or b"").translate(_TO_WORDS).split()
 
 
+def substitutions(n: int, rule: Rule) -> int:
+    """How many words of a run of n may differ."""
+    return n - math.ceil(rule.similarity * n - 1e-9)
+
+
+@lru_cache(maxsize=256)
+def extra_masks(n: int, rule: Rule) -> tuple[str, ...]:
+    """Masks for runs of just n words, so that whichever of their words differ, as many as the rule allows, some mask
+    keeps none of these. What the common masks leave open is found by enumeration, and gets a mask of the whole run
+    that ignores the very places; without substitutions that is the run itself."""
+    kept = [{at + k for k, c in enumerate(m) if c == "1"} for m in rule.masks for at in range(n - len(m) + 1)]
+    open_ = [set(p) for p in combinations(range(n), substitutions(n, rule)) if all(k & set(p) for k in kept)]
+    return tuple("".join("0" if k in p else "1" for k in range(n)) for p in open_)
+
+
+#: Hits and places of words that are expanded at once.
+AT_ONCE = 400_000
+
+
 class Seeds:
     """The windows of a block of items under every mask, by hash."""
 
@@ -42,13 +64,15 @@ class Seeds:
         self.rule, self.ids = rule, np.array([i for i, _ in items], dtype=np.int64)
         self.number: dict[bytes, int] = {}
         self.items = [np.array([self.number.setdefault(w, len(self.number) + 1) for w in tokens(t)], dtype=np.int64) for _, t in items]
-        self.kept = [np.array([k for k, c in enumerate(m) if c == "1"]) for m in rule.masks]
+        sizes = sorted({min(rule.window, len(i)) for i in self.items if len(i)})
+        self.masks = [(m, None) for m in rule.masks] + [(m, n) for n in sizes for m in extra_masks(n, rule)]
+        self.kept = [np.array([k for k, c in enumerate(m) if c == "1"]) for m, _ in self.masks]
         rng = np.random.default_rng(7)
         self.factors = [rng.integers(1, 2**64, len(k), dtype=np.uint64) | np.uint64(1) for k in self.kept]
         hashes, owners, places = [], [], []
-        for m, mask in enumerate(rule.masks):
+        for m, (mask, only) in enumerate(self.masks):
             for k, item in enumerate(self.items):
-                at = np.arange(len(item) - len(mask) + 1)
+                at = np.arange(len(item) - len(mask) + 1) if only in (None, min(rule.window, len(item))) else ()
                 if len(at) > 0:
                     hashes.append(self.hash(item, at, m))
                     owners.append(np.full(len(at), k))
@@ -64,19 +88,13 @@ class Seeds:
             out += numbers[at + offset].astype(np.uint64) * factor
         return out
 
-    def hits(self, texts: list[bytes | None]) -> list[list[tuple[int, int, int, int]]]:
-        """Of each text (item id, first word of the best run in the text, words equal, words of the run), by item."""
-        get, gap = self.number.get, max(map(len, self.rule.masks))
-        lists = [[get(w, 0) for w in tokens(t)] for t in texts]
-        starts = np.cumsum([0] + [len(x) + gap for x in lists])
-        numbers = np.zeros(starts[-1] + gap, dtype=np.int64)
-        for s, x in zip(starts, lists, strict=False):
-            numbers[s : s + len(x)] = x
+    def _diagonals(self, numbers: np.ndarray, gap: int, starts: np.ndarray) -> np.ndarray:
+        """Distinct (text, item, shift) that some seed hits; a word that is repeated hits a shift often, which counts once."""
         known = numbers > 0
-        diagonals: set[tuple[int, int, int]] = set()
+        found: list[np.ndarray] = []
         for m, kept in enumerate(self.kept):
-            ok = known[: len(known) - gap].copy()
-            for offset in kept[1:]:
+            ok = np.ones(len(known) - gap, bool)
+            for offset in kept:
                 ok &= known[offset : len(known) - gap + offset]
             at = np.flatnonzero(ok)
             if not len(at) or not len(self.hashes):
@@ -85,24 +103,49 @@ class Seeds:
             lo, hi = np.searchsorted(self.hashes, h, "left"), np.searchsorted(self.hashes, h, "right")
             hit = np.flatnonzero(hi > lo)
             n = (hi - lo)[hit]
-            seed = np.repeat(lo[hit], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-            where = np.repeat(at[hit], n)
-            text = np.searchsorted(starts, where, "right") - 1
-            found = np.unique(np.stack([text, self.owner[seed], where - starts[text] - self.place[seed]], axis=1), axis=0) if len(seed) else np.zeros((0, 3), int)
-            diagonals.update(map(tuple, found.tolist()))
+            upto, done = np.cumsum(n), 0
+            while done < len(hit):
+                stop = max(done + 1, int(np.searchsorted(upto, (upto[done - 1] if done else 0) + AT_ONCE, "right")))
+                k = n[done:stop]
+                seed = np.repeat(lo[hit[done:stop]], k) + np.arange(k.sum()) - np.repeat(np.cumsum(k) - k, k)
+                where = np.repeat(at[hit[done:stop]], k)
+                done = stop
+                text = np.searchsorted(starts, where, "right") - 1
+                found.append(np.unique(np.stack([text, self.owner[seed], where - starts[text] - self.place[seed]], axis=1), axis=0))
+                if sum(map(len, found)) > 4 * AT_ONCE:
+                    found = [np.unique(np.concatenate(found), axis=0)]
+        return np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 3), np.int64)
+
+    def hits(self, texts: list[bytes | None]) -> list[list[tuple[int, int, int, int]]]:
+        """Of each text (item id, first word of the best run in the text, words equal, words of the run), by item."""
+        get, gap = self.number.get, max((len(m) for m, _ in self.masks), default=1)
+        lists = [[get(w, 0) for w in tokens(t)] for t in texts]
+        pad = max([gap, *map(len, self.items)])  # so that no alignment leaves the array
+        starts = pad + np.cumsum([0] + [len(x) + pad for x in lists])
+        numbers = np.zeros(starts[-1] + pad, dtype=np.int64)
+        for s, x in zip(starts, lists, strict=False):
+            numbers[s : s + len(x)] = x
+        sizes = np.array([len(x) for x in lists])
         best: dict[tuple[int, int], tuple[int, int, int]] = {}
-        for text, k, shift in diagonals:
-            item, own = self.items[k], numbers[starts[text] : starts[text] + len(lists[text])]
-            run = min(self.rule.window, len(item))
-            a, b = max(0, -shift), min(len(item), len(own) - shift)
-            if b - a < run:
-                continue
-            sums = np.r_[0, np.cumsum(item[a:b] == own[a + shift : b + shift])]
-            equal = sums[run:] - sums[:-run]
-            first = int(equal.argmax())
-            if equal[first] >= self.rule.similarity * run - 1e-9:
-                value = (int(equal[first]), -(a + shift + first), run)
-                best[text, k] = max(best.get((text, k), (0, 0, 0)), value)
+        diagonals = self._diagonals(numbers, gap, starts)
+        diagonals = diagonals[np.lexsort((diagonals[:, 2], diagonals[:, 0], diagonals[:, 1]))]
+        cuts = np.flatnonzero(diagonals[1:, 1] != diagonals[:-1, 1]) + 1
+        for group in np.split(diagonals, cuts) if len(diagonals) else ():
+            k, item = int(group[0, 1]), self.items[group[0, 1]]
+            run, step = min(self.rule.window, len(item)), max(1, AT_ONCE // len(item))
+            for lo in range(0, len(group), step):
+                text, shift = group[lo : lo + step, 0], group[lo : lo + step, 2]
+                same = numbers[(starts[text] + shift)[:, None] + np.arange(len(item))] == item
+                sums = np.concatenate([np.zeros((len(same), 1), np.int64), np.cumsum(same, axis=1)], axis=1)
+                equal = sums[:, run:] - sums[:, :-run]
+                first = np.arange(equal.shape[1])
+                inside = (shift[:, None] + first >= 0) & (shift[:, None] + first + run <= sizes[text][:, None])
+                equal = np.where(inside, equal, -1)
+                at = equal.argmax(axis=1)
+                most = equal[np.arange(len(equal)), at]
+                for i in np.flatnonzero(most >= self.rule.similarity * run - 1e-9).tolist():
+                    place = (int(text[i]), k)
+                    best[place] = max(best.get(place, (-1, 0, 0)), (int(most[i]), -int(shift[i] + at[i]), run))
         out: list[list[tuple[int, int, int, int]]] = [[] for _ in texts]
         for (text, k), (equal, at, run) in sorted(best.items()):
             out[text].append((int(self.ids[k]), -at, equal, run))
@@ -132,29 +175,47 @@ def _leaks(shared, rule: Rule):
     return text_function(leaks, HITS, pa.list_(pa.struct(fields)))
 
 
-def leak_columns(docs: DataFrame, items: DataFrame, rule: Rule = Rule(), text_col: str = "text") -> list[Column]:
-    """For each block of items the leaks of the text: an array of item, first word of the run in the text, words equal, words of the run."""
-    context = docs.sparkSession.sparkContext
-    return [_leaks(context.broadcast(block), rule)(F.col(text_col)) for block in seed_blocks(items, rule)]
-
-
 def find_leaks(docs: DataFrame, items: DataFrame, rule: Rule = Rule(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """A row for each item that leaks into a document: id, item_id, at (first word of the best run), matched, words.
 
-    Seeds of all items are broadcast in blocks; every window of a text whose kept positions hash like an item's is a hit,
-    and the item is compared along the hit's alignment, where substituted words are allowed. Items shorter than the
-    shortest mask have no seeds. Null and empty texts have no leaks; repeated rows give theirs as often; equal items
-    leak each. Other columns are not read; empty tables give an empty result.
+    Every window of a text whose kept positions hash like an item's is a hit, and the item is compared along the hit's
+    alignment, where substituted words are allowed. Every leak that the rule names is found: items shorter than its
+    window have masks for whatever the common ones miss, and those of one to four words, in which none may differ, are
+    seeds as a whole. Items without words leak nowhere. Seeds are broadcast in blocks of bounded size, one block at a
+    time; with more than one block each block's leaks are written before the next is sent. Null and empty texts have no
+    leaks; repeated rows give theirs as often; equal items leak each. Other columns are not read; empty tables give an
+    empty result.
     """
     picked = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
-    columns = leak_columns(picked, items, rule)
-    if not columns:
-        return docs.select(id_col).limit(0).selectExpr(id_col, "0L AS item_id", "0 AS at", "0 AS matched", "0 AS words")
-    found = picked.select("id", F.explode(F.concat(*columns)).alias("leak"))
-    return found.select(F.col("id").alias(id_col), "leak.*")
+    out = docs.select(id_col).limit(0).selectExpr(id_col, "0L AS item_id", "0 AS at", "0 AS matched", "0 AS words")
+    for block, last in _marked(seed_blocks(items, rule)):
+        shared = docs.sparkSession.sparkContext.broadcast(block)
+        found = picked.select(F.col("id").alias(id_col), F.explode(_leaks(shared, rule)(F.col("text"))).alias("leak")).select(id_col, "leak.*")
+        if not last:
+            found = materialize(found, "leaks")
+            shared.destroy()
+        out = out.unionAll(found)
+    return out
 
 
 def without_leaks(docs: DataFrame, items: DataFrame, rule: Rule = Rule(), text_col: str = "text") -> DataFrame:
     """The rows into which no item leaks, with all their columns."""
-    columns = leak_columns(docs, items, rule, text_col)
-    return docs.where(F.size(F.concat(*columns)) == 0) if columns else docs
+    for block, last in _marked(seed_blocks(items, rule)):
+        shared = docs.sparkSession.sparkContext.broadcast(block)
+        kept = docs.where(F.size(_leaks(shared, rule)(F.col(text_col))) == 0)
+        if not last:
+            docs, before = materialize(kept, "clean"), docs
+            discard(before)
+            shared.destroy()
+        else:
+            docs = kept
+    return docs
+
+
+def _marked(blocks: Iterator) -> Iterator[tuple[list, bool]]:
+    """The blocks, with whether it is the last; one is held at a time, and the next."""
+    now = next(blocks, None)
+    while now is not None:
+        after = next(blocks, None)
+        yield now, after is None
+        now = after

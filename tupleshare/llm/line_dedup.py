@@ -5,7 +5,7 @@ reaches the threshold t share a word among the first n - ceil(t n) + 1 of each (
 first n - ceil(t n) + k. Frequent words are met in pairs or triples of words, so that no common word makes one long
 list. Lists are joined under the length and the positional filter and the parity sketches of the sets (the sketch of a
 symmetric difference is the exclusive or, and has at most as many bits as that has words); what survives is verified on
-the words themselves.
+the words themselves. Equal sets are told by a 64-bit hash of the set, its size and its 128-bit sketch.
 
 Rows between the steps are packed into binary blobs, one for each part of the lists, so the JVM moves few, large rows.
 """
@@ -22,12 +22,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize, over_slices, release
+from .common import discard, materialize, over_slices, release
 
 #: Counters of word frequency: slices of 2^16. Words that share a counter share its count; the order stays total.
 SLICES = 64
 #: Rows of a side that may be broadcast (some 100 bytes each); a larger one is joined by shuffle.
 BROADCAST_ROWS = 300_000
+#: Bytes of text for each part of the lists.
+PART_BYTES = 3_000_000
 #: Lines and bytes of the blocks that arrays are made of; a line's number within its block takes 14 bits.
 BLOCK_LINES, BLOCK_BYTES = 1 << 14, 1_000_000
 POSTING = np.dtype([("sig", "<u8"), ("key", "<u8"), ("doc", "<i8"), ("line", "<i4"), ("n", "<u4"), ("at", "<u4"), ("low", "<u8"), ("high", "<u8")])
@@ -197,15 +199,27 @@ def _adding(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
     total = np.zeros(1 << 16, np.uint64)
     for at, n in zip(rows["at"], rows["n"], strict=True):
         total[np.frombuffer(at, "<u2")] += np.frombuffer(n, "<u2")
-    return pd.DataFrame({"slice": [key[0]], "n": [np.minimum(total, 65535).astype("<u2").tobytes()]})
+    at = np.flatnonzero(total)
+    return pd.DataFrame({"slice": [key[0]], "at": [at.astype("<u2").tobytes()], "n": [np.minimum(total[at], 65535).astype("<u2").tobytes()]})
+
+
+#: Partial counts that one task adds up; more are merged in several steps.
+MERGED = 64
 
 
 def word_counts(docs: DataFrame, rule: LineRule) -> np.ndarray:
-    """How many lines have a word of each counter, over all documents, up to 65535; 8 MB, whatever the input."""
-    parts = docs.select("id", "text").mapInArrow(over_slices(_counting(rule), COUNTED), "slice int, at binary, n binary").groupBy("slice").applyInPandas(_adding, "slice int, n binary").toPandas()
+    """How many lines have a word of each counter, over all documents, up to 65535; 8 MB, whatever the input. Tasks'
+    counts are merged as a tree, so none holds those of all tasks."""
+    picked = docs.select("id", "text")
+    parts = picked.mapInArrow(over_slices(_counting(rule), COUNTED), "slice int, at binary, n binary")
+    left = picked.rdd.getNumPartitions()
+    while left > MERGED:
+        left = -(-left // MERGED)
+        deal = F.pmod(F.xxhash64("at", "n"), F.lit(left)).cast("int")
+        parts = parts.groupBy("slice", deal.alias("deal")).applyInPandas(_adding, "slice int, at binary, n binary")
     out = np.zeros((SLICES, 1 << 16), np.uint16)
-    for k, n in zip(parts["slice"], parts["n"], strict=True):
-        out[k] = np.frombuffer(n, "<u2")
+    for r in parts.groupBy("slice").applyInPandas(_adding, "slice int, at binary, n binary").toLocalIterator():
+        out[r["slice"], np.frombuffer(r["at"], "<u2")] = np.frombuffer(r["n"], "<u2")
     return out.reshape(-1)
 
 
@@ -337,8 +351,11 @@ def _earliest(pairs: np.ndarray, first: int) -> tuple[np.ndarray, np.ndarray]:
 def join_postings(p: np.ndarray, threshold: float, first: int) -> tuple[np.ndarray, pd.DataFrame]:
     """Of a part's postings: those of repeated sets that aren't the first, and candidate links from a line to the
     `first` earliest others that pass the filters; `more` tells that there are others."""
-    p = p[np.lexsort((p["line"], p["doc"], p["key"], p["n"], p["sig"]))]
-    new = np.r_[True, (p["sig"][1:] != p["sig"][:-1]) | (p["key"][1:] != p["key"][:-1]) | (p["n"][1:] != p["n"][:-1])]
+    p = p[np.lexsort((p["line"], p["doc"], p["high"], p["low"], p["key"], p["n"], p["sig"]))]
+    new = np.zeros(len(p), bool)
+    new[:1] = True
+    for name in ("sig", "key", "n", "low", "high"):  # a repeat has the key, the size and the sketch of its origin
+        new[1:] |= p[name][1:] != p[name][:-1]
     origin = p[np.flatnonzero(new)][np.cumsum(new) - 1]
     repeats = p[(p["at"] & HOME > 0) & ((p["doc"] != origin["doc"]) | (p["line"] != origin["line"]))]  # equal sets share all lists; one tells
     p = p[new]
@@ -455,8 +472,8 @@ def later_matches(docs: DataFrame, rule: LineRule = LineRule(), id_col: str = "d
     the similarity. `key` names the set of words. May hold a line several times."""
     spark = docs.sparkSession
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").cast("binary").alias("text")).where("id IS NOT NULL AND text IS NOT NULL")
-    total = rows.select("id").count()
-    parts = min(20_000, max(16, -(-total // 1500)))
+    size = rows.agg(F.sum(F.length("text").cast("double"))).first()[0] or 0
+    parts = max(16, int(-(-size // PART_BYTES)))
     counts = spark.sparkContext.broadcast(word_counts(rows, rule))
     blobs = rows.mapInArrow(over_slices(_posting(counts, rule, parts), POSTED), "part int, blob binary")
     spread = F.when(F.col("part") < 0, (-1 - F.pmod(F.xxhash64("blob"), F.lit(parts))).cast("int")).otherwise(F.col("part"))
@@ -480,6 +497,8 @@ def later_matches(docs: DataFrame, rule: LineRule = LineRule(), id_col: str = "d
     both = pairs.join(words, ["doc", "line", "key"]).join(others, ["other_doc", "other_line", "other_key"])
     judged = both.withColumn("match", _similar(rule.threshold)("words", "other_words")).groupBy("doc", "line", "key").agg(F.max("match").alias("match"), F.max("more").alias("more"))
     judged = materialize(judged, "line-verdicts")
+    repeats = materialize(repeats, "line-repeats")
+    discard(found, links, asked)
     out = repeats.unionAll(judged.where("match").select("doc", "line", "key"))
 
     hard = judged.where("NOT match AND more").join(words, ["doc", "line", "key"])
@@ -514,7 +533,7 @@ def _keep_lines():
 
 
 def dedup_lines(docs: DataFrame, rule: LineRule = LineRule(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The input rows with a struct `deduped`: text without the lines that have an earlier match, and n_removed.
+    """The input rows with a struct `deduped` (an input column of that name is replaced): text without the lines that have an earlier match, and n_removed.
 
     Lines are what stands between line ends; the order is that of (id, line number). A line goes if any earlier line
     with at least `least` distinct words has Jaccard similarity `threshold` or more with it, whether that itself goes or
@@ -528,4 +547,4 @@ def dedup_lines(docs: DataFrame, rule: LineRule = LineRule(), id_col: str = "doc
     text, some = F.col(text_col).cast("string"), F.col("__lines").isNotNull()
     kept = _keep_lines()(F.when(some, text), F.col("__lines"), F.col("__keys"))  # other texts stay in the JVM
     deduped = F.when(some, F.col("__kept")).otherwise(F.struct(text.alias("text"), F.lit(0).alias("n_removed")))
-    return joined.withColumn("__kept", kept).select(*(docs[c] for c in docs.columns), deduped.alias("deduped"))
+    return joined.withColumn("__kept", kept).select(*(docs[c] for c in docs.columns if c.lower() != "deduped"), deduped.alias("deduped"))

@@ -64,11 +64,11 @@ class PivotTables:
         cuts = np.linspace(0, 64, self.segments + 1).round().astype(int)
         return [((1 << int(b)) - 1) ^ ((1 << int(a)) - 1) for a, b in zip(cuts, cuts[1:], strict=False)]
 
-    def cells(self, fp: np.ndarray) -> np.ndarray:
+    def cells(self, fp: np.ndarray, masks: list[int] | None = None) -> np.ndarray:
         """A column for each choice of segments: a hash of the distances in their tables."""
         rng = np.random.default_rng(self.seed)
         parts = []
-        for mask in self.masks():
+        for mask in masks or self.masks():
             mixed = np.zeros(len(fp), dtype=np.uint64)
             for _ in range(self.near):
                 ref, mult = rng.integers(0, 2**64, 2, dtype=np.uint64)
@@ -104,47 +104,58 @@ def _settle(label: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
     return label
 
 
-#: A cell with more fingerprints is searched by flipping bits, in time that is linear in its size.
-PAIRWISE = 3000
+#: Fingerprints that are compared by the whole-word table at once; a larger cell is cut again by tables of the bits in
+#: which its members differ, which are fewer at each level.
+TOGETHER = 3000
+
+
+def _pairs(fp: np.ndarray, pivots: PivotTables) -> tuple[np.ndarray, np.ndarray]:
+    """Places (i, j) of the pairs within the radius: the whole-word table discards, the words decide."""
+    table = pivots.whole(fp)
+    order = np.argsort(table[:, 0], kind="stable")
+    table, fp = table[order], fp[order]
+    ends = np.searchsorted(table[:, 0], table[:, 0] + pivots.radius, side="right")
+    heads, tails = [np.zeros(0, int)], [np.zeros(0, int)]
+    for i in range(len(fp) - 1):
+        j = np.arange(i + 1, ends[i])
+        for c in range(1, pivots.far):
+            if not len(j):
+                break
+            j = j[np.abs(table[j, c] - table[i, c]) <= pivots.radius]
+        j = j[np.bitwise_count(fp[j] ^ fp[i]) <= pivots.radius]
+        heads.append(np.full(len(j), i))
+        tails.append(j)
+    return order[np.concatenate(heads)], order[np.concatenate(tails)]
+
+
+def _local_labels(fp: np.ndarray, pivots: PivotTables) -> np.ndarray:
+    """Of each of the distinct, sorted fingerprints the place of the least one that it reaches within the cell."""
+    label = np.arange(len(fp))
+    if len(fp) <= TOGETHER:
+        return _settle(label, *_pairs(fp, pivots))
+    varying = int(np.bitwise_or.reduce(fp ^ fp[0]))
+    bits = [1 << k for k in range(64) if varying >> k & 1]
+    masks = [sum(map(int, part)) for part in np.array_split(np.array(bits, dtype=object), pivots.segments)]
+    for key in pivots.cells(fp, masks).T:
+        order = np.argsort(key, kind="stable")
+        cuts = np.flatnonzero(key[order][1:] != key[order][:-1]) + 1
+        heads, tails = [], []
+        for members in np.split(order, cuts):
+            if len(members) > 1:
+                members.sort()
+                heads.append(members)
+                tails.append(members[_local_labels(fp[members], pivots)])
+        if heads:
+            label = _settle(label, np.concatenate(heads), np.concatenate(tails))
+    return label
 
 
 def cell_links(fp: np.ndarray, pivots: PivotTables) -> tuple[np.ndarray, np.ndarray]:
     """Links (a, b) that connect what is connected at the radius among the distinct fingerprints of one cell: from each
     to the least one of its local component, never all pairs."""
     fp = np.unique(fp)
-    n, label = len(fp), np.arange(len(fp))
-    if n > PAIRWISE:
-        varying = int(np.bitwise_or.reduce(fp ^ fp[0]))
-        bits = [1 << k for k in range(64) if varying >> k & 1]
-        while True:
-            before = label
-            for r in range(1, pivots.radius + 1):
-                for flip in combinations(bits, r):
-                    other = fp ^ np.uint64(sum(flip))
-                    at = np.searchsorted(fp, other)
-                    at[at == n] = 0
-                    i = np.flatnonzero((fp[at] == other) & (other > fp))
-                    label = _settle(label, i, at[i])
-            if (label == before).all():
-                break
-    else:
-        table = pivots.whole(fp)
-        order = np.argsort(table[:, 0], kind="stable")
-        table, sorted_fp = table[order], fp[order]
-        ends = np.searchsorted(table[:, 0], table[:, 0] + pivots.radius, side="right")
-        heads, tails = [], []
-        for i in range(n - 1):
-            j = np.arange(i + 1, ends[i])
-            for c in range(1, pivots.far):
-                if not len(j):
-                    break
-                j = j[np.abs(table[j, c] - table[i, c]) <= pivots.radius]
-            j = j[np.bitwise_count(sorted_fp[j] ^ sorted_fp[i]) <= pivots.radius]
-            heads.append(np.full(len(j), i))
-            tails.append(j)
-        if heads:
-            label = _settle(label, order[np.concatenate(heads)], order[np.concatenate(tails)])
-    keep = np.flatnonzero(label != np.arange(n))
+    label = _local_labels(fp, pivots)
+    keep = np.flatnonzero(label != np.arange(len(fp)))
     return fp[keep], fp[label[keep]]
 
 

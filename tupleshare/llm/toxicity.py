@@ -5,7 +5,7 @@ from __future__ import annotations
 import math
 import re
 import unicodedata
-from collections import Counter
+from collections import Counter, defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -15,7 +15,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import held_out
+from .common import held_out, materialize
 from .labelled import FIT_ROWS, labelled_sample
 
 #: Letters of other scripts by the Latin letters they look like, and digits and signs by the letters they stand for
@@ -33,8 +33,6 @@ _NO_LETTER = re.compile(r"[\W_]+")
 _HIDDEN = dict.fromkeys([0xAD, 0x200B, 0x200C, 0x200D, 0x2060, 0xFEFF])
 #: Harmless phrases that hold a term (fixed values); more are learnt.
 EXCEPTIONS = ("trash can", "trash bin", "trash bag", "class clown", "clown fish", "stupid easy", "dick van", "pathetic fallacy")
-#: Bounds of the lexicon, which goes to every executor.
-MAX_TERMS, MAX_EXCEPTIONS = 4000, 4000
 STEM = range(4, 8)
 
 
@@ -73,7 +71,7 @@ class Lexicon:
 
 def weigh(folded: str, automaton: ahocorasick.Automaton) -> float:
     """The greatest weight at each word that starts a term and isn't within an exception, summed, over the square root
-    of one plus the hundreds of characters."""
+    of one plus the thousands of characters."""
     if not len(automaton):
         return 0.0
     hits: dict[int, float] = {}
@@ -148,36 +146,42 @@ def fit_lexicon(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", ro
     Fitted on a sample of about `rows` labelled documents that aren't held out, each distinct text once. A stem takes
     the place of the words that begin with it unless these are clearer; a word that begins with a stem and stands mostly
     in other texts becomes an exception. Without labels of both kinds the lexicon is empty and scores are the share of
-    toxic ones.
+    toxic ones. The lexicon has no other bound than what the sample holds.
     """
-    sample = labelled_sample(docs, labels, label_col, rows, **names)
+    sample = materialize(labelled_sample(docs, labels, label_col, rows, **names), "toxicity-sample")
     sizes = {r["t"]: r["count"] for r in sample.groupBy((F.col("label") > 0).alias("t")).count().collect()}
     n_toxic, n_other = sizes.get(True, 0), sizes.get(False, 0)
     if not n_toxic or not n_other:
         return Lexicon({}, (), 0.0, float(np.log((n_toxic + 0.5) / (n_other + 0.5)) if n_toxic + n_other else -math.log(99)))
     counts = sample.mapInPandas(_counting, "term string, toxic long, other long").groupBy("term").agg(F.sum("toxic").alias("toxic"), F.sum("other").alias("other"))
+    counts = materialize(counts.where(F.col("toxic") + F.col("other") >= least), "toxicity-terms")
     odds = F.log((F.col("toxic") + 0.1) / (n_toxic + 0.2)) - F.log((F.col("other") + 0.1) / (n_other + 0.2))
     base = n_toxic / (n_toxic + n_other)
     bar = max(purity, base + 0.5 * (1 - base))
     floor = max(least, int(0.002 * n_toxic))
     strong = counts.where((F.col("toxic") >= floor) & (F.col("toxic") >= bar * (F.col("toxic") + F.col("other"))))
-    top = strong.withColumn("weight", odds).orderBy(F.desc(F.col("weight") * F.sqrt("toxic")), "term").limit(4 * MAX_TERMS).collect()
+    top = strong.withColumn("weight", odds).collect()
     terms: dict[str, tuple[float, int]] = {r["term"]: (r["weight"], r["toxic"]) for r in top}
+    under: dict[str, list[str]] = defaultdict(list)  # by stem the terms that begin with it
+    for t in terms:
+        for k in range(2, len(t) + 1):
+            if t[:k] in terms and not t[:k].endswith(" "):
+                under[t[:k]].append(t)
     chosen: dict[str, float] = {}
     for t in sorted(terms, key=lambda t: (len(t.rstrip()), t)):
         weight, n = terms[t]
-        covers = [c for c in chosen if t.startswith(c) and not c.endswith(" ")]
+        covers = [t[:k] for k in range(2, len(t)) if t[:k] in chosen]  # stems; a word ends in a space, which only whole words hold
         if not any(chosen[c] >= weight - 0.7 for c in covers):
             chosen[t] = weight
     # A stem must speak for more than the one word it was cut from; else the word itself stands.
     for t in [t for t in chosen if not t.endswith(" ")]:
-        whole = [w for w in terms if w.endswith(" ") and w.startswith(t)]
+        whole = [w for w in under[t] if w.endswith(" ")]
         if any(terms[w][1] >= 0.95 * terms[t][1] for w in whole):
             del chosen[t]
             chosen.update({w: terms[w][0] for w in whole})
     # Of stems that speak for much the same texts the longest is the most exact.
     for t in [t for t in chosen if not t.endswith(" ")]:
-        longest = max((s for s in terms if not s.endswith(" ") and s.startswith(t) and terms[s][1] >= 0.95 * terms[t][1]), key=len)
+        longest = max((s for s in under[t] if not s.endswith(" ") and terms[s][1] >= 0.95 * terms[t][1]), key=lambda s: (len(s), s))
         if longest != t:
             del chosen[t]
             chosen[longest] = terms[longest][0]
@@ -185,7 +189,6 @@ def fit_lexicon(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", ro
     needed = sample.where("label > 0").select("text").mapInPandas(_crediting({t: terms[t][1] for t in chosen}), "term string, n long")
     alone = {r["term"] for r in needed.groupBy("term").agg(F.sum("n").alias("n")).where(F.col("n") >= least).collect()}
     chosen = {t: w for t, w in chosen.items() if t in alone or terms[t][1] >= 0.03 * n_toxic}
-    chosen = dict(sorted(chosen.items(), key=lambda kv: (-kv[1], kv[0]))[:MAX_TERMS])
     stems = [t for t in chosen if not t.endswith(" ")]
     clean: list[str] = []
     if stems:
@@ -193,7 +196,7 @@ def fit_lexicon(docs: DataFrame, labels: DataFrame, label_col: str = "toxic", ro
         for at in range(0, len(stems), 200):
             starts = starts | F.col("term").rlike("^(?:" + "|".join(map(re.escape, stems[at : at + 200])) + ")")
         harmless = counts.where(F.col("term").endswith(" ") & (F.col("other") >= least) & (F.col("other") > 3 * F.col("toxic")) & starts)
-        clean = [r["term"] for r in harmless.orderBy(F.desc("other"), "term").limit(MAX_EXCEPTIONS).collect()]
+        clean = [r["term"] for r in harmless.orderBy(F.desc("other"), "term").collect()]
     exceptions = tuple(dict.fromkeys([fold(e) for e in EXCEPTIONS] + clean))
     raw = Lexicon(chosen, exceptions, 1.0, 0.0)
     seen = sample.select((F.col("label") > 0).cast("int").alias("label"), _weights(F.col("text"), raw).alias("x")).toPandas()

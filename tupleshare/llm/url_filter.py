@@ -67,7 +67,7 @@ def judge_urls(pages: DataFrame, rules: list[Rule], id_col: str = "page_id", url
     """One row per input row: id, host, path, rule, verdict.
 
     The rarest literal of each rule over all urls is its key in the index. A url's tokens fetch the rules under them,
-    and only these run their expression. Host rules win over patterns, then the longest rule, then the greater name.
+    and only these run their expression; a rule without literals has the empty token, which every url has. Host rules win over patterns, then the longest rule, then the greater name.
     `rule` is null unless a host rule decides; without any match the verdict is `default`. A null url, or one without
     `://`, has empty host and path; patterns still see it. Repeated rows are judged one by one, columns beside id and
     url are not read, an empty table gives an empty result.
@@ -78,13 +78,15 @@ def judge_urls(pages: DataFrame, rules: list[Rule], id_col: str = "page_id", url
     low = ascii_lower(F.coalesce(F.col("url"), F.lit("")))
     literals = sorted({t for r in rules for t in r.literals})
     known = F.array(*map(F.lit, literals)) if literals else F.array().cast("array<string>")
-    urls = pages.select(F.col(id_col).alias("id"), F.col(url_col).cast("string").alias("url")).withColumn("tokens", F.array_intersect(known, F.split(low, "[^a-z0-9]+")))
+    always = F.array(F.lit("")) if any(not r.literals for r in rules) else F.array().cast("array<string>")
+    tokens = F.array_union(always, F.array_intersect(known, F.split(low, "[^a-z0-9]+")))
+    urls = pages.select(F.col(id_col).alias("id"), F.col(url_col).cast("string").alias("url")).withColumn("tokens", tokens)
 
     counts = urls.select(F.explode("tokens").alias("token")).groupBy("token").agg(F.count("*").alias("n"))
     schema = T.StructType([T.StructField(k, T.StringType()) for k in ("name", "verdict", "form", "regex")] + [T.StructField("literals", T.ArrayType(T.StringType()))])
     listed = spark.createDataFrame([(r.name, r.verdict, r.form, r.regex, list(r.literals)) for r in rules], schema)
     index = (
-        listed.withColumn("token", F.explode("literals"))
+        listed.withColumn("token", F.explode(F.when(F.size("literals") > 0, F.col("literals")).otherwise(F.array(F.lit("")))))
         .join(counts, "token", "left")
         .groupBy("name", "verdict", "form", "regex")
         .agg(F.min(F.struct(F.coalesce("n", F.lit(0)).alias("n"), "token"))["token"].alias("token"))
