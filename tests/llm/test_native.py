@@ -17,11 +17,17 @@ def plain_scan(text):
     flat = sorted(i for x in places.values() for i in x)
     base = sorted(k for k, x in places.items() if x)
     more, best = set(base), 0.0
+    blocks = []
+    for k, x in enumerate(lines):  # windows of neighbouring lines, to the end of the paragraph
+        if x:
+            window = lines[k : k + license_scan.SPAN]
+            blocks.append({w for y in window[: window.index([]) if [] in window else None] for w in y})
     for label, t in license_scan.TEMPLATES:
         t = set(t.split())
-        for x in lines:
-            c = len(t & set(x)) / len(t)
-            if c >= 0.8 - 1e-9:
+        telling = license_scan.TELLING.get(label)
+        for x in blocks:
+            c = len(t & x) / len(t)
+            if c >= 0.8 - 1e-9 and (telling not in t or telling in x):
                 more.add(label)
                 best = max(best, c)
     return len(words), len(flat), flat[0] if flat else None, flat[-1] if flat else None, ",".join(base), ",".join(sorted(more)), 1.0 if flat else best

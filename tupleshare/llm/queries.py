@@ -64,9 +64,14 @@ def sql_text(s: str) -> str:
 
 
 def _op2_sql() -> str:
-    """Brute force: every line with every template."""
+    """Brute force: every window of lines with every template."""
     word = r"'[^\x00-\x2F\x3A-\x60\x7B-\x7F]+'"
-    rows = ", ".join(f"({sql_text(label)}, [{', '.join(sql_text(w) for w in dict.fromkeys(text.split(' ')))}])" for label, text in license_scan.TEMPLATES)
+    rows = ", ".join(
+        f"({sql_text(label)}, [{', '.join(sql_text(w) for w in dict.fromkeys(text.split(' ')))}], {sql_text(t) if (t := license_scan.TELLING.get(label)) in text.split(' ') else 'NULL'})"
+        for label, text in license_scan.TEMPLATES
+    )
+    ahead = [f"lead(w, {k}) OVER (PARTITION BY doc_id ORDER BY i) AS w{k}" for k in range(1, license_scan.SPAN)]
+    window = ["w"] + [f"CASE WHEN {' AND '.join(f'len(w{j}) > 0' for j in range(1, k + 1))} THEN w{k} ELSE [] END" for k in range(1, license_scan.SPAN)]
     places, labels = [], []
     for i, (phrase, label) in enumerate(license_scan.PHRASES):
         parts = phrase.split(" ")
@@ -79,11 +84,12 @@ tok AS (SELECT doc_id, t, regexp_extract_all(t, {word}) AS w FROM low),
 pl AS (SELECT doc_id, w, {', '.join(places)} FROM tok),
 base AS (SELECT doc_id, w, list_concat(list_concat(p0, p1), p2) AS places,
   list_filter([{', '.join(labels)}], lambda x: x IS NOT NULL) AS base FROM pl),
-lines AS (SELECT doc_id, unnest(string_split(t, chr(10))) AS l FROM low),
-sets AS (SELECT doc_id, list_distinct(regexp_extract_all(l, {word})) AS s FROM lines),
-tpl(label, words) AS (VALUES {rows}),
+lines AS (SELECT doc_id, generate_subscripts(string_split(t, chr(10)), 1) AS i, regexp_extract_all(unnest(string_split(t, chr(10))), {word}) AS w FROM low),
+near AS (SELECT doc_id, w, {', '.join(ahead)} FROM lines),
+sets AS (SELECT doc_id, list_distinct(flatten([{', '.join(window)}])) AS s FROM near WHERE len(w) > 0),
+tpl(label, words, telling) AS (VALUES {rows}),
 met AS (SELECT doc_id, label, len(list_intersect(s, words)) / len(words) AS c FROM sets, tpl
-  WHERE len(list_intersect(s, words)) >= ceil(0.8 * len(words) - 1e-9)),
+  WHERE len(list_intersect(s, words)) >= ceil(0.8 * len(words) - 1e-9) AND (telling IS NULL OR list_contains(s, telling))),
 best AS (SELECT doc_id, list(DISTINCT label) AS more, max(c) AS c FROM met GROUP BY doc_id)
 SELECT b.doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(len(places) AS BIGINT) AS n_base,
   CAST(list_min(places) - 1 AS BIGINT) AS first_word, CAST(list_max(places) - 1 AS BIGINT) AS last_word,
