@@ -84,8 +84,8 @@ def test_fixtures(spark, name, answer, want):
 
 
 def test_having_with_a_lower_bar(spark):
-    w = replace(WORKLOADS["w18"], above=100)
-    assert values(exact.by_subset(settings_of(spark, "w18", "answer = '64'"), w, SHAPLEY))["o|64"] == pytest.approx(36.934524, abs=1e-5)
+    w = replace(WORKLOADS["w18_low"], above=100)
+    assert values(exact.by_subset(settings_of(spark, "w18_low", "answer = '64'"), w, SHAPLEY))["o|64"] == pytest.approx(36.934524, abs=1e-5)
 
 
 def test_closed_form_equals_enumeration_and_is_efficient(spark):
@@ -112,7 +112,7 @@ def test_choose(spark):
 @pytest.mark.parametrize("rule", ["count", "equal", "value"])
 @pytest.mark.parametrize("floor", [0, 1])
 def test_allocation_sums_and_floor(spark, rule, floor):
-    strata = st.vectors(st.pools(settings_of(spark, "w18", "answer = '102'"), "clo"), SHAPLEY, 3)
+    strata = st.vectors(st.pools(settings_of(spark, "w18_low", "answer = '102'"), "clo"), SHAPLEY, 3)
     for budget in (7, 100, 1001):
         dealt = st.allocate(strata, st.share_of(rule), budget, floor)
         assert [r[0] for r in dealt.groupBy("answer", "tid").agg(F.sum("m")).select("sum(m)").distinct().collect()] == [budget]
@@ -122,9 +122,9 @@ def test_allocation_sums_and_floor(spark, rule, floor):
 
 @pytest.mark.parametrize("method", est.METHODS)
 def test_unbiased_within_error(spark, method):
-    settings = settings_of(spark, "w18", "answer = '64'").where("rel <> 'c'")
-    truth = exact.by_subset(settings, WORKLOADS["w18"], SHAPLEY)
-    runs = est.estimate(settings, WORKLOADS["w18"], method, 300, "clo", 25)
+    settings = settings_of(spark, "w18_low", "answer = '64'").where("rel <> 'c'")
+    truth = exact.by_subset(settings, WORKLOADS["w18_low"], SHAPLEY)
+    runs = est.estimate(settings, WORKLOADS["w18_low"], method, 300, "clo", 25)
     for r in measures.errors(runs, truth).collect():
         assert abs(r.bias) < 5 * math.sqrt(r.variance / r.runs) + 0.02 * abs(r.exact), (r.tid, r.bias)
 
@@ -137,7 +137,7 @@ def test_line_target_has_no_variance(spark):
 
 
 def test_variants_agree(spark):
-    w, settings = WORKLOADS["w18"], settings_of(spark, "w18", "answer = '64'")
+    w, settings = WORKLOADS["w18_low"], settings_of(spark, "w18_low", "answer = '64'")
     plain = est.Plan(400, "clo")
     get = lambda plan: {r.tid: r.estimate for r in est.stratified(settings, w, plan).collect()}
     base = get(plain)

@@ -18,14 +18,14 @@ SF = "/root/testdata/sf0.01"
 def test_attribute_methods_agree_and_strangers_get_nothing(spark):
     targets = spark.createDataFrame([("102", "o|102"), ("102", "o|nobody")], "answer string, tid string")
     for method in ("exact", "relvec", "size_adaptive"):
-        got = {r.tid: r.estimate for r in attribute(spark, SF, "w18", method, targets, "answer = '102'", 2000).collect()}
+        got = {r.tid: r.estimate for r in attribute(spark, SF, "w18_low", method, targets, "answer = '102'", 2000).collect()}
         assert got["o|nobody"] == 0 and got["o|102"] == pytest.approx(27.015873, rel=0.1)
     with pytest.raises(ValueError):
         attribute(spark, SF, "w21", "closed_form")
 
 
 def test_store_evaluates_each_coalition_once(spark, tmp_path):
-    w, path = WORKLOADS["w18"], str(tmp_path / "values")
+    w, path = WORKLOADS["w18_low"], str(tmp_path / "values")
     everyone = settings(compile_view(rows_of(spark, SF, w).where("answer = '102'")))
     plan = est.Plan(100, "clo")
     pooled = st.pools(everyone, "clo")
@@ -35,7 +35,7 @@ def test_store_evaluates_each_coalition_once(spark, tmp_path):
     draws = est.draw(st.allocate(strata, st.share_of("value"), 100, 1, by=est.RUN), pooled, plan, 0, 3).cache()
     assert cache.extend(draws, w, path) == evaluate.cache_hits(draws).first()["distinct_evaluations"]
     assert cache.extend(draws, w, path) == 0
-    stored = sorted((r.tid, r.mask, r.delta) for r in cache.marginals_from(draws, path).collect())
+    stored = sorted((r.tid, r.mask, r.delta) for r in cache.marginals_from(draws, w, path).collect())
     assert stored == sorted((r.tid, r.mask, r.delta) for r in evaluate.marginals(draws, w, cached=False).collect())
 
 

@@ -17,8 +17,8 @@ def attribute(
     """(answer, tid, estimate, se, ...) of the targets (answer, tid), or of all tuples.
 
     method: closed_form (sums over joins, any number of players), exact, or one of estimate.METHODS. Answers with more
-    players than the method can take get the closed form, which is exact, with nulls in the columns of the sampling; a
-    ValueError tells where there is none. A target that no answer depends on has the value 0. `where` selects answers;
+    players than the method can take get the closed form, or sums with alternatives and blockers their row games, which
+    are exact, with nulls in the columns of the sampling; a ValueError tells where there are none. A target that no answer depends on has the value 0. `where` selects answers;
     `more` goes to the method."""
     w = WORKLOADS[workload] if isinstance(workload, str) else workload
     semivalue = semivalue or Semivalue.shapley()
@@ -35,7 +35,7 @@ def attribute(
         if targets is not None:
             large = large.join(targets.select("answer").distinct(), "answer", "left_semi")
         any_large = not large.isEmpty()
-        if any_large and not closed:
+        if any_large and w.agg != "sum":
             raise ValueError(f"{w.name} has answers of more than {most} tuples, which {method} can't take")
         settings = lineage.settings(lineage.compile_view(rows.join(large, "answer", "left_anti") if any_large else rows), targets)
         if method == "exact":
@@ -44,7 +44,8 @@ def attribute(
             letters = "".join(sorted(r["rel"] for r in lin.select("rel").distinct().collect()))
             out = estimate.estimate(settings, w, method, budget, letters, runs, seed=seed, semivalue=semivalue, **more)
         if any_large:
-            whole = exact.closed_form(rows.join(large, "answer", "left_semi"), semivalue, w.unit).select("answer", "tid", F.col("value").alias("estimate"))
+            rest = rows.join(large, "answer", "left_semi")
+            whole = (exact.closed_form(rest, semivalue, w.unit) if closed else exact.by_rows(rest, w, semivalue)).select("answer", "tid", F.col("value").alias("estimate"))
             whole = whole if targets is None else whole.join(targets, ["answer", "tid"], "left_semi")
             out = out.unionByName(whole, allowMissingColumns=True)
     if targets is None:

@@ -36,10 +36,11 @@ def extend(draws: DataFrame, workload: Workload, path: str) -> int:
     return stored(spark, path).count() - had
 
 
-def marginals_from(draws: DataFrame, path: str) -> DataFrame:
-    """Adds `delta` from stored values; draws whose coalitions the store lacks are dropped."""
+def marginals_from(draws: DataFrame, workload: Workload, path: str) -> DataFrame:
+    """Adds `delta` to draws (answer, view, bit, mask) from stored values; what the store lacks is evaluated."""
     store = stored(draws.sparkSession, path)
     low = store.select("answer", F.col("s").alias("mask"), F.col("v").alias("__v0"))
     high = store.select("answer", F.col("s").alias("__s1"), F.col("v").alias("__v1"))
-    both = draws.withColumn("__s1", F.col("mask").bitwiseOR(F.col("bit"))).join(low, ["answer", "mask"]).join(high, ["answer", "__s1"])
-    return both.withColumn("delta", F.col("__v1") - F.col("__v0")).drop("__s1", "__v0", "__v1")
+    both = draws.withColumn("__s1", F.col("mask").bitwiseOR(F.col("bit"))).join(low, ["answer", "mask"], "left").join(high, ["answer", "__s1"], "left")
+    v1, v0 = (F.coalesce(v, value(F.col("view"), F.col(s), workload)) for v, s in (("__v1", "__s1"), ("__v0", "mask")))
+    return both.withColumn("delta", v1 - v0).drop("__s1", "__v0", "__v1")

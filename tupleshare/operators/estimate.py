@@ -16,6 +16,7 @@ from .evaluate import marginal, marginals
 from .strata import SETTING, allocate, attribute_pools, pools, share_of, vectors
 
 RUN = (*SETTING, "run")
+EXACT = "decimal(38,0)"
 #: Draws of one stratum that one row is exploded into; a large stratum spans several.
 DRAW_BLOCK = 4096
 
@@ -73,9 +74,15 @@ def draw(allocated: DataFrame, pooled: DataFrame, plan: Plan, cycle: int, width:
 
 
 def stratum_stats(draws: DataFrame, workload: Workload, plan: Plan) -> DataFrame:
-    """(setting, run, stratum, k, s1, s2): mergeable sums of the marginals."""
-    valued = marginals(draws, workload, plan.cached)
-    return valued.groupBy(*RUN, "stratum").agg(F.count("*").alias("k"), F.sum("delta").cast("double").alias("s1"), F.sum(F.col("delta").cast("double") * F.col("delta")).alias("s2"))
+    """(setting, run, stratum, k, s1, s2): mergeable sums of the marginals, whole numbers, so that neither the order of
+    rows nor the size of the sums matters."""
+    valued = marginals(draws, workload, plan.cached).withColumn("delta", F.col("delta").cast("decimal(19,0)"))
+    return valued.groupBy(*RUN, "stratum").agg(F.count("*").alias("k"), F.sum("delta").cast(EXACT).alias("s1"), F.sum(F.col("delta") * F.col("delta")).cast(EXACT).alias("s2"))
+
+
+def _spread(k: Column, s1: Column, s2: Column) -> Column:
+    """k times the sum of squares about the mean, exact."""
+    return F.greatest(F.lit(0.0), (k.cast("decimal(10,0)") * s2.cast("decimal(28,0)") - s1.cast("decimal(19,0)") * s1.cast("decimal(19,0)")).cast("double"))
 
 
 def _sigma(strata: DataFrame, stats: DataFrame) -> DataFrame:
@@ -85,17 +92,18 @@ def _sigma(strata: DataFrame, stats: DataFrame) -> DataFrame:
 
     joined = strata.join(stats, [*RUN, "stratum"], "left")
     w = Window.partitionBy(*RUN)
-    k, s1, s2 = (F.coalesce(c, F.lit(0.0)) for c in ("k", "s1", "s2"))
-    pooled = F.sqrt(F.greatest(F.lit(0.0), F.sum(s2).over(w) / F.sum(k).over(w) - F.pow(F.sum(s1).over(w) / F.sum(k).over(w), F.lit(2.0))))
-    own = F.sqrt(F.greatest(F.lit(0.0), (s2 - s1 * s1 / k) / (k - 1)))
+    k, s1, s2 = F.col("k"), F.col("s1"), F.col("s2")
+    all_k = F.sum(k).over(w)
+    pooled = F.sqrt(_spread(all_k, F.sum(s1).over(w), F.sum(s2).over(w)) / (all_k.cast("double") * all_k))
+    own = F.sqrt(_spread(k, s1, s2) / (k.cast("double") * (k - 1)))
     return joined.withColumn("sigma", F.when(F.col("n_coal") <= 1, 0.0).when(k >= 2, own).otherwise(F.coalesce(pooled, F.lit(0.0)))).drop("k", "s1", "s2")
 
 
 def combine(strata: DataFrame, stats: DataFrame, unit: float) -> DataFrame:
     """(setting, run, estimate, se, starved_weight, draws): the weighted means, their standard error, and the weight of live strata without a draw, which contribute 0."""
     joined = strata.join(stats, [*RUN, "stratum"], "left")
-    mean = F.col("s1") / F.col("k")
-    var = F.when(F.col("k") > 1, F.greatest(F.lit(0.0), (F.col("s2") - F.col("s1") * mean) / (F.col("k") - 1))).otherwise(0.0)
+    mean = F.col("s1").cast("double") / F.col("k")
+    var = F.when(F.col("k") > 1, _spread(F.col("k"), F.col("s1"), F.col("s2")) / (F.col("k").cast("double") * (F.col("k") - 1))).otherwise(0.0)
     return joined.groupBy(*RUN).agg(
         (F.sum(F.coalesce(F.col("w_value") * mean, F.lit(0.0))) / F.lit(unit)).alias("estimate"),
         (F.sqrt(F.sum(F.coalesce(F.col("w_value") * F.col("w_value") * var / F.col("k"), F.lit(0.0)))) / F.lit(unit)).alias("se"),
@@ -159,7 +167,7 @@ def stratified(settings: DataFrame, workload: Workload, plan: Plan, runs: int =
         new = stratum_stats((_draw_cells if plan.bins else draw)(allocated, pooled, plan, cycle, width), workload, plan)
         if plan.pooling == "cycle_mean":
             means.append(combine(strata, new, workload.unit))
-        stats = new if stats is None else stats.unionByName(new).groupBy(*RUN, "stratum").agg(*(F.sum(c).alias(c) for c in ("k", "s1", "s2")))
+        stats = new if stats is None else stats.unionByName(new).groupBy(*RUN, "stratum").agg(F.sum("k").alias("k"), *(F.sum(c).cast(EXACT).alias(c) for c in ("s1", "s2")))
         if cycles > 1:
             stats = cut(stats)
         if progress is not None:
@@ -183,8 +191,8 @@ def _with_census(stats: DataFrame, pooled: DataFrame, strata: DataFrame, workloa
     every = coalitions(pooled.select(*SETTING, "bit", "n", "view", "others", "pools"))
     counted = F.transform("pools", lambda g: F.bit_count(F.aggregate(g, _long0(), lambda a, p: a.bitwiseOR(p["bit"])).bitwiseAND(F.col("mask"))))
     valued = every.select(*SETTING, counted.alias("vec"), marginal(F.col("view"), F.col("mask"), F.col("bit"), workload).alias("d"))
-    whole = valued.groupBy(*SETTING, "vec").agg(F.count("*").alias("k"), F.sum("d").cast("double").alias("s1"))
-    exact = small.join(whole, [*SETTING, "vec"]).select(*RUN, "stratum", "k", "s1", (F.col("s1") * F.col("s1") / F.col("k")).alias("s2"))
+    whole = valued.groupBy(*SETTING, "vec").agg(F.count("*").alias("k"), F.sum("d").cast(EXACT).alias("s1"))
+    exact = small.join(whole, [*SETTING, "vec"]).select(*RUN, "stratum", "k", "s1", F.lit(0).cast(EXACT).alias("s2"))  # no spread
     return stats.join(exact.select(*RUN, "stratum"), [*RUN, "stratum"], "left_anti").unionByName(exact)
 
 
@@ -227,16 +235,23 @@ def multilinear(settings: DataFrame, workload: Workload, budget: int, runs: int
 
 
 def multilinear_rows(rows: DataFrame, targets: DataFrame, budget: int, seed: int = 42, unit: float = 1.0) -> DataFrame:
-    """(answer, tid, estimate, se, draws) for sums over joins with any number of players: no masks, the rows themselves
-    are tested. A row matters to the target if it needs it; the others it needs must all have joined.
+    """(answer, tid, estimate, se, draws) for sums with any number of players: no masks, the rows themselves are tested.
+    A row matters to a target that it mentions: all it needs must have joined, an alternative wholly, and no blocker
+    wholly; its marginal is what the target's joining changes.
 
-    Rows that need a target are spread by (answer, target, row); each draw's sum is combined before the shuffle."""
-    mine = rows.select("answer", "x", "need", F.explode("need").alias("tid")).join(F.broadcast(targets), ["answer", "tid"])
+    Rows that mention a target are spread by (answer, target, row); each draw's sum is combined before the shuffle."""
+    mentioned = F.array_distinct(F.flatten(F.concat(F.array("need"), "any_of", "none_of")))
+    mine = rows.select("answer", "x", "need", "any_of", "none_of", F.explode(mentioned).alias("tid")).join(targets, ["answer", "tid"])
     draws = mine.select("*", F.explode(F.sequence(F.lit(0), F.lit(budget - 1))).alias("draw"))
     place = [seed, "rows", F.col("answer"), F.col("tid"), F.col("draw")]
-    chance = uniform(*place)
-    joined = F.forall(F.filter("need", lambda t: t != F.col("tid")), lambda t: uniform(*place, t) < F.col("chance"))
-    by_draw = draws.withColumn("chance", chance).groupBy("answer", "tid", "draw").agg(F.sum(F.when(joined, F.col("x")).otherwise(_long0())).alias("y"))
+
+    def holds(with_target: bool) -> Column:
+        here = lambda t: F.when(t == F.col("tid"), F.lit(with_target)).otherwise(uniform(*place, t) < F.col("chance"))
+        whole = lambda s: F.forall(s, here)
+        return F.forall("need", here) & ((F.size("any_of") == 0) | F.exists("any_of", whole)) & ~F.exists("none_of", whole)
+
+    change = F.col("x") * (holds(True).cast("int") - holds(False).cast("int"))
+    by_draw = draws.withColumn("chance", uniform(*place)).groupBy("answer", "tid", "draw").agg(F.sum(change).alias("y"))
     y = F.col("y") / F.lit(unit)
     return by_draw.groupBy("answer", "tid").agg(F.avg(y).alias("estimate"), (F.stddev_samp(y) / F.sqrt(F.lit(float(budget)))).alias("se"), F.count("*").alias("draws"))
 

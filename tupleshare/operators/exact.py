@@ -10,27 +10,55 @@ from pyspark.sql import functions as F
 from ..functions.semivalue import Semivalue, of_relation, shapley_weight, shl, with_weights
 from ..plans.workloads import Workload
 from .evaluate import marginal, value
-from .lineage import relation
+from .lineage import compile_view, relation, settings
 
 #: Others of a target whose coalitions are enumerated, 2^26 at most.
 MAX_OTHERS = 26
 
 
+#: Tuples that one row of a closed form may need.
+MAX_NEED = 64
+
+
 def closed_form(rows: DataFrame, semivalue: Semivalue, unit: float = 1.0) -> DataFrame:
     """(answer, rel, tid, value) for every tuple of sums over joins, however large the answer: each row is shared by the
-    tuples it needs, as a unanimity game. Linear in the rows; one shuffle after a partial sum by (answer, tuple, size)."""
-    shares = F.array(F.lit(0.0), *(F.lit(float(semivalue.chance(m))) for m in range(12)))
+    tuples it needs, as a unanimity game. Linear in the rows; one shuffle after a partial sum by (answer, tuple, size).
+
+    Sums are kept in two whole numbers, high and low bits, so that they stay exact and can't overflow. Rows that need more
+    than 64 tuples raise an error."""
+    shares = F.array(F.lit(0.0), *(F.lit(float(semivalue.chance(m))) for m in range(MAX_NEED)))
+    share = F.when(F.col("m") <= MAX_NEED, F.get(shares, F.col("m"))).otherwise(F.raise_error(F.lit(f"a row needs more than {MAX_NEED} tuples")).cast("double"))
     each = rows.select("answer", "x", F.size("need").alias("m"), F.explode("need").alias("tid"))
-    by_size = each.groupBy("answer", "tid", "m").agg(F.sum("x").alias("x"))
-    return by_size.groupBy("answer", "tid").agg((F.sum(F.col("x") * F.get(shares, F.col("m"))) / F.lit(unit)).alias("value")).select("answer", relation(F.col("tid")).alias("rel"), "tid", "value")
+    by_size = each.groupBy("answer", "tid", "m").agg(F.sum(F.shiftright("x", 24)).alias("high"), F.sum(F.col("x").bitwiseAND(F.lit((1 << 24) - 1))).alias("low"))
+    x = F.col("high") * F.lit(float(1 << 24)) + F.col("low")
+    return by_size.groupBy("answer", "tid").agg((F.sum(x * share) / F.lit(unit)).alias("value")).select("answer", relation(F.col("tid")).alias("rel"), "tid", "value")
+
+
+def by_rows(rows: DataFrame, workload: Workload, semivalue: Semivalue) -> DataFrame:
+    """(answer, rel, tid, value) for every tuple of sums whose rows have alternatives or blockers, however large the answer.
+
+    A sum is a sum of games, one for each row, and tuples that a row doesn't mention have no part in its game; so each is
+    enumerated by itself, over the few tuples of its row, and the values add up. Rows that mention the same are one game;
+    one that mentions over 27 tuples raises an error."""
+    if workload.agg != "sum":
+        raise ValueError("only sums fall apart into rows")
+    alike = rows.groupBy("answer", "need", "any_of", "none_of").agg(F.sum("x").alias("x"))
+    size = F.size(F.array_distinct(F.flatten(F.concat(F.array("need"), "any_of", "none_of"))))
+    named = F.concat_ws("#", "answer", F.xxhash64("need", "any_of", "none_of").cast("string"))
+    named = F.when(size <= MAX_OTHERS + 1, named).otherwise(F.raise_error(F.concat(F.lit(f"a row of more than {MAX_OTHERS + 1} tuples in answer "), F.col("answer"))).cast("string"))
+    games = alike.withColumns({"whole": F.col("answer"), "answer": named})
+    names = games.select("answer", "whole")
+    each = by_subset(settings(compile_view(games, MAX_OTHERS + 1)), workload, semivalue)
+    return each.join(names, "answer").groupBy(F.col("whole").alias("answer"), "rel", "tid").agg(F.sum("value").alias("value"))
 
 
 def coalitions(settings: DataFrame) -> DataFrame:
     """Every coalition of the others, as `mask`, for each setting. Blocks of 1024 are dealt to the tasks before they are
-    spelled out, so that a setting with many coalitions is shared by all."""
+    spelled out, so that a setting with many coalitions is shared by all. Settings of more than 26 others raise an error."""
     others = F.col("n") - 1
-    small = settings.where(others <= MAX_OTHERS)
-    high = small.select("*", F.explode(F.sequence(F.lit(0).cast("long"), shl(F.lit(1).cast("long"), F.greatest(others - 10, F.lit(0))) - 1)).alias("hi")).repartition("answer", "tid", "hi")
+    blocks = F.sequence(F.lit(0).cast("long"), shl(F.lit(1).cast("long"), F.greatest(others - 10, F.lit(0))) - 1)
+    refuse = F.raise_error(F.concat(F.lit(f"more than {MAX_OTHERS} others to enumerate in answer "), F.col("answer"))).cast("array<bigint>")
+    high = settings.select("*", F.explode(F.when(others <= MAX_OTHERS, blocks).otherwise(refuse)).alias("hi")).repartition("answer", "tid", "hi")
     low = high.select("*", F.explode(F.sequence(F.lit(0).cast("long"), shl(F.lit(1).cast("long"), F.least(others, F.lit(10))) - 1)).alias("lo"))
     dense = shl(F.col("hi"), 10) + F.col("lo")
     below = F.col("bit") - 1  # bits of players before the target stay, those behind move up by one
@@ -56,13 +84,13 @@ def stratum_table(settings: DataFrame, workload: Workload, semivalue: Semivalue,
 
 
 def by_permutation(settings: DataFrame, workload: Workload) -> DataFrame:
-    """Shapley values by all orders of at most 8 players; for tests and examples."""
-    orders = {n: F.array(*(F.array(*map(F.lit, p)) for p in permutations(range(n)))) for n in range(1, 7)}
-    order = F.explode(F.expr("NULL") if not orders else F.coalesce(*(F.when(F.col("n") == n, o) for n, o in orders.items())))
-    each = settings.where("n <= 6").withColumn("everyone", F.sort_array(F.concat(F.transform("others", lambda p: p["bit"]), F.array("bit")))).select("*", order.alias("order"))
+    """Shapley values by all orders of at most 8 players; for tests and examples. Larger settings raise an error."""
+    orders = settings.sparkSession.createDataFrame([(n, list(p)) for n in range(1, 9) for p in permutations(range(n))], "n int, order array<int>")
+    each = settings.join(F.broadcast(orders), "n", "left").withColumn("everyone", F.sort_array(F.concat(F.transform("others", lambda p: p["bit"]), F.array("bit"))))
     turn = F.transform("order", lambda i: F.get(F.col("everyone"), i))
     before = F.slice(turn, F.lit(1), F.array_position(turn, F.col("bit")).cast("int") - 1)
-    mask = F.aggregate(before, F.lit(0).cast("long"), lambda a, b: a.bitwiseOR(b))
+    known = F.aggregate(before, F.lit(0).cast("long"), lambda a, b: a.bitwiseOR(b))
+    mask = F.when(F.col("order").isNotNull(), known).otherwise(F.raise_error(F.lit("more than 8 players to order")).cast("long"))
     return each.withColumn("mask", mask).groupBy("answer", "rel", "tid").agg((F.avg(marginal(F.col("view"), F.col("mask"), F.col("bit"), workload)) / F.lit(workload.unit)).alias("value"))
 
 

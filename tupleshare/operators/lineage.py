@@ -8,6 +8,7 @@ from pyspark.sql import types as T
 
 from ..functions.semivalue import MAX_PLAYERS, of_relation, shl
 from ..plans.workloads import Workload
+from ..sources.scratch import write_and_read
 from ..sources.tables import run_sql
 
 SETS = T.ArrayType(T.ArrayType(T.StringType()))
@@ -51,9 +52,11 @@ def provenance_stats(lin: DataFrame) -> DataFrame:
     return per.agg(F.count("*").alias("answers"), F.min("n").alias("least"), F.max("n").alias("most"), F.sum("n").alias("total")).crossJoin(F.broadcast(rels))
 
 
-def _bits(lin: DataFrame) -> DataFrame:
-    """By answer its players in order of id, with a bit each, and a map from id to bit."""
-    listed = lin.groupBy("answer").agg(F.array_sort(F.collect_list("tid")).alias("tids")).where(F.size("tids") <= MAX_PLAYERS)
+def _bits(lin: DataFrame, most: int) -> DataFrame:
+    """By answer its players in order of id, with a bit each, and a map from id to bit. Answers are counted before any
+    of their tuples are listed."""
+    small = lin.groupBy("answer").agg(F.count("*").alias("n")).where(F.col("n") <= most).select("answer")
+    listed = lin.join(small, "answer", "left_semi").groupBy("answer").agg(F.array_sort(F.collect_list("tid")).alias("tids"))
     player = lambda t, i: F.struct(relation(t).alias("rel"), t.alias("tid"), shl(F.lit(1).cast("long"), i).alias("bit"))
     players = listed.select("answer", F.transform("tids", player).alias("players"))
     return players.withColumn("bits", F.map_from_entries(F.transform("players", lambda p: F.struct(p["tid"], p["bit"]))))
@@ -63,13 +66,14 @@ def mask(tids: Column, bits: Column) -> Column:
     return F.aggregate(tids, F.lit(0).cast("long"), lambda acc, t: acc.bitwiseOR(F.element_at(bits, t)))
 
 
-def compile_view(rows: DataFrame) -> DataFrame:
-    """One row for each answer of at most 62 players: players and view, an array of what each row needs, as masks.
+def compile_view(rows: DataFrame, most: int = MAX_PLAYERS) -> DataFrame:
+    """One row for each answer of at most `most` (62) players: players and view, an array of what each row needs, as masks.
 
-    Larger answers are left to the closed form and to sampling by hash thresholds, which need no masks. The rows are
+    Larger answers are left to the closed form, to row games and to sampling by hash thresholds, which need no such masks.
+    The rows are
     grouped by answer once, so every later step works within a row, without a shuffle."""
     lin = lineage(rows)
-    joined = rows.join(_bits(lin), "answer")
+    joined = rows.join(_bits(lin, min(most, MAX_PLAYERS)), "answer")
     entry = F.struct(
         mask(F.col("need"), F.col("bits")).alias("need"),
         F.transform("any_of", lambda s: mask(s, F.col("bits"))).alias("any_of"),
@@ -83,10 +87,22 @@ def settings(view: DataFrame, targets: DataFrame | None = None) -> DataFrame:
     """One row for each target tuple: all players, or those listed in targets (answer, tid). Adds bit, n, rel, others."""
     each = view.select("answer", "view", "players", F.explode("players").alias("t")).select("answer", F.col("t.tid").alias("tid"), F.col("t.rel").alias("rel"), F.col("t.bit").alias("bit"), "players", "view")
     if targets is not None:
-        each = each.join(F.broadcast(targets), ["answer", "tid"])
+        each = each.join(targets, ["answer", "tid"])
     return each.select("answer", "tid", "rel", "bit", F.size("players").alias("n"), F.filter("players", lambda p: p["bit"] != F.col("bit")).alias("others"), "view")
 
 
+_COMPILED: dict[tuple, DataFrame] = {}
+
+
+def compiled(spark: SparkSession, sf_dir: str, workload: Workload, most: int = MAX_PLAYERS) -> DataFrame:
+    """The compiled view of a workload, written to the shared folder when it is first asked for and read by all methods,
+    cycles and queries of the session; the tables are taken not to change meanwhile."""
+    key = (spark.sparkContext.applicationId, sf_dir, workload.rows, most)
+    if key not in _COMPILED:
+        _COMPILED[key] = write_and_read(compile_view(rows_of(spark, sf_dir, workload), most))
+    return _COMPILED[key]
+
+
 def relation_vectors(view: DataFrame, letters: str) -> DataFrame:
     """(answer, vector): players by relation, relations in order."""
     return view.select("answer", F.array(*(F.size(F.filter("players", of_relation(r))) for r in letters)).alias("vector"))

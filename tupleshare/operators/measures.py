@@ -5,10 +5,14 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions.semivalue import Semivalue
 from ..plans.workloads import Workload
+from ..sources.scratch import file_sizes, write_and_read
+from . import estimate
+from .evaluate import marginals
 from .exact import totals
 from .strata import SETTING, allocate, share_of
 
@@ -95,8 +99,40 @@ def timed(action: Callable[[], object]) -> tuple[object, float]:
     return out, time.perf_counter() - t
 
 
-def view_bytes(view: DataFrame) -> DataFrame:
-    """Size of the compiled view: rows, players, and bytes of its JSON form."""
-    return view.agg(F.count("*").alias("answers"), F.sum(F.size("view")).alias("rows"), F.sum(F.size("players")).alias("players"), F.sum(F.length(F.to_json(F.struct("players", "view")))).alias("bytes"))
-
-
+def _run(df: DataFrame) -> None:
+    df.write.format("noop").mode("overwrite").save()
+
+
+def view_size(view: DataFrame) -> DataFrame:
+    """Of a compiled view: answers, rows, players."""
+    return view.agg(F.count("*").alias("answers"), F.coalesce(F.sum(F.size("view")), F.lit(0)).cast("long").alias("rows"), F.coalesce(F.sum(F.size("players")), F.lit(0)).cast("long").alias("players"))
+
+
+def compile_report(spark: SparkSession, items: dict[str, tuple[Callable[[], DataFrame], Callable[[], DataFrame], Workload]]) -> DataFrame:
+    """(workload, original_s, build_s, compiled_s, bytes): seconds of the query on the tables, of writing its joined and
+    filtered rows with tuple ids, and of the query on these, with the bytes written. By name: the query, the rows."""
+    out = []
+    for name, (query, rows, _) in items.items():
+        original = timed(lambda q=query: _run(q()))[1]
+        view, build = timed(lambda r=rows: write_and_read(r()))
+        compiled = timed(lambda v=view: _run(v.groupBy("answer").agg(F.sum("x"))))[1]
+        size = sum(file_sizes(spark, view))
+        out.append((name, round(original, 3), round(build, 3), round(compiled, 3), size))
+    return spark.createDataFrame(out, "workload string, original_s double, build_s double, compiled_s double, bytes long")
+
+
+def grid(settings: DataFrame, workload: Workload, exact: DataFrame, letters: str, methods: tuple[str, ...], budgets: tuple[int, ...], runs: int, profile: str) -> DataFrame:
+    """By method, budget and setting the errors over the runs, with the seconds of the whole estimate, of the evaluation of
+    as many drawn coalitions alone, and of the enumeration that gives the exact values."""
+    truth, exact_s = timed(lambda: write_and_read(exact))
+    out = None
+    for b in budgets:
+        pooled, strata, width = estimate.prepare(settings, estimate.Plan(b, letters), Semivalue.shapley())
+        dealt = allocate(estimate.with_runs(strata, runs), share_of("value"), b, 1, by=estimate.RUN)
+        draws = write_and_read(estimate.draw(dealt, pooled, estimate.Plan(b, letters), 0, width).select(*SETTING, "view", "bit", "mask"))
+        evaluate_s = timed(lambda d=draws: _run(marginals(d, workload, False).agg(F.sum("delta"))))[1]
+        for m in methods:
+            est, end_to_end_s = timed(lambda m=m, b=b: write_and_read(estimate.estimate(settings, workload, m, b, letters, runs, profile)))
+            df = errors(est, truth).withColumns({"end_to_end_s": F.lit(round(end_to_end_s, 3)), "evaluate_s": F.lit(round(evaluate_s, 3)), "exact_s": F.lit(round(exact_s, 3))})
+            out = df if out is None else out.unionByName(df)
+    return out

@@ -57,10 +57,20 @@ def w10(name: str, start: str, end: str, only: str = "") -> Workload:
     return spj(name, "CAST(c_custkey AS STRING)", REV, [CUST, LINE, NAT, ORD], f"{W10_JOIN} AND o_orderdate >= {day(start)} AND o_orderdate < {day(end)}{only}")
 
 
+def w18(name: str, above: int) -> Workload:
+    """Orders whose quantity exceeds a bound; a coalition's own quantity is held against the bound too."""
+    large = f"SELECT l_orderkey FROM {{lineitem}} GROUP BY l_orderkey HAVING sum(l_quantity) > {above}"
+    return spj(name, "CAST(o_orderkey AS STRING)", "CAST(l_quantity AS BIGINT)", [CUST, LINE, ORD], f"{COL} WHERE o_orderkey IN ({large})", 1.0, "having", above)
+
+
+W8_NEED = [CUST, LINE, tid("n", "a.n_nationkey"), tid("n", "b.n_nationkey"), ORD, PART, REG, SUPP]
+W8_TAIL = f"{COL} JOIN {{part}} ON p_partkey = l_partkey JOIN {{supplier}} ON s_suppkey = l_suppkey JOIN {{nation}} a ON a.n_nationkey = c_nationkey JOIN {{region}} ON r_regionkey = a.n_regionkey JOIN {{nation}} b ON b.n_nationkey = s_nationkey WHERE r_name = 'AMERICA' AND p_type = 'ECONOMY' AND o_orderdate >= {day('1996-01-01')} AND o_orderdate < {day('1998-01-01')}"
+W11_VALUES = f"SELECT ps_partkey AS k, sum(ps_cost * ps_avail) AS value FROM {PARTSUPP} q JOIN {{supplier}} ON s_suppkey = ps_suppkey JOIN {{nation}} ON n_nationkey = s_nationkey WHERE n_name = 'NATION_7' GROUP BY ps_partkey"
+
 SPJ = [
     spj("w1", "l_returnflag || '/' || l_linestatus", REV, [LINE], f"{{lineitem}} WHERE l_shipdate <= {day('2001-06-01')}"),
     spj("w3", "CAST(o_orderkey AS STRING)", REV, [CUST, LINE, ORD], W3_TAIL),
-    spj("w3_late", "CAST(o_orderkey AS STRING)", REV, [CUST, LINE, ORD], f"{COL} WHERE c_mktsegment = 'BUILDING' AND l_shipdate > o_orderdate AND o_orderkey = 1181"),
+    spj("w3_late", "CAST(o_orderkey AS STRING)", REV, [CUST, LINE, ORD], f"{COL} WHERE c_mktsegment = 'BUILDING' AND l_shipdate > o_orderdate"),
     spj(
         "w5", "n_name", REV, [CUST, LINE, NAT, ORD, REG, SUPP],
         f"{COL} JOIN {{supplier}} ON s_suppkey = l_suppkey AND s_nationkey = c_nationkey JOIN {{nation}} ON n_nationkey = s_nationkey JOIN {{region}} ON r_regionkey = n_regionkey WHERE r_name = 'ASIA' AND o_orderdate >= {day('1996-01-01')} AND o_orderdate < {day('1997-01-01')}",
@@ -91,7 +101,27 @@ SPJ = [
     ),
     spj("we", "CAST(CAST(ts AS DATE) AS STRING)", "CAST(round(value * 100) AS BIGINT)", [tid("e", "event_id"), tid("u", "user_id")], "{events} WHERE event_type = 'purchase'", 1e2),
     spj("wd", "source", "CAST(quality AS BIGINT)", [tid("d", "documents.doc_id"), tid("k", "labels.doc_id")], "{documents} documents JOIN {labels} labels ON documents.doc_id = labels.doc_id", 1.0),
-    spj("w18", "CAST(o_orderkey AS STRING)", "CAST(l_quantity AS BIGINT)", [CUST, LINE, ORD], f"{COL} WHERE o_orderkey IN (64, 102)", 1.0, "having", 150),
+    w18("w18", 300),
+    w18("w18_low", 150),
+    spj("w8_part", "CAST(year(o_orderdate) AS STRING)", REV, W8_NEED, f"{W8_TAIL} AND b.n_name = 'NATION_7'"),
+    spj("w8_whole", "CAST(year(o_orderdate) AS STRING)", REV, W8_NEED, W8_TAIL),
+    spj(
+        "w11", "CAST(ps_partkey AS STRING)", "CAST(ps_cost * ps_avail AS BIGINT)", [NAT, PS, SUPP],
+        f"{PARTSUPP} q JOIN {{supplier}} ON s_suppkey = ps_suppkey JOIN {{nation}} ON n_nationkey = s_nationkey JOIN ({W11_VALUES}) v ON v.k = ps_partkey WHERE n_name = 'NATION_7' AND v.value * 1000 > (SELECT sum(value) FROM ({W11_VALUES}))", 1e2,
+    ),
+    spj(
+        "w12_low", "l_linestatus", "CAST(CASE WHEN o_orderpriority IN ('1-URGENT', '2-HIGH') THEN 0 ELSE 1 END AS BIGINT)", [LINE, ORD],
+        f"{{orders}} JOIN {{lineitem}} ON l_orderkey = o_orderkey WHERE {LATE} AND l_shipdate >= {day('1997-01-01')} AND l_shipdate < {day('1998-01-01')}", 1.0,
+    ),
+    spj("w14_whole", "'all'", REV, [LINE, PART], f"{{lineitem}} JOIN {{part}} ON p_partkey = l_partkey WHERE l_shipdate >= {day('1997-09-01')} AND l_shipdate < {day('1997-10-01')}"),
+    spj(
+        "w17", "'all'", "CAST(round(l_extendedprice * 100) AS BIGINT)", [LINE, PART],
+        "{lineitem} JOIN {part} ON p_partkey = l_partkey JOIN (SELECT l_partkey AS k, avg(l_quantity) AS q FROM {lineitem} GROUP BY l_partkey) a ON k = l_partkey WHERE p_brand = 'Brand#3' AND l_quantity < 0.2 * q", 700.0,
+    ),
+    spj(
+        "w22", "CAST(c_nationkey AS STRING)", "CAST(1 AS BIGINT)", [CUST],
+        f"{{customer}} WHERE c_acctbal > (SELECT avg(c_acctbal) FROM {{customer}} WHERE c_acctbal > 0) AND NOT EXISTS (SELECT 1 FROM {{orders}} WHERE o_custkey = c_custkey AND o_orderdate >= {day('2001-06-01')})", 1.0,
+    ),
 ]
 
 W2_BASE = f"{{part}} JOIN {PARTSUPP} q ON ps_partkey = p_partkey JOIN {{supplier}} ON s_suppkey = ps_suppkey JOIN {{nation}} ON n_nationkey = s_nationkey JOIN {{region}} ON r_regionkey = n_regionkey WHERE p_size = 15 AND r_name = 'EUROPE'"
@@ -125,4 +155,28 @@ GROUP BY o_orderpriority, o_orderkey""",
     "sum", 0, 1.0, False,
 )
 
-WORKLOADS = {w.name: w for w in [*SPJ, W2, W2_SECOND, W4, W21]}
+#: Customers by how many open or finished orders they have; each counts if all of these are there.
+W13 = Workload(
+    "w13",
+    f"""SELECT CAST(count(o_orderkey) AS STRING) AS answer, CAST(1 AS BIGINT) AS x, flatten(array(array({CUST}), collect_list({ORD}))) AS need
+FROM {{customer}} LEFT JOIN {{orders}} ON o_custkey = c_custkey AND o_orderstatus <> 'P' GROUP BY c_custkey""",
+    "sum", 0, 1.0, False,
+)
+#: Distinct suppliers of a kind of part; any part of the kind that a supplier offers will do.
+W16 = Workload(
+    "w16",
+    f"""SELECT p_brand || '/' || p_type || '/' || CAST(p_size AS STRING) AS answer, CAST(1 AS BIGINT) AS x, array({SUPP}) AS need, collect_list(array({PART}, {PS})) AS any_of
+FROM {{part}} JOIN {PARTSUPP} q ON ps_partkey = p_partkey JOIN {{supplier}} ON s_suppkey = ps_suppkey
+WHERE p_brand <> 'Brand#5' AND p_type <> 'MEDIUM' AND p_size IN (3, 9, 14, 19, 23, 36, 45, 49) AND s_acctbal >= 0 GROUP BY p_brand, p_type, p_size, s_suppkey""",
+    "sum", 0, 1.0, False,
+)
+#: Suppliers with more of some small part than half of what was shipped of it; any such part will do.
+W20 = Workload(
+    "w20",
+    f"""SELECT CAST(s_suppkey AS STRING) AS answer, CAST(1 AS BIGINT) AS x, array({NAT}, {SUPP}) AS need, collect_list(array({PART}, {PS})) AS any_of
+FROM {PARTSUPP} q JOIN {{part}} ON p_partkey = ps_partkey JOIN (SELECT l_partkey AS pk, l_suppkey AS sk, sum(l_quantity) AS shipped FROM {{lineitem}} WHERE l_shipdate >= {day('1996-01-01')} AND l_shipdate < {day('1997-01-01')} GROUP BY l_partkey, l_suppkey) sh ON pk = ps_partkey AND sk = ps_suppkey
+JOIN {{supplier}} ON s_suppkey = ps_suppkey JOIN {{nation}} ON n_nationkey = s_nationkey WHERE n_name = 'NATION_7' AND p_name LIKE 'small%' AND ps_avail > 0.5 * shipped GROUP BY s_suppkey, n_nationkey""",
+    "sum", 0, 1.0, False,
+)
+
+WORKLOADS = {w.name: w for w in [*SPJ, W2, W2_SECOND, W4, W13, W16, W20, W21]}

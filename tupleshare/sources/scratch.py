@@ -35,3 +35,9 @@ def write_and_read(df: DataFrame) -> DataFrame:
     df.write.parquet(path)
     atexit.register(_delete, spark, path)
     return spark.read.schema(schema).parquet(path)
+
+
+def file_sizes(spark: SparkSession, df: DataFrame) -> list[int]:
+    """Bytes of each file that a written table is read from."""
+    conf, path = spark.sparkContext._jsc.hadoopConfiguration(), spark.sparkContext._jvm.org.apache.hadoop.fs.Path
+    return [path(f).getFileSystem(conf).getFileStatus(path(f)).getLen() for f in df.inputFiles()]
