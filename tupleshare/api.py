@@ -10,6 +10,10 @@ from .operators import estimate, exact, lineage
 from .plans.workloads import WORKLOADS, Workload
 
 
+#: Tuples of the largest answers of sums that are enumerated whole; the closed form and row games are as exact and linear.
+ENUMERATED = 12
+
+
 def attribute(
     spark: SparkSession, sf_dir: str, workload: Workload | str, method: str = "relvec_adaptive", targets: DataFrame | None = None, where: str = "TRUE",
     budget: int = 1000, runs: int = 1, semivalue: Semivalue | None = None, seed: int = 42, **more,
@@ -30,7 +34,7 @@ def attribute(
         out = exact.closed_form(rows, semivalue, w.unit).select("answer", "tid", F.col("value").alias("estimate"))
     else:
         lin = lineage.lineage(rows)
-        most = exact.MAX_OTHERS + 1 if method == "exact" else MAX_PLAYERS
+        most = (ENUMERATED if w.agg == "sum" else exact.MAX_OTHERS + 1) if method == "exact" else MAX_PLAYERS
         large = lin.groupBy("answer").count().where(F.col("count") > most).select("answer")
         if targets is not None:
             large = large.join(targets.select("answer").distinct(), "answer", "left_semi")

@@ -57,7 +57,15 @@ class Semivalue:
         return self.weight(m + 1, m)
 
     def table(self, largest: int = MAX_PLAYERS) -> list[list[float]]:
-        return [[0.0]] + [[float(self.weight(n, k)) for k in range(n)] for n in range(1, largest + 1)]
+        """By number of players the weights by size; none for numbers that a custom weighting isn't for, whose values are null."""
+
+        def weights(n: int) -> list[float]:
+            try:
+                return [float(self.weight(n, k)) for k in range(n)]
+            except ValueError:
+                return []
+
+        return [[0.0]] + [weights(n) for n in range(1, largest + 1)]
 
 
 def with_weights(settings: DataFrame, semivalue: Semivalue) -> DataFrame:

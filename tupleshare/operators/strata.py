@@ -27,7 +27,7 @@ def vectors(pooled: DataFrame, semivalue: Semivalue, width: int, bins: int | Non
     w_value is the stratum's share of the value, w_count that of all coalitions. A stratum is dead if no row of the view
     with the target (in what it needs, its witnesses or its blockers) can find what it needs; it keeps its weight, and
     its mean is 0. With `bins` counts are cut into quantile bins of each pool, a cell being a product of bins."""
-    df = with_weights(pooled, semivalue).select(*SETTING, "n", "c", "pools", "bit", "view", "omega")
+    df = with_weights(pooled, semivalue).select(*SETTING, "n", "c", "omega", *(("pools", "bit", "view") if prune else ()))
     for k in range(width):
         df = df.withColumn(f"s{k}", F.explode(F.sequence(F.lit(0), F.get("c", k))))
     vec = F.array(*(F.col(f"s{k}") for k in range(width)))

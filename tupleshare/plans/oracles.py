@@ -251,10 +251,16 @@ def errors(w: Workload, estimates: dict[str, str], budget: int, most: int) -> st
     each = " UNION ALL ".join(f"SELECT '{name}' AS method, answer, tid, run, estimate, starved_weight, draws FROM ({sql})" for name, sql in estimates.items())
     return f"""WITH est AS MATERIALIZED ({each}), ex AS MATERIALIZED ({by_subset(w, digits=15, most=most)})
 SELECT method, {budget} AS budget, est.answer, est.tid, count(*) AS runs, round(any_value(value), 6) AS exact, round(avg(estimate), 6) AS mean_estimate,
-round(avg(CASE WHEN value <> 0 THEN abs(estimate - value) / abs(value) END), 6) AS mre, round(avg(abs(estimate - value)), 6) AS mean_abs_error, round(avg(estimate - value), 6) AS bias,
+round(avg(CASE WHEN value <> 0 THEN abs(estimate - value) / abs(value) END), 6) AS mre, round(avg(abs(estimate - value)), 6) AS mean_abs_error, round(avg(estimate - value), 6) + 0.0 AS bias,
 round(var_samp(estimate), 6) AS variance, round(sqrt(avg((estimate - value) * (estimate - value))), 6) AS rmse, round(avg(starved_weight), 6) AS starved_weight, avg(draws) AS draws
 FROM est JOIN ex ON ex.answer = est.answer AND ex.tid = est.tid GROUP BY method, est.answer, est.tid"""
 
 
 def view_size(w: Workload, most: int) -> str:
     return f"WITH {players(w, 'TRUE', most)} SELECT (SELECT count(DISTINCT answer) FROM r) AS answers, (SELECT count(*) FROM r) AS rows, (SELECT count(*) FROM pl) AS players"
+
+
+def first_sizes(w: Workload, digits: int = 6) -> str:
+    """All weight on the coalitions of none or one of four others, half each."""
+    inner = by_subset(w, most=5).replace(OMEGA["shapley"], "CASE bit_count(v0.s) WHEN 0 THEN 0.5 WHEN 1 THEN 0.125 ELSE 0.0 END")
+    return f"WITH a AS ({inner}) SELECT a.* FROM a WHERE (SELECT count(*) FROM a b WHERE b.answer = a.answer) = 5"

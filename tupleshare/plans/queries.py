@@ -24,8 +24,10 @@ CLOSED = [w for w in SPJ if w.agg == "sum"]
 #: Tuples of the largest answers that queries enumerate. Larger ones are left to the closed form, row games and sampling.
 ENUMERATED = 12
 LETTERS = {"w2": "npqrs", "w2_second": "npqrs", "w3_late": "clo", "w3": "clo", "w10": "clno", "w10_wide": "clno", "w18": "clo", "w18_low": "clo", "w21": "lnos"}
+#: Tuples of the largest answers that the queries of the stratified methods sample; w18 has no larger one.
+SAMPLED = {"w18": MAX_PLAYERS}
 #: Draws for each tuple of each answer, and those of the queries that repeat runs or grow budgets.
-BUDGET, RUNS, BUDGETS = 200, 5, (100, 1000, 10_000)
+BUDGET, RUNS, BUDGETS = 100, 5, (1000, 10_000, 100_000)
 
 
 def rows(spark: SparkSession, sf: str, name: str, where: str = "TRUE") -> DataFrame:
@@ -41,8 +43,12 @@ def small_settings(spark: SparkSession, sf: str, name: str) -> DataFrame:
     return settings_of(spark, sf, name, ENUMERATED)
 
 
+def sampled_settings(spark: SparkSession, sf: str, name: str) -> DataFrame:
+    return settings_of(spark, sf, name, SAMPLED.get(name, ENUMERATED))
+
+
 def rounded(df: DataFrame, digits: int, *names: str) -> DataFrame:
-    return df.withColumns({n: F.round(n, digits) for n in names})
+    return df.withColumns({n: F.round(n, digits) + F.lit(0.0) for n in names})  # no negative zero
 
 
 def _plain(spark, sf, name):
@@ -113,7 +119,8 @@ def _stratum_table(spark, sf, name, by_vector=True):
     return table.select("answer", "tid", F.concat_ws(",", F.transform("vec", lambda x: x.cast("string"))).alias("vec"), F.col("n_coal").cast("double").alias("n_coal"), F.round("w_value", 9).alias("w_value"), F.round(F.col("mean") / F.lit(w.unit), 9).alias("mean"))
 
 
-def _strata(spark, sf, name, letters=True, most=MAX_PLAYERS, **more):
+def _strata(spark, sf, name, letters=True, most=None, **more):
+    most = most or SAMPLED.get(name, ENUMERATED)
     pooled = st.pools(settings_of(spark, sf, name, most), LETTERS[name] if letters else None)
     return pooled, st.vectors(pooled, SHAPLEY, len(LETTERS[name]) if letters else 1, **more)
 
@@ -127,7 +134,7 @@ def _weights(spark, sf, name, letters=True):
 def _alloc(spark, sf, rule, floor):
     """What the draws of each tuple of w18 come to under a rule; Neyman rules need the enumerated deviations."""
     neyman = rule.startswith("neyman")
-    strata = _strata(spark, sf, "w18", most=ENUMERATED if neyman else MAX_PLAYERS)[1]
+    strata = _strata(spark, sf, "w18", most=ENUMERATED if neyman else None)[1]
     if neyman:
         table = exact.stratum_table(small_settings(spark, sf, "w18"), WORKLOADS["w18"], SHAPLEY, LETTERS["w18"])
         strata = strata.join(table.select("answer", "tid", "vec", "sigma"), ["answer", "tid", "vec"])
@@ -153,7 +160,7 @@ def _attribute(spark, sf):
 
 
 def _estimate(spark, sf, method, name, runs=1, budget=BUDGET, cycles=2, **more):
-    out = est.estimate(settings_of(spark, sf, name), WORKLOADS[name], method, budget, LETTERS[name], runs, cycles=cycles, **more)
+    out = est.estimate(sampled_settings(spark, sf, name), WORKLOADS[name], method, budget, LETTERS[name], runs, cycles=cycles, **more)
     return out.select("answer", "tid", "run", F.round("estimate", 6).alias("estimate"), F.round("se", 6).alias("se"), F.round("starved_weight", 9).alias("starved_weight"), "draws", "method", "budget")
 
 
@@ -170,7 +177,7 @@ def _estimate_census(spark, sf, name):
 
 def _draws(spark, sf, name, budget=200):
     plan = est.Plan(budget, LETTERS[name])
-    pooled, strata, width = est.prepare(settings_of(spark, sf, name), plan, SHAPLEY)
+    pooled, strata, width = est.prepare(sampled_settings(spark, sf, name), plan, SHAPLEY)
     return est.draw(st.allocate(est.with_runs(strata, 1), st.share_of("value"), budget, 1, by=est.RUN), pooled, plan, 0, width)
 
 
@@ -180,7 +187,7 @@ def _cache_hits(spark, sf, name):
 
 def _tagged(spark, sf, name):
     """Coalitions whose value by joins differs from that by masks (none), beside how many were compared."""
-    w, settings = WORKLOADS[name], settings_of(spark, sf, name)
+    w, settings = WORKLOADS[name], sampled_settings(spark, sf, name)
     players = settings.select("answer", "tid", F.concat("others", F.array(F.struct("rel", "tid", "bit"))).alias("players"))
     draws = _draws(spark, sf, name, 20).withColumn("coalition", F.concat_ws("/", "answer", "tid", "stratum", "draw")).join(players, ["answer", "tid"])
     by_mask = draws.select("coalition", evaluate.value(F.col("view"), F.col("mask"), w).alias("by_mask"))
@@ -422,22 +429,23 @@ def oracle_sql() -> dict[str, str]:
     for n, letters in (("vector", LETTERS["w10"]), ("size", None)):
         out[f"strata_{n}_w10"] = f"WITH z AS ({oracles.strata(w['w10'], 'TRUE', letters, ENUMERATED)}) SELECT answer, tid, vec, n_coal, w_value FROM z"
     out |= {f"alloc_{r}_w18": oracles.coverage(w["w18"], "clo", MAX_PLAYERS, r, BUDGET, 0) for r in ("count", "equal", "value")}
-    out |= {"alloc_floor_w18": oracles.coverage(w["w18"], "clo", MAX_PLAYERS, "value", BUDGET, 1), "coverage_w10": oracles.coverage(w["w10"], "clno", MAX_PLAYERS, "count", BUDGET, 0)}
-    out |= {f"prune_{n}": f"{oracles.strata_of(w[n], LETTERS[n], MAX_PLAYERS, True)} SELECT answer, tid, count(*) AS strata, CAST(sum(CASE WHEN live THEN 1 ELSE 0 END) AS BIGINT) AS live FROM z GROUP BY answer, tid" for n in ("w10", "w21")}
+    out |= {"alloc_floor_w18": oracles.coverage(w["w18"], "clo", MAX_PLAYERS, "value", BUDGET, 1), "coverage_w10": oracles.coverage(w["w10"], "clno", ENUMERATED, "count", BUDGET, 0)}
+    out |= {f"prune_{n}": f"{oracles.strata_of(w[n], LETTERS[n], ENUMERATED, True)} SELECT answer, tid, count(*) AS strata, CAST(sum(CASE WHEN live THEN 1 ELSE 0 END) AS BIGINT) AS live FROM z GROUP BY answer, tid" for n in ("w10", "w21")}
 
     def estimated(method: str, name: str, budget: int = BUDGET, count: bool = False, **more) -> str:
         floor = 0 if count and method != "relvec_adaptive" else 1
         profile = {"rule": "count", "later": "neyman_count", "floor": floor, "rounding": "largest" if floor else "nearest"} if count else {}
-        sql = oracles.stratified(w[name], LETTERS[name] if method.startswith("relvec") else None, budget, cycles=2 if method.endswith("adaptive") else 1, **profile, **more)
+        sql = oracles.stratified(w[name], LETTERS[name] if method.startswith("relvec") else None, budget, cycles=2 if method.endswith("adaptive") else 1, **{"most": SAMPLED.get(name, ENUMERATED)} | profile | more)
         return f"SELECT *, '{method}' AS method, {budget} AS budget FROM ({sql})"
 
     out |= {f"{m}_{n}": estimated(m, n) for m in STRATIFIED for n in ("w2", "w10", "w18", "w21")}
     out |= {f"{m}_count_w18": estimated(m, "w18", count=True) for m in STRATIFIED}
     out |= {"relvec_collapse_w3": estimated("relvec", "w3"), "relvec_pruned_w21": estimated("relvec", "w21", prune=True)}
     out |= {f"{m}_w18": oracles.sampled(w["w18"], "TRUE", m, BUDGET, 1, most=ENUMERATED) for m in ("mc", "mc_permutation", "mc_multilinear")}
-    out["cache_hits_w10"] = oracles.cache_hits(w["w10"], "clno", 200)
-    out |= {f"tagged_equals_bitset_{n}": f"WITH {oracles.players(w[n], 'TRUE', MAX_PLAYERS)} SELECT 20 * count(*) AS compared, CAST(0 AS BIGINT) AS different FROM pl" for n in ("w2", "w10", "w18", "w21")}
+    out["cache_hits_w10"] = oracles.cache_hits(w["w10"], "clno", 200, ENUMERATED)
+    out |= {f"tagged_equals_bitset_{n}": f"WITH {oracles.players(w[n], 'TRUE', SAMPLED.get(n, ENUMERATED))} SELECT 20 * count(*) AS compared, CAST(0 AS BIGINT) AS different FROM pl" for n in ("w2", "w10", "w18", "w21")}
     out |= {f"compiled_view_{n}": oracles.view_size(w[n], MAX_PLAYERS) for n in ("w2", "w3", "w10", "w13", "w16", "w18", "w20", "w21")}
+    out["custom_subset_w3"] = oracles.first_sizes(w["w3"])
     out["mre_w18"] = oracles.errors(w["w18"], {m: estimated(m, "w18", runs=RUNS, most=ENUMERATED, digits=None) for m in STRATIFIED}, BUDGET, ENUMERATED)
     out["axioms_w10"] = f"WITH {oracles.rows(w['w10'])} SELECT answer, round(sum(x) / 1e4, 4) AS total, round(sum(x) / 1e4, 4) AS whole FROM r GROUP BY answer"
     closed = oracles.closed_form(w["w10"], SHAPLEY, 12)
