@@ -22,7 +22,8 @@ def attribute(
 
     method: closed_form (sums over joins, any number of players), exact, or one of estimate.METHODS. Answers with more
     players than the method can take get the closed form, or sums with alternatives and blockers their row games, which
-    are exact, with nulls in the columns of the sampling; a ValueError tells where there are none. A target that no answer depends on has the value 0. `where` selects answers;
+    are exact, with nulls in the columns of the sampling; a ValueError tells where there are none. Ratios, and other answers
+    than sums that masks can't take, are sampled on their rows by mc_multilinear. A target that no answer depends on has the value 0. `where` selects answers;
     `more` goes to the method."""
     w = WORKLOADS[workload] if isinstance(workload, str) else workload
     semivalue = semivalue or Semivalue.shapley()
@@ -38,9 +39,17 @@ def attribute(
         large = lin.groupBy("answer").count().where(F.col("count") > most).select("answer")
         if targets is not None:
             large = large.join(targets.select("answer").distinct(), "answer", "left_semi")
-        any_large = not large.isEmpty()
-        if any_large and w.agg != "sum":
+        if w.agg == "ratio" and method != "mc_multilinear":
+            raise ValueError("ratios are for mc_multilinear, which samples on rows")
+        any_large = w.agg != "ratio" and not large.isEmpty()
+        on_rows = method == "mc_multilinear" and w.agg != "sum"
+        if any_large and w.agg != "sum" and not on_rows:
             raise ValueError(f"{w.name} has answers of more than {most} tuples, which {method} can't take")
+        if on_rows and (any_large or w.agg == "ratio"):
+            if runs != 1 or semivalue.name != "shapley" or more:
+                raise ValueError("sampling on rows gives one run of Shapley values, without options")
+            out = estimate.multilinear_totals(rows, lin.select("answer", "tid") if targets is None else targets, w, budget, seed)
+            return out if targets is None else targets.join(out, ["answer", "tid"], "left").withColumn("estimate", F.coalesce("estimate", F.lit(0.0)))
         settings = lineage.settings(lineage.compile_view(rows.join(large, "answer", "left_anti") if any_large else rows), targets)
         if method == "exact":
             out = exact.by_subset(settings, w, semivalue).select("answer", "tid", F.col("value").alias("estimate"))

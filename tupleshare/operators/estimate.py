@@ -43,6 +43,7 @@ class Plan:
     bins: int | None = None
     attribute_quantiles: int | None = None
     cached: bool = False
+    prune_draws: bool = False
     census: bool = False
     seed: int = 42
 
@@ -76,7 +77,7 @@ def draw(allocated: DataFrame, pooled: DataFrame, plan: Plan, cycle: int, width:
 def stratum_stats(draws: DataFrame, workload: Workload, plan: Plan) -> DataFrame:
     """(setting, run, stratum, k, s1, s2): mergeable sums of the marginals, whole numbers, so that neither the order of
     rows nor the size of the sums matters."""
-    valued = marginals(draws, workload, plan.cached).withColumn("delta", F.col("delta").cast("decimal(19,0)"))
+    valued = marginals(draws, workload, plan.cached, plan.prune_draws).withColumn("delta", F.col("delta").cast("decimal(19,0)"))
     return valued.groupBy(*RUN, "stratum").agg(F.count("*").alias("k"), F.sum("delta").cast(EXACT).alias("s1"), F.sum(F.col("delta") * F.col("delta")).cast(EXACT).alias("s2"))
 
 
@@ -124,7 +125,7 @@ def prepare(settings: DataFrame, plan: Plan, semivalue: Semivalue) -> tuple[Data
 def cells(strata: DataFrame) -> DataFrame:
     """Coarse strata: the cells, with the vectors inside and their cumulated value weights."""
     inside = F.array_sort(F.collect_list(F.struct("stratum", "vec", "w_value")))
-    grouped = strata.where("live").groupBy(*SETTING, "cell").agg(inside.alias("inside"), F.sum("w_value").alias("w_value"), F.sum("w_count").alias("w_count"), F.sum("n_coal").alias("n_coal"))
+    grouped = strata.where("live").groupBy(*SETTING, "cell").agg(inside.alias("inside"), F.sum("w_value").alias("w_value"), F.sum("w_count").alias("w_count"), (F.sum(F.col("w_count") * F.col("joins")) / F.sum("w_count")).alias("joins"), F.sum("n_coal").alias("n_coal"))
     number = F.aggregate("cell", _long0(), lambda a, b: a * 1000 + b)
     return grouped.withColumn("stratum", number).withColumn("live", F.lit(True))
 
@@ -256,6 +257,49 @@ def multilinear_rows(rows: DataFrame, targets: DataFrame, budget: int, seed: int
     return by_draw.groupBy("answer", "tid").agg(F.avg(y).alias("estimate"), (F.stddev_samp(y) / F.sqrt(F.lit(float(budget)))).alias("se"), F.count("*").alias("draws"))
 
 
+def finished(x: Column, y: Column, workload: Workload) -> Column:
+    """What a workload makes of a coalition's sums; a ratio is rounded down to a whole number of its unit's parts, 0 where there is nothing to divide by."""
+    if workload.agg == "ratio":
+        return F.when(x != 0, F.floor(y.cast("double") / x.cast("double") * F.lit(workload.unit))).otherwise(0).cast("long")
+    if workload.agg == "exists":
+        return (x > 0).cast("long")
+    return F.when(x > workload.above, x).otherwise(0) if workload.agg == "having" else x
+
+
+def multilinear_totals(rows: DataFrame, targets: DataFrame, workload: Workload, budget: int, seed: int = 42) -> DataFrame:
+    """(answer, tid, estimate, se, draws) for any function of an answer's sums (x, and y if rows have it) and any number of
+    players: ratios, bounds on sums, existence.
+
+    All targets of an answer share its draws. The sums of a drawn coalition are taken once; a target's joining or leaving
+    changes those rows only that mention it, so the work is linear in what the rows mention, whatever the aggregate. Both
+    sides are partial sums before a shuffle by draw."""
+    data = rows if "y" in rows.columns else rows.withColumn("y", _long0())
+    place = [seed, "totals", F.col("answer"), F.col("draw")]
+    each_draw = F.explode(F.sequence(F.lit(0), F.lit(budget - 1))).alias("draw")
+
+    def holds(here: Callable[[Column], Column]) -> Column:
+        whole = lambda s: F.forall(s, here)
+        return (F.forall("need", here) & ((F.size("any_of") == 0) | F.exists("any_of", whole)) & ~F.exists("none_of", whole)).cast("int")
+
+    drawn = lambda t: uniform(*place, t) < F.col("chance")
+    decided = lambda there: lambda t: F.when(t == F.col("tid"), F.lit(there)).otherwise(drawn(t))
+    whole = lambda df: df.select("*", each_draw).withColumn("chance", uniform(*place))
+    base = whole(data).withColumn("now", holds(drawn)).groupBy("answer", "draw").agg(*(F.sum(F.col(c) * F.col("now")).alias(c) for c in "xy"))
+    mentioned = F.array_distinct(F.flatten(F.concat(F.array("need"), "any_of", "none_of")))
+    mine = data.select("*", F.explode(mentioned).alias("tid")).join(targets.select("answer", "tid").distinct(), ["answer", "tid"])
+    states = whole(mine).withColumns({"now": holds(drawn), "with": holds(decided(True)), "without": holds(decided(False))})
+    change = [F.sum(F.col(c) * (F.col(s) - F.col("now"))).alias(f"{c}_{s}") for c in "xy" for s in ("with", "without")]
+    both = states.groupBy("answer", "tid", "draw").agg(*change).join(base, ["answer", "draw"])
+    value = lambda s: finished(F.col("x") + F.col(f"x_{s}"), F.col("y") + F.col(f"y_{s}"), workload)
+    delta = (value("with") - value("without")) / F.lit(workload.unit)
+    return both.groupBy("answer", "tid").agg(F.avg(delta).alias("estimate"), (F.stddev_samp(delta) / F.sqrt(F.lit(float(budget)))).alias("se"), F.count("*").alias("draws"))
+
+
+def interval(estimates: DataFrame, z: float = 1.96) -> DataFrame:
+    """Adds low and high, the estimate less and plus z standard errors."""
+    return estimates.withColumns({"low": F.col("estimate") - z * F.col("se"), "high": F.col("estimate") + z * F.col("se")})
+
+
 METHODS = ("mc", "mc_permutation", "mc_multilinear", "size", "size_adaptive", "relvec", "relvec_adaptive")
 
 

@@ -11,6 +11,8 @@ from ..sources.tables import run_sql
 
 def value(view: Column, coalition: Column, workload: Workload) -> Column:
     """Of the coalition as a mask: a row counts if all it needs is there, an alternative is, and no blocking set is."""
+    if workload.agg == "ratio":
+        raise ValueError("ratios are sampled on rows, by multilinear_totals")
 
     def holds(m: Column) -> Column:
         return coalition.bitwiseAND(m) == m
@@ -32,11 +34,30 @@ def marginal(view: Column, coalition: Column, bit: Column, workload: Workload) -
     return value(view, coalition.bitwiseOR(bit), workload) - value(view, coalition, workload)
 
 
-def marginals(draws: DataFrame, workload: Workload, cached: bool = True) -> DataFrame:
+def can_change(view: Column, coalition: Column, bit: Column) -> Column:
+    """Whether the target can make a difference to the coalition: some row that the target has a part in finds all that it
+    needs among the two. Where none does the marginal is 0, whatever the aggregate."""
+    joined = coalition.bitwiseOR(bit)
+
+    def has_part(m: Column) -> Column:
+        return m.bitwiseAND(bit) != 0
+
+    def row(r: Column) -> Column:
+        return (has_part(r["need"]) | F.exists(r["any_of"], has_part) | F.exists(r["none_of"], has_part)) & (joined.bitwiseAND(r["need"]) == r["need"])
+
+    return F.exists(view, row)
+
+
+def marginals(draws: DataFrame, workload: Workload, cached: bool = True, pruned: bool = False) -> DataFrame:
     """Adds `delta` to draws (answer, view, bit, mask). With the cache each coalition of an answer is evaluated once,
-    whatever targets and draws ask for it."""
+    whatever targets and draws ask for it. With `pruned` coalitions that the target can't change are not evaluated."""
     if not cached:
-        return draws.withColumn("delta", marginal(F.col("view"), F.col("mask"), F.col("bit"), workload))
+        delta = marginal(F.col("view"), F.col("mask"), F.col("bit"), workload)
+        return draws.withColumn("delta", F.when(can_change(F.col("view"), F.col("mask"), F.col("bit")), delta).otherwise(F.lit(0).cast("long")) if pruned else delta)
+    if pruned:
+        marked = draws.withColumn("__live", can_change(F.col("view"), F.col("mask"), F.col("bit")))
+        dead = marked.where("NOT __live").drop("__live", "view").withColumn("delta", F.lit(0).cast("long"))
+        return marginals(marked.where("__live").drop("__live"), workload).unionByName(dead)
     slim = draws.drop("view")
     asked = draws.select("answer", F.explode(F.array("mask", F.col("mask").bitwiseOR(F.col("bit")))).alias("s")).distinct()
     views = draws.select("answer", "view").dropDuplicates(["answer"])
@@ -56,6 +77,13 @@ def cache_hits(draws: DataFrame) -> DataFrame:
     )
 
 
+def pruning(draws: DataFrame, workload: Workload) -> DataFrame:
+    """(drawn, pruned, wrong): draws, those that pruning leaves out, and how many of these have a marginal other than 0 (none)."""
+    view, mask, bit = F.col("view"), F.col("mask"), F.col("bit")
+    marked = draws.select((~can_change(view, mask, bit)).alias("dead"), marginal(view, mask, bit, workload).alias("delta"))
+    return marked.agg(F.count("*").alias("drawn"), F.sum(F.col("dead").cast("int")).alias("pruned"), F.sum((F.col("dead") & (F.col("delta") != 0)).cast("int")).alias("wrong"))
+
+
 def memberships(draws: DataFrame, with_target: bool) -> DataFrame:
     """(coalition, answer, tid) of every drawn coalition, for the ways that work on tuples rather than masks."""
     inside = F.col("mask").bitwiseOR(F.col("bit")) if with_target else F.col("mask")

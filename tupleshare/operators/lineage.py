@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -15,12 +17,21 @@ SETS = T.ArrayType(T.ArrayType(T.StringType()))
 
 
 def rows_of(spark: SparkSession, sf_dir: str, workload: Workload) -> DataFrame:
-    """The un-aggregated query: answer, x, need, any_of, none_of. Tuples used in two roles count once."""
+    """The un-aggregated query: answer, x, (y of ratios), need, any_of, none_of. Tuples used in two roles count once."""
     rows = run_sql(spark, sf_dir, workload.rows)
     for c in ("any_of", "none_of"):
         if c not in rows.columns:
             rows = rows.withColumn(c, F.array().cast(SETS))
-    return rows.select("answer", "x", F.array_sort(F.array_distinct("need")).alias("need"), F.transform("any_of", lambda s: F.array_sort(s)).alias("any_of"), F.transform("none_of", lambda s: F.array_sort(s)).alias("none_of"))
+    return rows.select("answer", "x", *(["y"] if "y" in rows.columns else []), F.array_sort(F.array_distinct("need")).alias("need"), F.transform("any_of", lambda s: F.array_sort(s)).alias("any_of"), F.transform("none_of", lambda s: F.array_sort(s)).alias("none_of"))
+
+
+def with_given(rows: DataFrame, given: Callable[[Column], Column]) -> DataFrame:
+    """The rows where tuples that `given`, a test of ids, picks are no players but always there: no row needs them, an
+    alternative of such tuples alone frees the row from its alternatives, and a blocker of such tuples alone blocks for good."""
+    left = lambda s: F.filter(s, lambda t: ~given(t))
+    fewer = rows.withColumns({"need": left(F.col("need")), "any_of": F.transform("any_of", left), "none_of": F.transform("none_of", left)})
+    free = F.exists("any_of", lambda s: F.size(s) == 0)
+    return fewer.where(~F.exists("none_of", lambda s: F.size(s) == 0)).withColumn("any_of", F.when(free, F.array().cast(SETS)).otherwise(F.col("any_of")))
 
 
 def relation(tid: Column) -> Column:

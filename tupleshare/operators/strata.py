@@ -13,30 +13,32 @@ ONE_POOL = "*"
 
 def pools(settings: DataFrame, letters: str | None) -> DataFrame:
     """Adds `pools`: the other players in the groups that vectors count, one for each relation (or one in all), and c,
-    the groups' sizes. Groups are taken from the players' `rel`."""
+    the groups' sizes, and own, whether a group is of the target's relation. Groups are taken from the players' `rel`."""
     if letters is None:
-        groups = F.array("others")
+        groups, own = F.array("others"), F.array(F.lit(False))
     else:
-        groups = F.array(*(F.filter("others", of_relation(r)) for r in letters))
-    return settings.withColumn("pools", groups).withColumn("c", F.transform("pools", lambda g: F.size(g)))
+        groups, own = F.array(*(F.filter("others", of_relation(r)) for r in letters)), F.array(*(F.col("rel") == r for r in letters))
+    return settings.withColumn("pools", groups).withColumns({"c": F.transform("pools", lambda g: F.size(g)), "own": own})
 
 
 def vectors(pooled: DataFrame, semivalue: Semivalue, width: int, bins: int | None = None, prune: bool = False) -> DataFrame:
-    """(answer, tid, stratum, vec, size, n_coal, w_count, w_value, live): every vector of counts of each setting.
+    """(answer, tid, stratum, vec, size, n_coal, w_count, w_value, joins, live): every vector of counts of each setting.
 
-    w_value is the stratum's share of the value, w_count that of all coalitions. A stratum is dead if no row of the view
+    joins is the part of each relation that a coalition of the vector has, multiplied over all but the target's own: the
+    chance that what a row needs beside the target is there. w_value is the stratum's share of the value, w_count that of all coalitions. A stratum is dead if no row of the view
     with the target (in what it needs, its witnesses or its blockers) can find what it needs; it keeps its weight, and
     its mean is 0. With `bins` counts are cut into quantile bins of each pool, a cell being a product of bins."""
-    df = with_weights(pooled, semivalue).select(*SETTING, "n", "c", "omega", *(("pools", "bit", "view") if prune else ()))
+    df = with_weights(pooled, semivalue).select(*SETTING, "n", "c", "own", "omega", *(("pools", "bit", "view") if prune else ()))
     for k in range(width):
         df = df.withColumn(f"s{k}", F.explode(F.sequence(F.lit(0), F.get("c", k))))
     vec = F.array(*(F.col(f"s{k}") for k in range(width)))
     count = F.lit(1.0)
-    stratum = F.lit(0).cast("long")
+    stratum, joins = F.lit(0).cast("long"), F.lit(1.0)
     for k in range(width):
+        joins = joins * F.when((F.get("c", k) > 0) & ~F.get("own", k), F.col(f"s{k}") / F.get("c", k)).otherwise(1.0)
         count = count * choose(F.get("c", k), F.col(f"s{k}"))
         stratum = stratum * (F.get("c", k) + 1) + F.col(f"s{k}")
-    df = df.withColumns({"vec": vec, "n_coal": count, "stratum": stratum})
+    df = df.withColumns({"vec": vec, "n_coal": count, "stratum": stratum, "joins": joins})
     df = df.withColumn("size", F.aggregate("vec", F.lit(0), lambda a, x: a + x))
     weight = F.get("omega", F.col("size"))
     df = df.withColumns({"w_value": weight * F.col("n_coal"), "w_count": F.col("n_coal") / F.pow(F.lit(2.0), F.col("n") - 1)})
@@ -52,7 +54,7 @@ def vectors(pooled: DataFrame, semivalue: Semivalue, width: int, bins: int | Non
     if bins:
         bin_of = F.transform(F.arrays_zip("vec", "c"), lambda z: F.least(F.lit(bins - 1), F.floor(z["vec"] * bins / (z["c"] + 1)).cast("int")))
         df = df.withColumn("cell", bin_of)
-    keep = [*SETTING, "stratum", "vec", "size", "n_coal", "w_count", "w_value", "live"] + (["cell"] if bins else [])
+    keep = [*SETTING, "stratum", "vec", "size", "n_coal", "w_count", "w_value", "joins", "live"] + (["cell"] if bins else [])
     return df.select(*keep)
 
 
@@ -74,15 +76,17 @@ def attribute_pools(settings: DataFrame, letters: str, quantiles: int) -> DataFr
     """Pools of the sub-relations, in order of letter and quantile; some may be empty."""
     cut = coarsen_by_attribute(settings, quantiles)
     groups = F.array(*(F.filter("others", of_relation(f"{r}{q}")) for r in letters for q in range(quantiles)))
-    return cut.withColumn("pools", groups).withColumn("c", F.transform("pools", lambda g: F.size(g)))
+    own = F.array(*(F.col("rel") == r for r in letters for _ in range(quantiles)))
+    return cut.withColumn("pools", groups).withColumns({"c": F.transform("pools", lambda g: F.size(g)), "own": own})
 
 
-RULES = ("count", "equal", "value", "neyman_count", "neyman_value")
+RULES = ("count", "equal", "value", "structure", "neyman_count", "neyman_value")
 
 
 def share_of(rule: str, sigma: Column | None = None) -> Column:
-    """The unscaled share of a stratum under a rule."""
-    base = {"count": F.col("w_count"), "equal": F.lit(1.0), "value": F.col("w_value"), "neyman_count": F.col("w_count"), "neyman_value": F.col("w_value")}[rule]
+    """The unscaled share of a stratum under a rule. "structure" shares by the coalitions that a row can be expected to
+    join in: nothing to vectors that lack a relation, more to those that have much of each."""
+    base = {"count": F.col("w_count"), "equal": F.lit(1.0), "value": F.col("w_value"), "structure": F.col("w_count") * F.col("joins"), "neyman_count": F.col("w_count"), "neyman_value": F.col("w_value")}[rule]
     return base * sigma if rule.startswith("neyman") else base
 
 

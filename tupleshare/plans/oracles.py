@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from dataclasses import replace
 
 from ..functions.semivalue import Semivalue
 from ..sources.tables import duck_sql
@@ -10,11 +11,12 @@ from .workloads import Workload
 
 
 def rows(w: Workload, where: str = "TRUE", most: int | None = None) -> str:
-    """CTEs `r`: answer, id, x, need, any_of, none_of; only answers of at most `most` tuples, if given."""
+    """CTEs `r`: answer, id, x, part (the y of ratios), need, any_of, none_of; only answers of at most `most` tuples, if given."""
     any_of = "any_of" if "AS any_of" in w.rows else "CAST([] AS VARCHAR[][])"
     none_of = "none_of" if "AS none_of" in w.rows else "CAST([] AS VARCHAR[][])"
+    part = "y" if " AS y," in w.rows else "CAST(0 AS BIGINT)"
     fit = f"answer IN (SELECT answer FROM (SELECT DISTINCT answer, unnest(list_concat(need, list_concat(flatten(any_of), flatten(none_of)))) AS tid FROM q1) GROUP BY answer HAVING count(*) <= {most})" if most else "TRUE"
-    return f"""q0 AS MATERIALIZED ({duck_sql(w.rows)}), q1 AS MATERIALIZED (SELECT answer, row_number() OVER () AS id, x, list_sort(list_distinct(need)) AS need, {any_of} AS any_of, {none_of} AS none_of FROM q0 WHERE {where}),
+    return f"""q0 AS MATERIALIZED ({duck_sql(w.rows)}), q1 AS MATERIALIZED (SELECT answer, row_number() OVER () AS id, x, {part} AS part, list_sort(list_distinct(need)) AS need, {any_of} AS any_of, {none_of} AS none_of FROM q0 WHERE {where}),
 r AS MATERIALIZED (SELECT * FROM q1 WHERE {fit})"""
 
 
@@ -143,6 +145,9 @@ SELECT d.answer, d.tid, CAST(d.run AS INTEGER) AS run, round(avg({weight} * (v1.
 FROM d JOIN v v0 ON v0.k = d.answer || '/' || CAST(d.s AS VARCHAR) JOIN v v1 ON v1.k = d.answer || '/' || CAST(d.s | d.bit AS VARCHAR) GROUP BY d.answer, d.tid, d.run"""
 
 
+CONCERNED = "((m.need & y.bit) <> 0 OR EXISTS (SELECT 1 FROM am WHERE am.id = m.id AND (am.mask & y.bit) <> 0) OR EXISTS (SELECT 1 FROM nm WHERE nm.id = m.id AND (nm.mask & y.bit) <> 0))"
+
+
 def strata_of(w: Workload, letters: str | None, most: int, prune: bool = False, where: str = "TRUE", target: str = "TRUE") -> str:
     """CTEs `st`, the settings with their pools, and `z`, their strata from counts alone: vec, size, n_coal, w_count,
     w_value, stratum, live."""
@@ -158,18 +163,18 @@ def strata_of(w: Workload, letters: str | None, most: int, prune: bool = False,
         stratum = f"({stratum}) * (c{k} + 1) + s{k}"
     coal = " * ".join(f"bin[c{k} + 1][s{k} + 1]::DOUBLE" for k in range(width))
     size = " + ".join(f"s{k}" for k in range(width))
+    joins = " * ".join(f"(CASE WHEN c{k} > 0{f" AND substr(tid, 1, 1) <> '{letters[k]}'" if letters else ''} THEN s{k}::DOUBLE / c{k} ELSE 1.0::DOUBLE END)" for k in range(width))
     fits = " AND ".join(f"bit_count(m.need & ~y.bit & y.g{k}) <= y.s{k}" for k in range(width))
-    concerned = "((m.need & y.bit) <> 0 OR EXISTS (SELECT 1 FROM am WHERE am.id = m.id AND (am.mask & y.bit) <> 0) OR EXISTS (SELECT 1 FROM nm WHERE nm.id = m.id AND (nm.mask & y.bit) <> 0))"
-    live = f"EXISTS (SELECT 1 FROM m WHERE m.answer = y.answer AND {concerned} AND {fits})" if prune else "TRUE"
+    live = f"EXISTS (SELECT 1 FROM m WHERE m.answer = y.answer AND {CONCERNED} AND {fits})" if prune else "TRUE"
     return f"""{masks(w, where, most)},
 st AS MATERIALIZED (SELECT * FROM (SELECT t.answer, t.tid, t.bit, any_value(n.n) AS n, {pools} FROM b t JOIN n ON n.answer = t.answer JOIN b o ON o.answer = t.answer AND o.tid <> t.tid GROUP BY t.answer, t.tid, t.bit) WHERE {target}),
 bins AS (SELECT {binomials} AS bin),
-y AS MATERIALIZED (SELECT answer, tid, bit, n, {', '.join(f's{k}, g{k}' for k in range(width))}, [{', '.join(f's{k}' for k in range(width))}] AS vec, {stratum} AS stratum, {size} AS size, {coal} AS n_coal, 1.0 / (n * bin[n][{size} + 1]) * ({coal}) AS w_value, ({coal}) / pow(2.0, n - 1) AS w_count FROM ({inner}) CROSS JOIN bins),
+y AS MATERIALIZED (SELECT answer, tid, bit, n, {', '.join(f's{k}, g{k}' for k in range(width))}, [{', '.join(f's{k}' for k in range(width))}] AS vec, {stratum} AS stratum, {size} AS size, {coal} AS n_coal, 1.0 / (n * bin[n][{size} + 1]) * ({coal}) AS w_value, ({coal}) / pow(2.0, n - 1) AS w_count, {joins} AS joins FROM ({inner}) CROSS JOIN bins),
 z AS MATERIALIZED (SELECT y.*, {live} AS live FROM y)"""
 
 
 def _share(rule: str, sigma: str = "sigma") -> str:
-    base = {"count": "w_count", "equal": "1.0::DOUBLE", "value": "w_value", "neyman_count": "w_count", "neyman_value": "w_value"}[rule]
+    base = {"count": "w_count", "equal": "1.0::DOUBLE", "value": "w_value", "structure": "w_count * joins", "neyman_count": "w_count", "neyman_value": "w_value"}[rule]
     return f"{base} * {sigma}" if rule.startswith("neyman") else base
 
 
@@ -246,6 +251,44 @@ def cache_hits(w: Workload, letters: str, budget: int, most: int = 62) -> str:
     return f"{ctes}\nSELECT count(*) AS drawn, 2 * count(*) AS evaluations, (SELECT count(*) FROM asked_0) AS distinct_evaluations, 2 * count(*) - (SELECT count(*) FROM asked_0) AS hits FROM d_0"
 
 
+def pruning(w: Workload, letters: str, budget: int, most: int = 62) -> str:
+    """Drawn coalitions, those in which no row of the target's finds what it needs, and how many of these it changes."""
+    ctes = f"{strata_of(w, letters, most)},\nzr AS (SELECT z.*, run FROM z CROSS JOIN range(1) x(run)),\nal_0 AS ({allocated('zr', _share('value'), budget, 1)}),\n{_cycle(w, len(letters), 0)}"
+    dead = f"NOT EXISTS (SELECT 1 FROM m WHERE m.answer = y.answer AND {CONCERNED} AND (m.need & (y.s | y.bit)) = m.need)"
+    value = lambda s: f"y.answer || '/' || CAST({s} AS VARCHAR)"
+    return f"""{ctes},
+dd AS MATERIALIZED (SELECT answer, bit, s, count(*) AS k FROM d_0 GROUP BY answer, bit, s),
+dz AS (SELECT y.k, {dead} AS dead, v1.v <> v0.v AS moves FROM dd y JOIN v_0 v0 ON v0.k = {value('y.s')} JOIN v_0 v1 ON v1.k = {value('y.s | y.bit')})
+SELECT CAST(sum(k) AS BIGINT) AS drawn, CAST(sum(CASE WHEN dead THEN k ELSE 0 END) AS BIGINT) AS pruned, CAST(sum(CASE WHEN dead AND moves THEN k ELSE 0 END) AS BIGINT) AS wrong FROM dz"""
+
+
+def given(w: Workload, letters: str) -> Workload:
+    """The workload for DuckDB where tuples of some relations are always there; for rows without alternatives, whose
+    blockers have other tuples too."""
+    left = f"lambda t: substr(t, 1, 1) NOT IN ({', '.join(repr(c) for c in letters)})"
+    blockers = f", list_transform(none_of, lambda s: list_filter(s, {left})) AS none_of" if "AS none_of" in w.rows else ""
+    return replace(w, rows=f"SELECT answer, x, list_filter(need, {left}) AS need{blockers} FROM ({w.rows}) q")
+
+
+def totals(w: Workload, budget: int, seed: int = 42, digits: int = 8) -> str:
+    """Sampling on rows without alternatives or blockers, with the same draws: by row and draw how many needed tuples are
+    gone, and so what holds with and without each of them."""
+    place = f"'{seed}', 'totals', pl.answer, draw"
+    value = {"ratio": f"CASE WHEN {{x}} <> 0 THEN CAST(floor(({{y}})::DOUBLE / ({{x}})::DOUBLE * {w.unit}) AS BIGINT) ELSE 0 END", "exists": "CASE WHEN {x} > 0 THEN 1 ELSE 0 END"}.get(w.agg, f"CASE WHEN {{x}} > {w.above} THEN {{x}} ELSE 0 END")
+    of = lambda side: value.format(x=f"(b.x + e.x{side})", y=f"(b.y + e.y{side})")
+    held = "CASE WHEN gone = 0 THEN {0} ELSE 0 END"
+    there = "CASE WHEN gone = 0 OR (gone = 1 AND NOT here) THEN {0} ELSE 0 END"
+    return f"""WITH {players(w)},
+mem AS MATERIALIZED (SELECT pl.answer, pl.tid, draw, {_unit(_hash(place, 'pl.tid'))} < {_unit(_hash(place))} AS here FROM pl CROSS JOIN range(0, {budget}) k(draw)),
+ur AS MATERIALIZED (SELECT answer, id, x, part, unnest(need) AS tid FROM r),
+rk AS MATERIALIZED (SELECT u.answer, u.id, mem.draw, any_value(u.x) AS x, any_value(u.part) AS part, count(*) FILTER (WHERE NOT here) AS gone FROM ur u JOIN mem ON mem.answer = u.answer AND mem.tid = u.tid GROUP BY u.answer, u.id, mem.draw),
+base AS (SELECT answer, draw, sum({held.format('x')}) AS x, sum({held.format('part')}) AS y FROM rk GROUP BY answer, draw),
+mine AS (SELECT u.answer, u.tid, rk.draw, sum({there.format('rk.x')}) - sum({held.format('rk.x')}) AS x1, -sum({held.format('rk.x')}) AS x0, sum({there.format('rk.part')}) - sum({held.format('rk.part')}) AS y1, -sum({held.format('rk.part')}) AS y0
+  FROM ur u JOIN rk ON rk.id = u.id JOIN mem ON mem.answer = u.answer AND mem.tid = u.tid AND mem.draw = rk.draw GROUP BY u.answer, u.tid, rk.draw)
+SELECT e.answer, e.tid, round(avg(({of(1)}) - ({of(0)})) / {w.unit}, {digits}) AS estimate, count(*) AS draws
+FROM mine e JOIN base b ON b.answer = e.answer AND b.draw = e.draw GROUP BY e.answer, e.tid"""
+
+
 def errors(w: Workload, estimates: dict[str, str], budget: int, most: int) -> str:
     """Errors of estimates by method (SQL of answer, tid, run, estimate, starved_weight, draws) against enumeration."""
     each = " UNION ALL ".join(f"SELECT '{name}' AS method, answer, tid, run, estimate, starved_weight, draws FROM ({sql})" for name, sql in estimates.items())

@@ -16,11 +16,11 @@ from ..operators import strata as st
 from ..sources.tables import duck_sql, load, run_sql
 from ..streaming import windows
 from . import oracles, tpch
-from .workloads import LINE, SPJ, WORKLOADS, Workload
+from .workloads import FROZEN, LINE, RATIOS, SPJ, WORKLOADS, Workload
 
 Query = Callable[[SparkSession, str], DataFrame]
 SHAPLEY, BANZHAF = Semivalue.shapley(), Semivalue.banzhaf()
-CLOSED = [w for w in SPJ if w.agg == "sum"]
+CLOSED = [w for w in [*SPJ, *FROZEN] if w.agg == "sum"]
 #: Tuples of the largest answers that queries enumerate. Larger ones are left to the closed form, row games and sampling.
 ENUMERATED = 12
 LETTERS = {"w2": "npqrs", "w2_second": "npqrs", "w3_late": "clo", "w3": "clo", "w10": "clno", "w10_wide": "clno", "w18": "clo", "w18_low": "clo", "w21": "lnos"}
@@ -181,6 +181,30 @@ def _draws(spark, sf, name, budget=200):
     return est.draw(st.allocate(est.with_runs(strata, 1), st.share_of("value"), budget, 1, by=est.RUN), pooled, plan, 0, width)
 
 
+def _boolean(spark, sf, name):
+    w = WORKLOADS[name].boolean()
+    return rounded(exact.by_subset(lineage.settings(lineage.compiled(spark, sf, w, ENUMERATED)), w, SHAPLEY), 6, "value")
+
+
+def _given(spark, sf, name, letters, closed=False):
+    """Tuples of some relations are always there and no players."""
+    fewer = lineage.with_given(rows(spark, sf, name), lambda t: lineage.relation(t).isin(*letters))
+    if closed:
+        return rounded(exact.closed_form(fewer, SHAPLEY, WORKLOADS[name].unit), 7, "value")
+    return rounded(exact.by_subset(lineage.settings(lineage.compile_view(fewer, ENUMERATED)), WORKLOADS[name], SHAPLEY), 6, "value")
+
+
+def _totals(spark, sf, name):
+    """Any function of an answer's sums, on its rows: all tuples of all answers, whatever their size."""
+    data = rows(spark, sf, name)
+    out = est.multilinear_totals(data, lineage.lineage(data).select("answer", "tid"), WORKLOADS[name], BUDGET)
+    return rounded(out.select("answer", "tid", "estimate", "draws"), 8, "estimate")
+
+
+def _pruning(spark, sf, name):
+    return evaluate.pruning(_draws(spark, sf, name), WORKLOADS[name])
+
+
 def _cache_hits(spark, sf, name):
     return evaluate.cache_hits(_draws(spark, sf, name))
 
@@ -311,7 +335,7 @@ def _progress(spark, sf):
     for cycle, df in steps:
         df = df.withColumn("cycle", F.lit(cycle))
         out = df if out is None else out.unionByName(df)
-    return rounded(out, 6, "estimate", "se")
+    return rounded(est.interval(out), 6, "estimate", "se", "low", "high")
 
 
 def _huge(spark, sf, name="w14", rel="p"):
@@ -397,6 +421,10 @@ def queries() -> dict[str, Query]:
     out |= {f"{m}_w18": partial(_sampled, method=m, name="w18", budget=BUDGET, runs=1) for m in ("mc", "mc_permutation", "mc_multilinear")}
     out |= {"relvec_collapse_w3": partial(_estimate, method="relvec", name="w3"), "relvec_cycle_mean_w10": partial(_estimate, method="relvec_adaptive", name="w10", pooling="cycle_mean"), "relvec_pruned_w21": partial(_estimate, method="relvec", name="w21", prune=True)}
     out |= {"relvec_binned_w10": partial(_estimate, method="relvec", name="w10", bins=4), "relvec_binned_adaptive_w10": partial(_estimate, method="relvec_adaptive", name="w10", bins=4), "census_w18": partial(_estimate_census, name="w18"), "all_targets_w18": _all_targets, "multilinear_rows_w14": _huge, "multilinear_rows_w20": partial(_huge, name="w20", rel="s")}
+    out |= {f"prune_coalitions_{n}": partial(_pruning, name=n) for n in ("w2_second", "w10", "w18", "w21")} | {"relvec_pruned_draws_w21": partial(_estimate, method="relvec", name="w21", prune_draws=True)}
+    out |= {f"{m}_structure_w21": partial(_estimate, method=m, name="w21", rule="structure") for m in ("relvec", "relvec_adaptive")} | {f"boolean_subset_{n}": partial(_boolean, name=n) for n in ("w10", "w21")}
+    out |= {"given_closed_w10": partial(_given, name="w10", letters="n", closed=True), "given_subset_w2_second": partial(_given, name="w2_second", letters="nr")}
+    out |= {f"totals_{w}": partial(_totals, name=w) for w in (*(r.name for r in RATIOS), "w2", "w18_low")}
     out |= {f"tagged_equals_bitset_{n}": partial(_tagged, name=n) for n in ("w2", "w10", "w18", "w21")} | {"cache_hits_w10": partial(_cache_hits, name="w10"), "naive_w3": _naive}
     out |= {f"compiled_view_{n}": partial(_compiled, name=n) for n in ("w2", "w3", "w10", "w13", "w16", "w18", "w20", "w21")} | {"compile_report": _compile_report, "axioms_w10": partial(_axioms, name="w10")}
     out |= {"mre_w18": partial(_errors, name="w18", methods=STRATIFIED), "mre_w21": partial(_costly_errors, name="w21"), "mre_count_profile_w21": partial(_costly_errors, name="w21", methods=STRATIFIED, profile="count", budgets=(1000,))}
@@ -429,7 +457,7 @@ def oracle_sql() -> dict[str, str]:
     out["stratum_table_size_w18"] = oracles.strata(w["w18"], "TRUE", None, ENUMERATED)
     for n, letters in (("vector", LETTERS["w10"]), ("size", None)):
         out[f"strata_{n}_w10"] = f"WITH z AS ({oracles.strata(w['w10'], 'TRUE', letters, ENUMERATED)}) SELECT answer, tid, vec, n_coal, w_value FROM z"
-    out |= {f"alloc_{r}_w18": oracles.coverage(w["w18"], "clo", MAX_PLAYERS, r, BUDGET, 0) for r in ("count", "equal", "value")}
+    out |= {f"alloc_{r}_w18": oracles.coverage(w["w18"], "clo", MAX_PLAYERS, r, BUDGET, 0) for r in ("count", "equal", "value", "structure")}
     out |= {"alloc_floor_w18": oracles.coverage(w["w18"], "clo", MAX_PLAYERS, "value", BUDGET, 1), "coverage_w10": oracles.coverage(w["w10"], "clno", ENUMERATED, "count", BUDGET, 0)}
     out |= {f"prune_{n}": f"{oracles.strata_of(w[n], LETTERS[n], ENUMERATED, True)} SELECT answer, tid, count(*) AS strata, CAST(sum(CASE WHEN live THEN 1 ELSE 0 END) AS BIGINT) AS live FROM z GROUP BY answer, tid" for n in ("w10", "w21")}
 
@@ -442,6 +470,11 @@ def oracle_sql() -> dict[str, str]:
     out |= {f"{m}_{n}": estimated(m, n) for m in STRATIFIED for n in ("w2", "w10", "w18", "w21")}
     out |= {f"{m}_count_w18": estimated(m, "w18", count=True) for m in STRATIFIED}
     out |= {"relvec_collapse_w3": estimated("relvec", "w3"), "relvec_pruned_w21": estimated("relvec", "w21", prune=True)}
+    out |= {"relvec_pruned_draws_w21": estimated("relvec", "w21")} | {f"{m}_structure_w21": estimated(m, "w21", rule="structure") for m in ("relvec", "relvec_adaptive")}
+    out |= {f"prune_coalitions_{n}": oracles.pruning(w[n], LETTERS[n], 200, SAMPLED.get(n, ENUMERATED)) for n in ("w2_second", "w10", "w18", "w21")}
+    out |= {f"boolean_subset_{n}": oracles.by_subset(w[n].boolean(), most=ENUMERATED) for n in ("w10", "w21")}
+    out |= {"given_closed_w10": oracles.closed_form(oracles.given(w["w10"], "n"), SHAPLEY), "given_subset_w2_second": oracles.by_subset(oracles.given(w["w2_second"], "nr"), most=ENUMERATED)}
+    out |= {f"totals_{n}": oracles.totals(w[n], BUDGET) for n in (*(r.name for r in RATIOS), "w2", "w18_low")}
     out |= {f"{m}_w18": oracles.sampled(w["w18"], "TRUE", m, BUDGET, 1, most=ENUMERATED) for m in ("mc", "mc_permutation", "mc_multilinear")}
     out["cache_hits_w10"] = oracles.cache_hits(w["w10"], "clno", 200, ENUMERATED)
     out |= {f"tagged_equals_bitset_{n}": f"WITH {oracles.players(w[n], 'TRUE', SAMPLED.get(n, ENUMERATED))} SELECT 20 * count(*) AS compared, CAST(0 AS BIGINT) AS different FROM pl" for n in ("w2", "w10", "w18", "w21")}

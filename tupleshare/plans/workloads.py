@@ -7,7 +7,7 @@ with its relation's letter: c, l, n, o, p, q (part-supplier), r, s, e (events),
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 LINE = "'l|' || CAST(l_orderkey AS STRING) || '|' || CAST(l_linenumber AS STRING) || '|' || CAST(l_partkey AS STRING) || '|' || CAST(l_suppkey AS STRING) || '|' || CAST(CAST(l_shipdate AS DATE) AS STRING)"
 REV = "CAST(round(l_extendedprice * 100) AS BIGINT) * CAST(round((1 - l_discount) * 100) AS BIGINT)"
@@ -27,7 +27,8 @@ ROW_ID = "row_number() OVER (ORDER BY {key}) AS row_id"
 
 @dataclass(frozen=True)
 class Workload:
-    """agg: sum, exists (1 if a row is there) or having (the sum where it exceeds `above`). unit: of x in the result."""
+    """agg: sum, exists (1 if a row is there), having (the sum where it exceeds `above`) or ratio (of the sum of y to that
+    of x, in parts of the unit). unit: of x in the result."""
 
     name: str
     rows: str
@@ -36,10 +37,15 @@ class Workload:
     unit: float = 1.0
     money: bool = True
 
+    def boolean(self) -> Workload:
+        """The game of whether the answer is there at all, as far as a row of it is."""
+        sets = "".join(f", {c}" for c in ("any_of", "none_of") if f"AS {c}" in self.rows)
+        return replace(self, name=f"{self.name}_boolean", rows=f"SELECT answer, CAST(1 AS BIGINT) AS x, need{sets} FROM ({self.rows}) q", agg="exists", above=0, unit=1.0)
 
-def spj(name: str, answer: str, x: str, tids: list[str], tail: str, unit: float = 1e4, agg: str = "sum", above: int = 0) -> Workload:
+
+def spj(name: str, answer: str, x: str, tids: list[str], tail: str, unit: float = 1e4, agg: str = "sum", above: int = 0, y: str = "") -> Workload:
     """Select, project, join: each row needs one tuple of every role."""
-    rows = f"SELECT {answer} AS answer, {x} AS x, array({', '.join(tids)}) AS need FROM {tail}"
+    rows = f"SELECT {answer} AS answer, {x} AS x,{f' {y} AS y,' if y else ''} array({', '.join(tids)}) AS need FROM {tail}"
     return Workload(name, rows, agg, above, unit)
 
 
@@ -141,8 +147,8 @@ _W21_LINES = f"SELECT l_orderkey, l_suppkey, {LINE} AS tid, {LATE} AS late FROM
 W21 = Workload(
     "w21",
     f"""WITH t AS ({_W21_LINES}),
-w AS (SELECT a.tid AS tid, collect_list(array(b.tid)) AS any_of, max(CASE WHEN b.late THEN 1 ELSE 0 END) AS blocked FROM t a JOIN t b ON a.l_orderkey = b.l_orderkey AND a.l_suppkey <> b.l_suppkey WHERE a.late GROUP BY a.tid)
-SELECT CAST(s_suppkey AS STRING) AS answer, CAST(1 AS BIGINT) AS x, array(t.tid, {NAT}, {tid('o', 't.l_orderkey')}, {SUPP}) AS need, w.any_of AS any_of
+w AS (SELECT a.tid AS tid, collect_list(array(b.tid)) AS witnesses, max(CASE WHEN b.late THEN 1 ELSE 0 END) AS blocked FROM t a JOIN t b ON a.l_orderkey = b.l_orderkey AND a.l_suppkey <> b.l_suppkey WHERE a.late GROUP BY a.tid)
+SELECT CAST(s_suppkey AS STRING) AS answer, CAST(1 AS BIGINT) AS x, array(t.tid, {NAT}, {tid('o', 't.l_orderkey')}, {SUPP}) AS need, w.witnesses AS any_of
 FROM w JOIN t ON w.tid = t.tid JOIN {{supplier}} ON s_suppkey = t.l_suppkey JOIN {{nation}} ON n_nationkey = s_nationkey WHERE w.blocked = 0""",
     "sum", 0, 1.0, False,
 )
@@ -179,4 +185,15 @@ JOIN {{supplier}} ON s_suppkey = ps_suppkey JOIN {{nation}} ON n_nationkey = s_n
     "sum", 0, 1.0, False,
 )
 
-WORKLOADS = {w.name: w for w in [*SPJ, W2, W2_SECOND, W4, W13, W16, W20, W21]}
+#: Nested conditions as they come out on the data, whatever the coalition: the sum without its bound, lines without witnesses.
+FROZEN = [replace(w18("w18_low", 150), name="w18_frozen", agg="sum"), replace(W21, name="w21_frozen", rows=W21.rows.replace(", w.witnesses AS any_of", ""))]
+#: Shares: of a nation's suppliers in a market, of promoted parts in the revenue of a month.
+RATIOS = [
+    spj("w8_ratio", "CAST(year(o_orderdate) AS STRING)", REV, W8_NEED, W8_TAIL, 1e6, "ratio", 0, f"CASE WHEN b.n_name = 'NATION_7' THEN {REV} ELSE 0 END"),
+    spj(
+        "w14_ratio", "'all'", REV, [LINE, PART], f"{{lineitem}} JOIN {{part}} ON p_partkey = l_partkey WHERE l_shipdate >= {day('1997-09-01')} AND l_shipdate < {day('1997-10-01')}",
+        1e6, "ratio", 0, f"CASE WHEN p_type = 'PROMO' THEN {REV} ELSE 0 END",
+    ),
+]
+
+WORKLOADS = {w.name: w for w in [*SPJ, W2, W2_SECOND, W4, W13, W16, W20, W21, *FROZEN, *RATIOS]}
