@@ -30,7 +30,11 @@ def fingerprint(text: bytes | None, size: int = SHINGLE) -> int:
         return 0
     shingles = map(b" ".join, zip(*(words[k:] for k in range(size)), strict=False)) if len(words) >= size else [b" ".join(words)]
     digest, seed = xxhash.xxh64_intdigest, SEED
-    hashes = np.array([digest(s, seed) for s in shingles], dtype="<u8")
+    return majority(np.array([digest(s, seed) for s in shingles], dtype="<u8"))
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The bits that are set in over half of the hashes; 0 without any."""
     bytes_ = hashes.view(np.uint8).reshape(-1, 8) + _BYTE_OF
     counts = np.bincount(bytes_.ravel(), minlength=2048).reshape(8, 256) @ _BITS
     return int.from_bytes(np.packbits((2 * counts > len(hashes)).ravel(), bitorder="little").tobytes(), "little")
