@@ -86,3 +86,27 @@ def test_shuffled_sides(spark, monkeypatch):
 def test_prefix_of_small_sets():
     for n in range(5, 60):
         assert n - math.ceil(0.8 * n) + 3 <= n
+
+
+def test_tasks_hold_little_at_once():
+    """Hashing a block and joining a part take little more memory than their input; hashes don't depend on the stretches."""
+    import tracemalloc
+
+    import numpy as np
+
+    from tupleshare.llm import line_dedup as ld
+
+    def peak(work):
+        tracemalloc.start()
+        work()
+        most = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        return most
+
+    text = b"lorem ipsum dolor sit amet\n" * 40_000
+    assert peak(lambda: ld.Hasher().words(text)) < 12 * len(text)
+    starts, h = ld.Hasher().words(text)
+    assert len(starts) == 200_000 and len(set(h.tolist())) == 5 and (np.diff(starts) > 0).all()
+    p = np.zeros(200_000, ld.POSTING)
+    p["sig"], p["key"], p["n"] = np.arange(len(p)) // 2, np.arange(len(p)), 5
+    assert peak(lambda: ld.join_postings(p, 0.8, 4)) < 3.9 * p.nbytes

@@ -32,6 +32,8 @@ BROADCAST_ROWS = 300_000
 PART_BYTES = 3_000_000
 #: Lines and bytes of the blocks that arrays are made of; a line's number within its block takes 14 bits.
 BLOCK_LINES, BLOCK_BYTES = 1 << 14, 1_000_000
+#: Bytes that are hashed at once, so that a task's arrays of eight bytes for each stay small.
+HASHED = 1 << 17
 POSTING = np.dtype([("sig", "<u8"), ("key", "<u8"), ("doc", "<i8"), ("line", "<i4"), ("n", "<u4"), ("at", "<u4"), ("low", "<u8"), ("high", "<u8")])
 COUNTED = pa.schema([("slice", pa.int32()), ("at", pa.binary()), ("n", pa.binary())])
 POSTED = pa.schema([("part", pa.int32()), ("blob", pa.binary())])
@@ -86,11 +88,23 @@ class Hasher:
         self.up, self.down = _Powers(_BASE), _Powers(_BASE_BACK)
 
     def words(self, buffer: bytes) -> tuple[np.ndarray, np.ndarray]:
-        """Starts and 50-bit hashes, in order. The buffer is lower-cased and ends in white space."""
+        """Starts and 50-bit hashes, in order. The buffer is lower-cased and ends in white space. Hashed in stretches of
+        some HASHED bytes that end in white space; a word's hash does not depend on where it stands."""
         data = np.frombuffer(buffer, np.uint8)
         space = _SPACE[data]
+        starts, hashes, at = [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)], 0
+        while at < len(data):
+            end = min(len(data), at + HASHED)
+            end += int(space[end - 1 :].argmax())
+            own, h = self._stretch(data[at:end], space[at:end])
+            starts.append(own + at)
+            hashes.append(h)
+            at = end
+        return np.concatenate(starts), np.concatenate(hashes)
+
+    def _stretch(self, data: np.ndarray, space: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         edge = np.flatnonzero(space[1:] != space[:-1]) + 1
-        if len(data) and not space[0]:
+        if not space[0]:
             edge = np.r_[0, edge]
         starts, ends = edge[::2], edge[1::2]
         sums = np.cumsum(data * self.up.upto(len(data)), dtype=np.uint64)
@@ -328,6 +342,7 @@ def _posting(shared, rule: LineRule, parts: int):
 
 
 LINKS = "doc long, line int, key long, other_doc long, other_line int, other_key long, more boolean"
+LINKED = pa.schema([("doc", pa.int64()), ("line", pa.int32()), ("key", pa.int64()), ("other_doc", pa.int64()), ("other_line", pa.int32()), ("other_key", pa.int64()), ("more", pa.bool_())])
 
 
 def _links(doc, line, key, other_doc=None, other_line=None, other_key=None, more=None) -> pd.DataFrame:
@@ -356,12 +371,13 @@ def join_postings(p: np.ndarray, threshold: float, first: int) -> tuple[np.ndarr
     new[:1] = True
     for name in ("sig", "key", "n", "low", "high"):  # a repeat has the key, the size and the sketch of its origin
         new[1:] |= p[name][1:] != p[name][:-1]
-    origin = p[np.flatnonzero(new)][np.cumsum(new) - 1]
-    repeats = p[(p["at"] & HOME > 0) & ((p["doc"] != origin["doc"]) | (p["line"] != origin["line"]))]  # equal sets share all lists; one tells
-    p = p[new]
-    sig = np.ascontiguousarray(p["sig"])
+    firsts = np.flatnonzero(new)
+    later = np.flatnonzero(~new & (p["at"] & HOME > 0))  # equal sets share all lists; one tells
+    origin = firsts[np.cumsum(new)[later] - 1]
+    repeats = p[later[(p["doc"][later] != p["doc"][origin]) | (p["line"][later] != p["line"][origin])]]
+    sig = p["sig"][firsts]
     near = np.r_[sig[1:] == sig[:-1], False] | np.r_[False, sig[1:] == sig[:-1]]
-    p, sig = p[near], sig[near]
+    p, sig = p[firsts[near]], sig[near]
     n, at, low, high = p["n"].astype(np.int32), (p["at"] & ~HOME).astype(np.int32), np.ascontiguousarray(p["low"]), np.ascontiguousarray(p["high"])
     group = np.cumsum(np.r_[False, sig[1:] != sig[:-1]]) if len(p) else np.zeros(0, int)
     # Sizes rise within a list, so the partners of i that are not longer are those from the first long enough one.
@@ -397,14 +413,29 @@ def join_postings(p: np.ndarray, threshold: float, first: int) -> tuple[np.ndarr
     return repeats, _links(a["doc"], a["line"], a["key"], b["doc"], b["line"], b["key"], np.isin(found >> np.uint64(32), np.concatenate(crowded)))
 
 
+def records(blobs: pa.ChunkedArray) -> np.ndarray:
+    """The postings of all blobs, where they stand if they are of one batch."""
+    parts = [np.zeros(0, POSTING)]
+    for c in blobs.chunks:
+        if len(c):
+            ends = np.frombuffer(c.buffers()[1], "<i8" if pa.types.is_large_binary(c.type) else "<i4")[c.offset : c.offset + len(c) + 1]
+            if ends[-1] > ends[0]:
+                parts.append(np.frombuffer(c.buffers()[2], POSTING, int(ends[-1] - ends[0]) // POSTING.itemsize, int(ends[0])))
+    return parts[-1] if len(parts) < 3 else np.concatenate(parts)
+
+
 def _joining(rule: LineRule):
-    def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        p = np.frombuffer(b"".join(rows["blob"]), POSTING)
-        if key[0] < 0:
-            return _links(p["doc"], p["line"], p["key"])
-        repeats, links = join_postings(p, rule.threshold, rule.first_of_part)
+    def run(key: tuple, rows: pa.Table) -> pa.Table:
+        p = records(rows["blob"])
+        if key[0].as_py() < 0:
+            out = _links(p["doc"], p["line"], p["key"])
+        else:
+            repeats, links = join_postings(p, rule.threshold, rule.first_of_part)
+            out = pd.concat([_links(repeats["doc"], repeats["line"], repeats["key"]), links])
+        table = pa.Table.from_pandas(out, schema=LINKED, preserve_index=False)
+        del out
         release()
-        return pd.concat([_links(repeats["doc"], repeats["line"], repeats["key"]), links])
+        return table
 
     return run
 
@@ -421,6 +452,7 @@ def _fetching(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         if lines:
             docs, numbers = zip(*places, strict=True)
             yield pd.DataFrame({"doc": docs, "line": numbers, "key": keys_of(lines), "words": [b" ".join(sorted(words_of(x))) for x in lines]})
+    release()
 
 
 def _similar(threshold: float):
@@ -477,7 +509,7 @@ def later_matches(docs: DataFrame, rule: LineRule = LineRule(), id_col: str = "d
     counts = spark.sparkContext.broadcast(word_counts(rows, rule))
     blobs = rows.mapInArrow(over_slices(_posting(counts, rule, parts), POSTED), "part int, blob binary")
     spread = F.when(F.col("part") < 0, (-1 - F.pmod(F.xxhash64("blob"), F.lit(parts))).cast("int")).otherwise(F.col("part"))
-    found = materialize(blobs.withColumn("part", spread).groupBy("part").applyInPandas(_joining(rule), LINKS), "line-links")
+    found = materialize(blobs.withColumn("part", spread).groupBy("part").applyInArrow(_joining(rule), LINKS), "line-links")
 
     same = (F.col("doc") == F.col("other_doc")) & (F.col("line") == F.col("other_line"))
     repeats = found.where(same).select("doc", "line", "key")
