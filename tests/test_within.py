@@ -49,3 +49,21 @@ def test_one_order_for_all_targets(spark):
     deltas = est._plain_draws(settings, 30, 2).withColumn("mask", mask).withColumn("delta", evaluate.marginal(F.col("view"), F.col("mask"), F.col("bit"), w))
     want = {(r.answer, r.tid, r.run, r.checkpoint): r.estimate for r in measures.convergence(deltas, [10, 30]).collect()}
     assert {(r.answer, r.tid, r.run, r.checkpoint): r.total / r.draws for r in got.collect()} == want and want
+
+
+def test_values_of_many_coalitions(spark, monkeypatch):
+    """By table and one by one they are those of single coalitions, and orders give the same either way."""
+    import numpy as np
+
+    for name in ("w2", "w18_low", "w21"):
+        w = WORKLOADS[name]
+        view = lineage.compiled(spark, DATA, w, 9).orderBy("answer").limit(4).localCheckpoint()
+        for r in view.collect():
+            rows = [(v.need, v.x, v.any_of, v.none_of) for v in r.view]
+            masks = np.arange(1 << len(r.players))
+            want = [within.value(rows, int(m), w.agg, w.above) for m in masks]
+            assert within.values_at(rows, masks, w).tolist() == within.values_of(rows, len(r.players), w)(masks).tolist() == want
+        tabled = {tuple(r) for r in within.orders(view, w, [7, 20]).collect()}
+        monkeypatch.setattr(within, "TABLED", 0)
+        assert {tuple(r) for r in within.orders(view, w, [7, 20]).collect()} == tabled
+        monkeypatch.undo()
