@@ -67,3 +67,21 @@ def test_values_of_many_coalitions(spark, monkeypatch):
         monkeypatch.setattr(within, "TABLED", 0)
         assert {tuple(r) for r in within.orders(view, w, [7, 20]).collect()} == tabled
         monkeypatch.undo()
+
+
+def test_totals_stay_in_the_row(spark):
+    """Answers of the view are sampled without a shuffle, those it lacks on the rows, all with the draws of the rows."""
+    for name in ("w2", "w18_low"):
+        w = WORKLOADS[name]
+        rows = lineage.rows_of(spark, DATA, w)
+        answers = rows.select("answer").distinct().orderBy("answer").limit(6)
+        rows = rows.join(answers, "answer").localCheckpoint()
+        view = lineage.compile_view(rows).localCheckpoint()
+        assert no_shuffle(within.multilinear(view, w, 40))
+        part = view.orderBy("answer").limit(3).localCheckpoint()
+        want = {(r.answer, r.tid): (r.estimate, r.se, r.draws) for r in est.multilinear_totals(rows, lineage.lineage(rows), w, 40).collect()}
+        for v in (view, part):
+            got = {(r.answer, r.tid): (r.estimate, r.se, r.draws) for r in est.multilinear_totals(rows, None, w, 40, view=v).collect()}
+            assert got.keys() == want.keys() and got
+            for k in got:
+                assert got[k] == pytest.approx(want[k], rel=1e-9, abs=1e-9), k
