@@ -6,7 +6,8 @@ from pyspark.sql import functions as F
 from tests.conftest import DATA
 from tupleshare.operators import estimate as est
 from tupleshare.operators import evaluate, lineage, measures, within
-from tupleshare.plans.queries import LETTERS
+from tupleshare.operators import strata as st
+from tupleshare.plans.queries import LETTERS, SHAPLEY, queries
 from tupleshare.plans.workloads import WORKLOADS
 
 PLANS = {
@@ -85,3 +86,34 @@ def test_totals_stay_in_the_row(spark):
             assert got.keys() == want.keys() and got
             for k in got:
                 assert got[k] == pytest.approx(want[k], rel=1e-9, abs=1e-9), k
+
+
+def tagged_by_tables(spark, view, rows, w, plan):
+    """(compared, different) by a table of draws and one of memberships."""
+    pooled, strata, width = est.prepare(lineage.settings(view), plan, SHAPLEY)
+    draws = est.draw(st.allocate(est.with_runs(strata, 1), st.share_of("value"), plan.budget, 1, by=est.RUN), pooled, plan, 0, width)
+    players = view.select("answer", "players")
+    draws = draws.withColumn("coalition", F.concat_ws("/", "answer", "tid", "stratum", "draw")).join(players, "answer")
+    by_mask = draws.select("coalition", evaluate.value(F.col("view"), F.col("mask"), w).alias("by_mask"))
+    by_join = evaluate.tagged(rows, evaluate.memberships(draws, False), draws, w)
+    return tuple(by_mask.join(by_join, "coalition").agg(F.count("*"), F.coalesce(F.sum((F.col("by_mask") != F.col("v")).cast("int")), F.lit(0))).first())
+
+
+@pytest.mark.parametrize("name", ["w10", "w2_second", "w18_low", "w21"])
+def test_tagged_draws_stay_in_the_row(spark, name):
+    """As many are compared, and as many differ if an answer's rows are missing and others count twice."""
+    w, plan = WORKLOADS[name], est.Plan(20, LETTERS[name])
+    rows = lineage.rows_of(spark, DATA, w)
+    view = lineage.compile_view(rows, 12)
+    view = view.orderBy("answer").limit(4).localCheckpoint()
+    rows = rows.join(view.select("answer"), "answer").localCheckpoint()
+    other = rows.where(F.col("answer") != view.first().answer).withColumn("x", 2 * F.col("x")).localCheckpoint()
+    assert tuple(within.tagged_differences(view, rows, w, plan, SHAPLEY).first()) == tagged_by_tables(spark, view, rows, w, plan)
+    got = tuple(within.tagged_differences(view, other, w, plan, SHAPLEY).first())
+    assert got == tagged_by_tables(spark, view, other, w, plan) and 0 < got[1] < got[0]
+    assert tuple(within.tagged_differences(view.limit(0), rows, w, plan, SHAPLEY).first()) == (0, 0)
+
+
+def test_tagged_query_makes_no_table_of_draws(spark):
+    plan = queries()["tagged_equals_bitset_w10"](spark, DATA)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Generate" not in plan and "MapInArrow" in plan
