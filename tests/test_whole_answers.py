@@ -45,6 +45,16 @@ def test_orders_take_all_answers_of_w18(spark):
         assert sum(r.estimate for r in got if r.answer == answer) == pytest.approx(total)
 
 
+def test_convergence_takes_all_answers_of_w18(spark):
+    rows = lineage.rows_of(spark, SF, WORKLOADS["w18"])
+    tuples = {(r.answer, r.tid) for r in lineage.lineage(rows).collect()}
+    got = queries()["convergence_w18"](spark, SF).collect()
+    assert {(r.answer, r.tid, r.checkpoint) for r in got} == {(*t, c) for t in tuples for c in (100, 200, 500, 1000)} and len(got) == 4 * len(tuples)
+    for a, total in {r.answer: r.x for r in rows.groupBy("answer").sum("x").toDF("answer", "x").collect()}.items():
+        for c in (100, 1000):
+            assert sum(r.estimate for r in got if (r.answer, r.checkpoint) == (a, c)) == pytest.approx(total, abs=1e-4)
+
+
 @pytest.mark.parametrize("name", ["w2_second", "w18_low", "w21"])
 def test_ids_give_what_masks_give_in_orders(spark, monkeypatch, name):
     masks, ids = both_views(spark, monkeypatch, name)
