@@ -5,8 +5,9 @@ import pytest
 
 from tests.conftest import DATA
 from tupleshare.functions.semivalue import MAX_PLAYERS
+from tupleshare.operators import estimate as est
 from tupleshare.operators import lineage, within
-from tupleshare.plans.queries import ENUMERATED, queries
+from tupleshare.plans.queries import ENUMERATED, LETTERS, queries
 from tupleshare.plans.workloads import WORKLOADS
 
 SF = "/root/testdata/sf0.01"
@@ -87,3 +88,62 @@ def test_orders_of_more_players_than_masks_take(spark):
     assert len(got) == 72 and sum(got.values()) == pytest.approx(sum(range(71)))
     assert sum(got[t] for t in want) == pytest.approx(sum(want.values()), rel=0.15)
     assert lineage.settings(lineage.compile_view(rows, None)).count() == 0
+
+
+def estimates(df):
+    return {(r.answer, r.tid, r.run): (r.estimate, r.se, r.starved_weight, r.draws) for r in df.collect()}
+
+
+@pytest.mark.parametrize("name", ["w10", "w18_low", "w21"])
+def test_ids_give_what_masks_give_in_strata(spark, monkeypatch, name):
+    masks, ids = both_views(spark, monkeypatch, name, 3)
+    for plan in (est.Plan(60, LETTERS[name], bins=4), est.Plan(60, LETTERS[name], cycles=2, pooling="cycle_mean"), est.Plan(60, None, prune=True)):
+        want, got = (estimates(est.stratified(lineage.settings(masks), WORKLOADS[name], plan, view=v)) for v in (masks, ids))
+        assert want == got != {}
+
+
+@pytest.mark.parametrize("more", [{"bins": 4}, {"bins": 4, "cycles": 2}, {"cycles": 2, "pooling": "cycle_mean"}])
+def test_strata_of_more_players_than_masks_take(spark, more):
+    """A line adds its row's measure where the order and perhaps the customer are: values by the closed form."""
+    view, w = lineage.compile_view(large_rows(spark), None), WORKLOADS["w10"]
+    got = estimates(est.stratified(lineage.settings(view), w, est.Plan(3000, "lco", **more), view=view))
+    want = {f"l|{k:03}": (k + 1) / (3 if k % 2 == 0 else 2) / w.unit for k in range(70)}
+    assert len(got) == 72 and {t for _, t, _ in got} == {*want, "o|1", "c|1"}
+    assert all(draws == 3000 and starved == 0 for _, _, starved, draws in got.values())
+    assert sum(got["a", t, 0][0] for t in want) == pytest.approx(sum(want.values()), rel=0.02)
+    assert max(abs(got["a", t, 0][0] - v) / v for t, v in want.items()) < 0.25
+
+
+def test_what_rows_can_not_do_for_large_answers_raises(spark):
+    view = lineage.compile_view(large_rows(spark), None)
+    for plan in (est.Plan(60, "lco", cycles=3), est.Plan(60, "lco", prune_draws=True), est.Plan(60, "lco", attribute_quantiles=2)):
+        with pytest.raises(ValueError, match="more than 62 tuples"):
+            est.stratified(lineage.settings(view), WORKLOADS["w10"], plan, view=view)
+
+
+def test_weights_of_many_players():
+    """Those of one word as before; of more, and of more than floats count, they add up to 1."""
+    from tupleshare.functions.semivalue import Semivalue
+
+    omega = within.weights_of(Semivalue.shapley())
+    assert omega(62) == Semivalue.shapley().table()[62]
+    for n, c in ((63, (40, 20, 2)), (1400, (1398, 1))):
+        strata = within.strata_of(n, c, (False,) * len(c), omega(n))
+        assert sum(strata.w_value) == pytest.approx(1) == sum(strata.w_count)
+        assert sum(within.allocate(strata.w_value, (True,) * len(strata.number), 5000, 1, "largest")) == 5000
+        assert within.cells_of(strata, c, (True,) * len(strata.number), 4).w_value
+
+
+def all_of_w10(spark, name):
+    """Every tuple of every answer has an estimate of the draws asked for."""
+    rows = lineage.rows_of(spark, DATA, WORKLOADS["w10"])
+    tuples = {(r.answer, r.tid) for r in lineage.lineage(rows).collect()}
+    assert len(tuples) > lineage.settings(lineage.compile_view(rows, ENUMERATED)).count()
+    got = queries()[name](spark, DATA).collect()
+    assert {(r.answer, r.tid) for r in got} == tuples and len(got) == len(tuples)
+    assert {r.draws for r in got} == {100}
+
+
+@pytest.mark.parametrize("name", ["relvec_binned_adaptive_w10"])
+def test_strata_take_all_answers_of_w10(spark, name):
+    all_of_w10(spark, name)
