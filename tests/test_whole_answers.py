@@ -144,6 +144,6 @@ def all_of_w10(spark, name):
     assert {r.draws for r in got} == {100}
 
 
-@pytest.mark.parametrize("name", ["relvec_binned_adaptive_w10", "relvec_binned_w10"])
+@pytest.mark.parametrize("name", ["relvec_binned_adaptive_w10", "relvec_binned_w10", "relvec_cycle_mean_w10"])
 def test_strata_take_all_answers_of_w10(spark, name):
     all_of_w10(spark, name)
