@@ -1,5 +1,8 @@
 """Queries that take all answers, whatever their size: none is left out for its number of tuples."""
 
+from dataclasses import replace
+
+import duckdb
 import numpy as np
 import pytest
 
@@ -7,7 +10,8 @@ from tests.conftest import DATA
 from tupleshare.functions.semivalue import MAX_PLAYERS
 from tupleshare.operators import estimate as est
 from tupleshare.operators import lineage, within
-from tupleshare.plans.queries import ENUMERATED, LETTERS, queries
+from tupleshare.plans import oracles
+from tupleshare.plans.queries import ENUMERATED, LETTERS, SHAPLEY, oracle_sql, queries
 from tupleshare.plans.workloads import WORKLOADS
 
 SF = "/root/testdata/sf0.01"
@@ -147,3 +151,28 @@ def all_of_w10(spark, name):
 @pytest.mark.parametrize("name", ["relvec_binned_adaptive_w10", "relvec_binned_w10", "relvec_cycle_mean_w10"])
 def test_strata_take_all_answers_of_w10(spark, name):
     all_of_w10(spark, name)
+
+
+def test_cache_hits_take_all_answers_of_w10(spark):
+    """200 draws of each tuple, and the same counts by SQL."""
+    tuples = lineage.lineage(lineage.rows_of(spark, DATA, WORKLOADS["w10"])).count()
+    got = queries()["cache_hits_w10"](spark, DATA).first()
+    assert got.drawn == 200 * tuples
+    con = duckdb.connect()
+    for t in ("customer", "orders", "lineitem", "nation"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{DATA}/{t}.parquet'")
+    assert con.execute(oracle_sql()["cache_hits_w10"]).fetchall() == [tuple(got)]
+
+
+def test_cache_hits_of_ids_and_of_large_answers(spark, monkeypatch):
+    """As of masks; and of an answer of more players than masks take the counts of SQL."""
+    w, plan = WORKLOADS["w10"], est.Plan(50, "clno")
+    masks, ids = both_views(spark, monkeypatch, "w10")
+    assert within.cache_hits(masks, w, plan, SHAPLEY).first() == within.cache_hits(ids, w, plan, SHAPLEY).first()
+    rows = large_rows(spark).select("answer", "x", "need")
+    con, large = duckdb.connect(), [(r.answer, r.x, r.need) for r in rows.collect()]
+    con.execute("CREATE TABLE given (answer VARCHAR, x BIGINT, need VARCHAR[])")
+    con.executemany("INSERT INTO given VALUES (?, ?, ?)", large)
+    sql = oracles.cache_hits(replace(w, rows="SELECT answer, x, need FROM given"), "clo", 200)
+    got = within.cache_hits(lineage.compile_view(large_rows(spark), None), w, est.Plan(200, "clo"), SHAPLEY).first()
+    assert got.drawn == 200 * 72 and con.execute(sql).fetchall() == [tuple(got)]

@@ -246,9 +246,32 @@ SELECT z.answer, z.tid, CAST(z.run AS INTEGER) AS run, {put(f"sum(coalesce(w_val
 FROM zr z LEFT JOIN {stats} t ON t.answer = z.answer AND t.tid = z.tid AND t.run = z.run AND t.stratum = z.stratum GROUP BY z.answer, z.tid, z.run"""
 
 
-def cache_hits(w: Workload, letters: str, budget: int, most: int = 62) -> str:
-    ctes = f"{strata_of(w, letters, most)},\nzr AS (SELECT z.*, run FROM z CROSS JOIN range(1) x(run)),\nal_0 AS ({allocated('zr', _share('value'), budget, 1)}),\n{_cycle(w, len(letters), 0)}"
-    return f"{ctes}\nSELECT count(*) AS drawn, 2 * count(*) AS evaluations, (SELECT count(*) FROM asked_0) AS distinct_evaluations, 2 * count(*) - (SELECT count(*) FROM asked_0) AS hits FROM d_0"
+def cache_hits(w: Workload, letters: str, budget: int, seed: int = 42) -> str:
+    """All answers, whatever their size: a coalition is known by the numbers of its tuples, not by a mask, and binomials go up to
+    the largest answer, as whole numbers of 128 bits (more than about 130 tuples are an error)."""
+    width = len(letters)
+    each = lambda text, sep=", ": sep.join(text.format(k=k, r=r) for k, r in enumerate(letters))
+    inner, stratum = "SELECT * FROM st", "s0"
+    for k in range(width):
+        inner = f"SELECT *, unnest(range(c{k} + 1)) AS s{k} FROM ({inner})"
+    for k in range(1, width):
+        stratum = f"({stratum}) * (c{k} + 1) + s{k}"
+    size = each("s{k}", " + ")
+    picks = each("coalesce(list_transform(list_slice(list_sort(list_transform(p{k}, lambda p: struct_pack(h := md5(place || p.tid), no := p.no))), 1, s{k}), lambda q: q.no), CAST([] AS BIGINT[]))")
+    return f"""WITH RECURSIVE {players(w)},
+b AS MATERIALIZED (SELECT answer, tid, row_number() OVER (PARTITION BY answer ORDER BY tid) AS no FROM pl),
+n AS MATERIALIZED (SELECT answer, count(*) AS n FROM pl GROUP BY answer),
+st AS MATERIALIZED (SELECT t.answer, t.tid, t.no, any_value(n.n) AS n, {each("list(struct_pack(tid := o.tid, no := o.no)) FILTER (WHERE substr(o.tid, 1, 1) = '{r}') AS p{k}, count(*) FILTER (WHERE substr(o.tid, 1, 1) = '{r}') AS c{k}")}
+  FROM b t JOIN n ON n.answer = t.answer LEFT JOIN b o ON o.answer = t.answer AND o.tid <> t.tid GROUP BY t.answer, t.tid, t.no),
+pas(k, line) AS (SELECT 0, [1::HUGEINT] UNION ALL SELECT k + 1, list_transform(range(0, k + 2), lambda i: coalesce(line[i], 0::HUGEINT) + coalesce(line[i + 1], 0::HUGEINT)) FROM pas WHERE k < (SELECT max(n) FROM n)),
+bins AS MATERIALIZED (SELECT list(line ORDER BY k) AS bin FROM pas),
+z AS MATERIALIZED (SELECT answer, tid, {each('s{k}')}, {stratum} AS stratum, 1.0 / (n * bin[n][{size} + 1]) * ({each('bin[c{k} + 1][s{k} + 1]::DOUBLE', ' * ')}) AS w_value, TRUE AS live FROM ({inner}) CROSS JOIN bins),
+al AS ({allocated('z', _share('value'), budget, 1, by='answer, tid')}),
+e AS (SELECT al.*, st.no, {each('st.p{k}')}, unnest(range(al.m)) AS draw FROM al JOIN st ON st.answer = al.answer AND st.tid = al.tid),
+h AS (SELECT e.*, '{seed}|' || answer || '|' || tid || '|0|0|' || stratum || '|' || draw || '|' AS place FROM e),
+d AS MATERIALIZED (SELECT answer, no, list_sort(flatten([{picks}])) AS s FROM h),
+asked AS MATERIALIZED (SELECT DISTINCT answer, s FROM (SELECT answer, s FROM d UNION ALL SELECT answer, list_sort(list_append(s, no)) AS s FROM d))
+SELECT count(*) AS drawn, 2 * count(*) AS evaluations, (SELECT count(*) FROM asked) AS distinct_evaluations, 2 * count(*) - (SELECT count(*) FROM asked) AS hits FROM d"""
 
 
 def pruning(w: Workload, letters: str, budget: int, most: int = 62) -> str:
